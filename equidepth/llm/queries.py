@@ -2,13 +2,17 @@
 
 from __future__ import annotations
 
-from . import bottomk, line_dedup, mixing, sharding
+from . import bottomk, decontaminate, line_dedup, mixing, probminhash, sharding, token_counts, toxicity
 
 QUERIES = {
     "op1_bounded_ring": sharding.op1_query,
+    "op4_probminhash": probminhash.op4_query,
     "op5_source_mix": mixing.op5_query,
+    "op6_simhash_leaks": decontaminate.op6_query,
     "op7_line_dedup": line_dedup.op7_query,
+    "op8_token_cache": token_counts.op8_query,
     "op9_bottom_k": bottomk.op9_query,
+    "op10_toxicity": toxicity.op10_query,
 }
 
 ORACLE_SQL = {
