@@ -24,14 +24,15 @@ from dataclasses import dataclass, field
 from functools import reduce
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import U64, WordHashes, mix64, shingles_of, word_hashes
+from .shared import U64, WordHashes, broadcast_if_small, materialize, mix64, shingles_of, word_hashes
 
 _POP8 = np.array([bin(i).count("1") for i in range(256)], np.uint8)
 MATCHES = "row bigint, item_id bigint, start_word int, n_words int, distance int, similarity double"
+ARROW = pa.schema([("row", pa.int64()), ("item_id", pa.int64()), ("start_word", pa.int32()), ("n_words", pa.int32()), ("distance", pa.int32()), ("similarity", pa.float64())])
 
 
 @dataclass(frozen=True)
@@ -146,15 +147,16 @@ def build_index(items: list[tuple[int, str | None]], spec: LeakSpec) -> ItemInde
     return ItemIndex([i for i, _ in pairs], [s for _, s in pairs], spec)
 
 
-def _scan(batches: Iterator[pd.DataFrame], index: ItemIndex) -> Iterator[pd.DataFrame]:
+def _scan(batches: Iterator[pa.RecordBatch], index: ItemIndex) -> Iterator[pa.RecordBatch]:
     memo, spec = WordHashes(), index.spec
     for batch in batches:
         rows = []
-        for row, text in zip(batch["row"], batch["text"], strict=True):
+        for row, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
             shingles = shingles_of(word_hashes(text, memo), spec.width)
             for item, start, distance, similar in index.matches(shingles) if len(shingles) else ():
                 rows.append((row, index.ids[item], start, min(len(index.bags[item]), len(shingles)) + spec.width - 1, distance, similar))
-        yield pd.DataFrame(rows, columns=[c.split()[0] for c in MATCHES.split(", ")])
+        columns = list(zip(*rows, strict=True)) or [()] * len(ARROW)
+        yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(columns, ARROW, strict=True)], schema=ARROW)
 
 
 def find_leaks(docs: DataFrame, items: DataFrame, spec: LeakSpec = LeakSpec(), *, key: str = "doc_id", text: str = "text", block_items: int = 2000) -> DataFrame:
@@ -166,7 +168,7 @@ def find_leaks(docs: DataFrame, items: DataFrame, spec: LeakSpec = LeakSpec(), *
 
     def scan(block):
         index = build_index(block, spec)
-        return slim.mapInPandas(lambda it: _scan(it, index), MATCHES) if index.ids else None
+        return slim.mapInArrow(lambda it: _scan(it, index), MATCHES) if index.ids else None
 
     for item in listed.toLocalIterator():
         block.append((item[0], item[1]))
@@ -178,9 +180,9 @@ def find_leaks(docs: DataFrame, items: DataFrame, spec: LeakSpec = LeakSpec(), *
 
 
 def without_leaks(docs: DataFrame, items: DataFrame, spec: LeakSpec = LeakSpec(), *, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """docs without the rows whose key has a leak; rows with a null key stay only if their text has none."""
+    """docs without the rows whose text has a leak."""
     leaks = find_leaks(docs.select(F.xxhash64(F.col(text)).alias("_mark"), F.col(text).alias("_body")), items, spec, key="_mark", text="_body")
-    marks = leaks.select(F.col("row").alias("_mark")).distinct()
+    marks, _ = broadcast_if_small(materialize(leaks.select(F.col("row").alias("_mark")).distinct(), "leaks"), 500_000)  # 8 bytes a row
     return docs.withColumn("_mark", F.xxhash64(F.col(text))).join(marks, "_mark", "left_anti").select(*docs.columns)
 
 

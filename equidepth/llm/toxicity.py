@@ -26,7 +26,7 @@ from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -39,15 +39,19 @@ EDGES = ".,;:!?\"'()[]{}<>«»“”‘’…|-–—*_#$%&~"
 class ToxicSpec:
     """Sizes of the model and of its training; rows bounds the labelled texts it reads."""
 
-    rows: int = 6000
+    rows: int = 8000
     least: int = 3
-    most: int = 5
-    buckets: int = 1 << 17
-    dim: int = 12
-    passage: int = 48
-    epochs: int = 8
-    batch: int = 32
-    rate: float = 0.5
+    most: int = 8
+    buckets: int = 1 << 18
+    dim: int = 8
+    passage: int = 64
+    epochs: int = 6
+    batch: int = 64
+    rate: float = 0.02
+    penalty: float = 1e-5
+    gain: float = 64.0
+    z: float = 4.0
+    min_docs: int = 5
     seed: int = 7
     threshold: float = 0.3
 
@@ -108,64 +112,95 @@ def top_passage(heights: np.ndarray, length: int) -> tuple[float, int]:
     return float(means[best]), int(starts[best])
 
 
+def telling_entries(docs: list[np.ndarray], y: np.ndarray, flat: np.ndarray, first: np.ndarray, sizes: np.ndarray, spec: ToxicSpec) -> np.ndarray:
+    """Table entries that differ between the classes in the share of texts that hold them, by `z` standard errors."""
+    holders = np.zeros((2, spec.buckets))
+    for d, label in zip(docs, y, strict=True):
+        w = np.unique(d)
+        if len(w):
+            holders[int(label), np.unique(flat[_runs(first[w], sizes[w])])] += 1
+    n = np.array([max(1.0, float((y == c).sum())) for c in (0, 1)])
+    share = holders.sum(axis=0) / n.sum()
+    spread = np.sqrt(share * (1 - share) * (1 / n).sum()) + 1e-12
+    return (np.abs(holders[1] / n[1] - holders[0] / n[0]) >= spec.z * spread) & (holders.sum(axis=0) >= spec.min_docs)
+
+
+def _runs(first: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """first[0], first[0] + 1, ... (sizes[0] of them), first[1], ..."""
+    return np.repeat(first - np.concatenate([[0], np.cumsum(sizes)[:-1]]), sizes) + np.arange(sizes.sum())
+
+
 def train(texts: list[str], labels: list[int], spec: ToxicSpec = ToxicSpec()) -> ToxicModel:
-    y = np.asarray(labels, np.float64)
+    """Adam over mini-batches of the texts' highest passages; the first round takes whole texts.
+
+    Entries that do not tell the classes apart (telling_entries) keep the vector 0.
+    """
+    y = np.asarray(labels, np.int64)
     share = float(y.mean()) if len(y) else 0.0
     if len(set(labels)) < 2:
         z = np.log(max(share, 1e-9) / max(1 - share, 1e-9))
         return ToxicModel(spec, np.zeros(spec.buckets, np.float32), 0.0, 0.0, float(z))
     vocabulary: dict[str, int] = {}
-    docs = [np.array([vocabulary.setdefault(bare(w), len(vocabulary)) for w in t.lower().split()], np.int32) for t in texts]
-    lists = [grams(w, spec) for w in vocabulary]
-    sizes = np.array([len(x) for x in lists] or [1])
-    flat = np.fromiter((g for x in lists for g in x), np.int32, int(sizes.sum()) if lists else 0)
-    first = np.concatenate([[0], np.cumsum(sizes)[:-1]])
+    docs = [np.array([vocabulary.setdefault(bare(w), len(vocabulary)) for w in t.lower().split()], np.int64) for t in texts]
+    lists = [np.array(grams(w, spec), np.int32) for w in vocabulary]
+    total = np.array([len(x) for x in lists] or [1])  # a word's mean is over all its entries, zero vectors too
+    flat = np.concatenate(lists) if lists else np.zeros(1, np.int32)
+    first = np.concatenate([[0], np.cumsum(total)[:-1]])
     del lists, vocabulary
+    active = telling_entries(docs, y, flat, first, total, spec)
+    keep = active[flat]
+    sizes = np.add.reduceat(keep.astype(np.int64), first)
+    flat = (np.cumsum(active) - 1)[flat[keep]]
+    first = np.concatenate([[0], np.cumsum(sizes)[:-1]])
+    n = int(active.sum())
     rng = np.random.default_rng(spec.seed)
-    table = (rng.random((spec.buckets, spec.dim), np.float32) - 0.5) / spec.dim
-    soft = (rng.random((spec.dim, 2)) - 0.5).astype(np.float32)
-    b = np.array([0.0, np.log(share / (1 - share))], np.float32)
-    seen_t, seen_s, seen_b = np.full(spec.buckets, 1e-6, np.float32), np.full(soft.shape, 1e-6, np.float32), np.full(2, 1e-6, np.float32)
+    size = n * spec.dim
+    theta = np.concatenate([rng.normal(0, 0.1, size), rng.normal(0, 0.3, spec.dim * 2), [0.0, np.log(share / (1 - share))]])
+    m, v, step = np.zeros_like(theta), np.zeros_like(theta), 0
+
+    def heights_of_words() -> np.ndarray:
+        soft = theta[size : size + 2 * spec.dim].reshape(spec.dim, 2)
+        entry = spec.gain * (theta[:size].reshape(n, spec.dim) @ (soft[:, 1] - soft[:, 0]))
+        return np.bincount(np.repeat(np.arange(len(sizes)), sizes), entry[flat], len(sizes)) / total if n else np.zeros(len(sizes))
+
+    bags = docs
     for epoch in range(spec.epochs):
         if epoch:
-            high = np.add.reduceat((table @ (soft[:, 1] - soft[:, 0]))[flat], first) / sizes
+            high = heights_of_words()
             bags = [d[(s := top_passage(high[d], spec.passage)[1]) : s + spec.passage + spec.passage // 2] for d in docs]
-        else:
-            bags = docs
         for at in np.array_split(rng.permutation(len(docs)), max(1, len(docs) // spec.batch)):
-            at = [i for i in at if len(bags[i])]
-            if not at:
-                continue
+            table, soft, b = theta[:size].reshape(n, spec.dim), theta[size : size + 2 * spec.dim].reshape(spec.dim, 2), theta[-2:]
             lens = np.array([len(bags[i]) for i in at])
             words = np.concatenate([bags[i] for i in at])
             count = sizes[words]
-            spot = np.repeat(first[words] - np.concatenate([[0], np.cumsum(count)[:-1]]), count) + np.arange(count.sum())
-            entry = flat[spot]
-            weight = np.repeat(1.0 / (count * np.repeat(lens, lens)), count).astype(np.float32)
-            per_bag = np.add.reduceat(count, np.concatenate([[0], np.cumsum(lens)[:-1]]))
-            owner_start = np.concatenate([[0], np.cumsum(per_bag)[:-1]])
-            vector = np.add.reduceat(table[entry] * weight[:, None], owner_start)
+            entry = flat[_runs(first[words], count)] if count.sum() else np.zeros(0, np.int64)
+            owner = np.repeat(np.repeat(np.arange(len(at)), lens), count)
+            weight = np.repeat(spec.gain / (total[words] * np.repeat(np.maximum(lens, 1), lens)), count)
+            cell = owner * n + entry
+            used, place = np.unique(cell, return_inverse=True)
+            amount = np.bincount(place, weight, len(used))
+            who, what = used // max(n, 1), used % max(n, 1)
+            vector = np.zeros((len(at), spec.dim))
+            np.add.at(vector, who, table[what] * amount[:, None])
             logit = vector @ soft + b
             p = np.exp(logit - logit.max(axis=1, keepdims=True))
             p /= p.sum(axis=1, keepdims=True)
-            p[np.arange(len(at)), y[at].astype(int)] -= 1.0
+            p[np.arange(len(at)), y[at]] -= 1.0
             p /= len(at)
-            g_soft, g_b, g_vec = vector.T @ p, p.sum(axis=0), p @ soft.T
-            unique, place = np.unique(entry, return_inverse=True)
-            spread = np.repeat(g_vec, per_bag, axis=0) * weight[:, None]
-            order = np.argsort(place, kind="stable")
-            g_table = np.add.reduceat(spread[order], np.concatenate([[0], np.cumsum(np.bincount(place))[:-1]]))
-            seen_t[unique] += (g_table**2).mean(axis=1)
-            seen_s += g_soft**2
-            seen_b += g_b**2
-            table[unique] -= spec.rate * g_table / np.sqrt(seen_t[unique])[:, None]
-            soft -= (spec.rate * g_soft / np.sqrt(seen_s)).astype(np.float32)
-            b -= (spec.rate * g_b / np.sqrt(seen_b)).astype(np.float32)
-    heights = (table @ (soft[:, 1] - soft[:, 0])).astype(np.float32)
-    high = np.add.reduceat(heights[flat], first) / sizes
-    bias = float(b[1] - b[0])
+            grad = spec.penalty * theta
+            grad[-2:] = p.sum(axis=0)
+            grad[size : size + 2 * spec.dim] += (vector.T @ p).ravel()
+            np.add.at(grad[:size].reshape(n, spec.dim), what, (p @ soft.T)[who] * amount[:, None])
+            step += 1
+            m, v = 0.9 * m + 0.1 * grad, 0.99 * v + 0.01 * grad**2
+            theta = theta - spec.rate * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.99**step)) + 1e-8)
+    high = heights_of_words()
+    heights = np.zeros(spec.buckets, np.float32)
+    soft = theta[size : size + 2 * spec.dim].reshape(spec.dim, 2)
+    heights[active] = spec.gain * (theta[:size].reshape(n, spec.dim) @ (soft[:, 1] - soft[:, 0]))
+    bias = float(theta[-1] - theta[-2])
     tops = np.array([top_passage(high[d], spec.passage)[0] if len(d) else 0.0 for d in docs]) + bias
-    slope, offset = fit_line(tops, y)
+    slope, offset = fit_line(tops, y.astype(np.float64))
     return ToxicModel(spec, heights, bias, slope, offset)
 
 
@@ -197,17 +232,18 @@ def labelled_texts(docs: DataFrame, labels: DataFrame, rows: int) -> tuple[list[
     return [r[2] for r in got], [int(r[3] > 0) for r in got]
 
 
-def _scored(batches: Iterator[pd.DataFrame], model: ToxicModel) -> Iterator[pd.DataFrame]:
+def _scored(batches: Iterator[pa.RecordBatch], model: ToxicModel) -> Iterator[pa.RecordBatch]:
     memo = WordHeights(model)
     for batch in batches:
-        yield batch.drop(columns="_body").assign(score=model.scores(batch["_body"].tolist(), memo))
+        scores = model.scores(batch.column(batch.num_columns - 1).to_pylist(), memo)
+        yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(scores, pa.float64())], names=[*batch.schema.names[:-1], "score"])
 
 
 def score_texts(docs: DataFrame, model: ToxicModel, *, keys: tuple[str, ...] = ("doc_id",), text: str = "text") -> DataFrame:
     """(*keys, score) of every row."""
     slim = docs.select(*keys, text_or_empty(text).alias("_body"))
     schema = ", ".join(f"`{n}` {t}" for n, t in slim.select(*keys).dtypes) + ", score double"
-    return slim.mapInPandas(lambda it: _scored(it, model), schema)
+    return slim.mapInArrow(lambda it: _scored(it, model), schema)
 
 
 def fit(docs: DataFrame, labels: DataFrame, spec: ToxicSpec = ToxicSpec()) -> ToxicModel:
@@ -217,7 +253,10 @@ def fit(docs: DataFrame, labels: DataFrame, spec: ToxicSpec = ToxicSpec()) -> To
 def clean_documents(docs: DataFrame, labels: DataFrame, spec: ToxicSpec = ToxicSpec()) -> DataFrame:
     """docs without those scored at the threshold or above."""
     model = fit(docs, labels, spec)
-    return score_texts(docs, model, keys=tuple(docs.columns), text="text").filter(F.col("score") < spec.threshold).drop("score")
+    named = docs.toDF(*[f"c{i}" for i in range(len(docs.columns))])  # no clash with the score's name
+    body = f"c{docs.columns.index('text')}"
+    kept = score_texts(named, model, keys=tuple(named.columns), text=body).filter(F.col("score") < spec.threshold).drop("score")
+    return kept.toDF(*docs.columns)
 
 
 def op10_query(spark, sf_dir: str) -> DataFrame:
