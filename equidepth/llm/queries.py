@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from . import bottomk, decontaminate, html_crf, line_dedup, mixing, probminhash, sharding, token_counts, toxicity
+from . import bottomk, decontaminate, html_crf, line_dedup, lm_scoring, mixing, probminhash, sharding, token_counts, toxicity
 
 QUERIES = {
     "op1_bounded_ring": sharding.op1_query,
+    "op2_pseudo_likelihood": lm_scoring.op2_query,
     "op3_html_crf": html_crf.op3_query,
     "op4_probminhash": probminhash.op4_query,
     "op5_source_mix": mixing.op5_query,
