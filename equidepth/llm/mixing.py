@@ -87,6 +87,7 @@ def draw_slots(plan: DataFrame, shard_slots: int) -> DataFrame:
     counts = drawn.groupBy("src", "shard").agg(F.count("*").alias("n"))
     before = Window.partitionBy("src").orderBy("shard").rowsBetween(Window.unboundedPreceding, -1)
     counts = counts.withColumn("first", F.coalesce(F.sum("n").over(before), F.lit(0)))
+    counts = counts.repartition(int(parts), "src", "shard")  # each row becomes up to shard_slots
     slots = counts.select("src", "shard", F.explode(F.sequence(F.col("first"), F.col("first") + F.col("n") - 1)).alias("j"))
     return slots.join(plan.select("src", "blocks"), "src").withColumn("block", block_of("j", "blocks", "src")).select("src", "shard", "j", "block")
 
