@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import U64, WordHashes, broadcast_if_small, materialize, mix64, shingles_of, word_hashes
+from .shared import U64, WordHashes, broadcast_if_small, materialize, mix64, shield, shingles_of, word_hashes
 
 _POP8 = np.array([bin(i).count("1") for i in range(256)], np.uint8)
 MATCHES = "row bigint, item_id bigint, start_word int, n_words int, distance int, similarity double"
@@ -179,11 +179,13 @@ def find_leaks(docs: DataFrame, items: DataFrame, spec: LeakSpec = LeakSpec(), *
     return reduce(DataFrame.unionByName, results) if results else spark.createDataFrame([], MATCHES)
 
 
-def without_leaks(docs: DataFrame, items: DataFrame, spec: LeakSpec = LeakSpec(), *, key: str = "doc_id", text: str = "text") -> DataFrame:
+def without_leaks(docs: DataFrame, items: DataFrame, spec: LeakSpec = LeakSpec(), *, text: str = "text") -> DataFrame:
     """docs without the rows whose text has a leak."""
-    leaks = find_leaks(docs.select(F.xxhash64(F.col(text)).alias("_mark"), F.col(text).alias("_body")), items, spec, key="_mark", text="_body")
+    inner, names, restore = shield(docs)
+    body = F.col(names[text])
+    leaks = find_leaks(inner.select(F.xxhash64(body).alias("_mark"), body.alias("_body")), items, spec, key="_mark", text="_body")
     marks, _ = broadcast_if_small(materialize(leaks.select(F.col("row").alias("_mark")).distinct(), "leaks"), 500_000)  # 8 bytes a row
-    return docs.withColumn("_mark", F.xxhash64(F.col(text))).join(marks, "_mark", "left_anti").select(*docs.columns)
+    return restore(inner.withColumn("_mark", F.xxhash64(body)).join(marks, "_mark", "left_anti"))
 
 
 def op6_query(spark, sf_dir: str) -> DataFrame:

@@ -18,7 +18,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .shared import broadcast_if_small, materialize
+from .shared import broadcast_if_small, materialize, shield
 
 
 def _lines(text: Column) -> Column:
@@ -40,32 +40,39 @@ def boilerplate_lines(df: DataFrame, host: Column, *, text: str = "text", max_ra
 
 
 def drop_boilerplate(
-    df: DataFrame, host: Column, *, text: str = "text", max_ratio: float = 0.1, min_pages: int = 5, broadcast_rows: int = 100_000, salts: int = 32,
+    df: DataFrame, host: str = "source", *, text: str = "text", max_ratio: float = 0.1, min_pages: int = 5, broadcast_rows: int = 100_000, salts: int = 32,
 ) -> DataFrame:
-    """df with text cleaned, n_lines and n_dropped added."""
-    known = materialize(boilerplate_lines(df, host, text=text, max_ratio=max_ratio, min_pages=min_pages), "lines")
-    keyed = df.drop("n_lines", "n_dropped").withColumn("_host", F.coalesce(F.concat(F.lit("1"), host), F.lit("0")))
+    """df with text cleaned, n_lines and n_dropped added. host: the column that names the site."""
+    df = df.drop("n_lines", "n_dropped")
+    inner, names, restore = shield(df)
+    site, body = F.col(names[host]), F.col(names[text])
+    known = materialize(boilerplate_lines(inner, site, text=names[text], max_ratio=max_ratio, min_pages=min_pages), "lines")
+    keyed = inner.withColumn("_host", F.coalesce(F.concat(F.lit("1"), site), F.lit("0")))
     known, small = broadcast_if_small(known, broadcast_rows)
     if small:
         joined = keyed.join(known, keyed["_host"] == known["host_key"], "left")
     else:
         salted = known.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
-        keyed = keyed.withColumn("_salt0", F.pmod(F.xxhash64(text), F.lit(salts)).cast("int"))
+        keyed = keyed.withColumn("_salt0", F.pmod(F.xxhash64(body), F.lit(salts)).cast("int"))
         joined = keyed.join(salted, (keyed["_host"] == salted["host_key"]) & (keyed["_salt0"] == salted["_salt"]), "left")
-    lines = F.coalesce(_lines(F.col(text)), F.array().cast("array<string>"))
+    lines = F.coalesce(_lines(body), F.array().cast("array<string>"))
     kept = F.when(F.col("digests").isNull(), lines).otherwise(F.filter(lines, lambda x: (F.trim(x) == "") | ~F.array_contains(F.col("digests"), _digest(x))))
     out = joined.withColumns({"_all": lines, "_kept": kept})
-    return out.select(
-        *[c for c in df.columns if c not in (text, "n_lines", "n_dropped")],
-        F.when(F.col(text).isNotNull(), F.array_join("_kept", "\n")).alias(text),
-        F.size("_all").alias("n_lines"), (F.size("_all") - F.size("_kept")).alias("n_dropped"),
-    )
+    cleaned = F.when(body.isNotNull(), F.array_join("_kept", "\n"))
+    out = out.withColumns({"n_lines": F.size("_all"), "n_dropped": F.size("_all") - F.size("_kept")}).withColumn(names[text], cleaned)
+    return restore(out, "n_lines", "n_dropped")
+
+
+def host_of(url: Column) -> Column:
+    """The host part of a URL, lower case; null where there is none."""
+    found = F.lower(F.regexp_extract(url, r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/@]*@)?([^/:?#]+)", 1))
+    return F.when(found != "", found)
 
 
 def op7_query(spark, sf_dir: str) -> DataFrame:
     """Every document without its source's boilerplate lines."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text", "source")
-    return drop_boilerplate(docs, F.col("source")).select("doc_id", "source", "text", "n_lines", "n_dropped")
+    return drop_boilerplate(docs, "source").select("doc_id", "source", "text", "n_lines", "n_dropped")
 
 
 OP7_SQL = r"""

@@ -27,7 +27,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .shared import materialize, text_or_empty
+from .shared import materialize, shield, text_or_empty
 
 WORD_RUN = r"[^\x20\x09-\x0D]+"
 #: Primes under 2**30, multipliers of the block permutations.
@@ -135,14 +135,16 @@ def mixed_documents(docs: DataFrame, **options) -> DataFrame:
 
     Documents without a word are in no mix and do not come back.
     """
-    rows, _, _ = mix(docs, **options)
+    inner, names, restore = shield(docs)
+    source, text, key = names[options.pop("source", "source")], names[options.pop("text", "text")], names["doc_id"]
+    rows, _, _ = mix(inner.withColumn("doc_id", F.col(key)), source=source, text=text, **options)
     part = _digest_number(F.concat(F.lit("round/"), F.coalesce(F.col("doc_id").cast("string"), F.lit("")))) / F.lit(float(1 << 32))
     copies = rows.filter("taken > 0").groupBy("doc_id", "src", "size").agg(F.sum("taken").alias("taken"), F.count("*").alias("rows"))
     copies = copies.withColumn("copies", F.floor(F.col("taken") / (F.col("size") * F.col("rows")) + part).cast("int")).filter("copies > 0")
     copies = copies.select(F.col("doc_id").alias("_id"), F.col("src").alias("_src"), F.col("size").alias("_size"), "copies")
-    body = docs.withColumns({"_key": _source_key(options.get("source", "source")), "_words": F.regexp_count(text_or_empty(options.get("text", "text")), F.lit(WORD_RUN)).cast("long")})
-    joined = body.join(copies, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_key") == F.col("_src")) & (F.col("_words") == F.col("_size")))
-    return joined.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("copies")))).select(*docs.columns)
+    body = inner.withColumns({"_key": _source_key(source), "_words": F.regexp_count(text_or_empty(text), F.lit(WORD_RUN)).cast("long")})
+    joined = body.join(copies, F.col(key).eqNullSafe(F.col("_id")) & (F.col("_key") == F.col("_src")) & (F.col("_words") == F.col("_size")))
+    return restore(joined.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("copies")))))
 
 
 def op5_query(spark, sf_dir: str) -> DataFrame:

@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .shared import text_or_empty
+from .shared import shield, text_or_empty
 
 
 @dataclass(frozen=True)
@@ -108,11 +108,14 @@ def assign_shards(
     """
     if load not in ("rows", "bytes"):
         raise ValueError("load is 'rows' or 'bytes'")
+    df = df.drop("shard", "slot")
+    df, names, restore = shield(df)
+    key, text = names[key], names[text]
     ring = Ring(shards, vnodes, seed=seed)
     spread = F.xxhash64(text_or_empty(text))
     point = F.xxhash64(F.lit(seed), F.col(key))
     weight: Column = F.lit(1).cast("long") if load == "rows" else F.octet_length(text_or_empty(text)).cast("long") + 8
-    laid = df.drop("shard", "slot").withColumns({
+    laid = df.withColumns({
         "_point": point, "_spread": spread, "_weight": weight,
         "_cell": F.shiftrightunsigned(point, 64 - (ring.cells - 1).bit_length()).cast("int"),
         "_sub": F.pmod(spread, F.lit(subs)).cast("int"),
@@ -131,7 +134,7 @@ def assign_shards(
     found = laid.withColumn("_rank", rank).join(cut, ["_cell", "_sub"])
     found = found.filter((F.col("_rank") >= F.col("_from")) & (F.col("_rank") < F.col("_to")))
     if load == "rows":
-        return found.withColumn("slot", F.col("_slot0") + F.col("_rank") - F.col("_from")).select(*df.drop("shard", "slot").columns, "shard", "slot")
+        return restore(found.withColumn("slot", F.col("_slot0") + F.col("_rank") - F.col("_from")), "shard", "slot")
     counts = sorted(tuple(r) for r in found.groupBy("_cell", "_sub", "shard").count().collect())
     base, offset = [0] * shards, []
     for cell, sub, shard, n in counts:
@@ -140,7 +143,7 @@ def assign_shards(
     start = F.broadcast(_pieces_frame(spark, offset).select("_cell", "_sub", "shard", F.col("_slot0").alias("_base")))
     order = Window.partitionBy("_cell", "_sub", "shard").orderBy("_rank", "_point", "_spread")
     numbered_rows = found.withColumn("_n", F.row_number().over(order)).join(start, ["_cell", "_sub", "shard"])
-    return numbered_rows.withColumn("slot", (F.col("_base") + F.col("_n") - 1).cast("long")).select(*df.drop("shard", "slot").columns, "shard", "slot")
+    return restore(numbered_rows.withColumn("slot", (F.col("_base") + F.col("_n") - 1).cast("long")), "shard", "slot")
 
 
 def op1_query(spark, sf_dir: str) -> DataFrame:

@@ -55,6 +55,19 @@ def arrow_rows(spark: SparkSession, rows: int):
         spark.conf.set(name, before)
 
 
+def shield(docs: DataFrame):
+    """(docs with columns c0, c1, ..., old name to new, a function that gives a result its old names back).
+
+    An input may hold any column names; ours cannot meet them then.
+    """
+    names = {n: f"c{i}" for i, n in enumerate(docs.columns)}
+
+    def restore(df: DataFrame, *more: str, without: tuple[str, ...] = ()) -> DataFrame:
+        return df.select(*[F.col(c).alias(n) for n, c in names.items() if n not in without], *more)
+
+    return docs.toDF(*names.values()), names, restore
+
+
 def text_or_empty(col: str | Column = "text") -> Column:
     return F.coalesce(F.col(col) if isinstance(col, str) else col, F.lit(""))
 
