@@ -230,9 +230,47 @@ def train_cdf_sql(sample: DataFrame, leaves: int = 64) -> DataFrame:
     return fitted.withColumn("lo", F.coalesce(F.lag("hi").over(Window.orderBy("leaf")), F.lit(0.0))).select("leaf", "n", "slope", "intercept", "lo", "hi")
 
 
-def refine_heavy(sample_codes: np.ndarray, finer_codes: np.ndarray, f: int, leaves: int = 64) -> tuple[CdfModel, dict[float, CdfModel]]:
-    """A model on the codes, and for every code heavier than a slice a model of its keys' further bytes."""
-    model = train_cdf(sample_codes, leaves, "quantile")
-    values, counts = np.unique(sample_codes, return_counts=True)
-    heavy = values[counts > len(sample_codes) / f]
-    return model, {float(v): train_cdf(finer_codes[sample_codes == v], leaves, "quantile") for v in heavy if len(np.unique(finer_codes[sample_codes == v])) > 1}
+@dataclass(frozen=True)
+class RefinedModel:
+    """A model on codes, and below each code that is heavier than a slice a model on its keys' next bytes.
+
+    A heavy code's band of the distribution is cut by the finer model, which may be refined in turn.
+    """
+
+    base: CdfModel
+    finer: dict[float, tuple[float, float, "CdfModel | RefinedModel"]]
+
+    @property
+    def bytes(self) -> int:
+        return self.base.bytes + sum(m.bytes for _, _, m in self.finer.values())
+
+    def cdf(self, *codes: Column) -> Column:
+        """codes: of the first bytes, of the next, and so on."""
+        out = self.base.cdf(codes[0])
+        for v, (low, high, m) in self.finer.items():
+            inner = m.cdf(*codes[1:]) if isinstance(m, RefinedModel) else m.cdf(codes[1])
+            out = F.when(codes[0] == F.lit(v), F.lit(low) + F.coalesce(inner, F.lit(1.0)) * F.lit(high - low)).otherwise(out)
+        return out
+
+    def pid(self, f: int, *codes: Column) -> Column:
+        return F.when(codes[0].isNotNull(), F.least(F.lit(f - 1), F.floor(self.cdf(*codes) * f).cast("int")))
+
+
+def refine_heavy(samples: np.ndarray, f: int, leaves: int = 64, most: int = 64) -> "CdfModel | RefinedModel":
+    """samples: one column for each level of codes of the same sampled keys. At most `most` codes a level are refined."""
+    codes = samples[:, 0]
+    model = train_cdf(codes, leaves, "quantile")
+    if samples.shape[1] == 1 or not len(codes):
+        return model
+    values, counts = np.unique(codes, return_counts=True)
+    ends = np.cumsum(counts) / len(codes)
+    heavy = [i for i in np.argsort(-counts)[:most] if counts[i] > len(codes) / f]
+    finer = {}
+    for i in heavy:
+        rest = samples[codes == values[i]][:, 1:]
+        if len(np.unique(rest[:, 0])) > 1 or rest.shape[1] > 1:
+            # never below what smaller codes reach, never above what larger ones start from
+            low = float(model.cdf_np(values[i - 1 : i])[0]) if i else 0.0
+            high = float(model.cdf_np(values[i + 1 : i + 2])[0]) if i + 1 < len(values) else 1.0
+            finer[float(values[i])] = (max(low, float(ends[i] - counts[i] / len(codes))) if i else 0.0, max(low, min(high, float(ends[i]))), refine_heavy(rest, max(2, int(f * counts[i] / len(codes))), leaves, most))
+    return RefinedModel(model, finer) if finer else model

@@ -14,11 +14,13 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession, Window, WindowSpec
 from pyspark.sql import functions as F
 
-from .cdf_model import CdfModel, train_cdf
+from .cdf_model import CdfModel, RefinedModel, refine_heavy, train_cdf
 from .keys import KeySpec, Order, orders, profile, resolve
 from .sampling import SampleSpec, draw_sample
 
 PID = "_pid"
+#: Codes of seven bytes each that a refined model looks at.
+LEVELS = 8
 
 
 def choose_slices(total_bytes: int, slice_bytes: int = 256 << 20, headroom: float = 2.0, least: int = 1) -> int:
@@ -119,17 +121,15 @@ class SortedFrame:
 
 def with_slices(df: DataFrame, spec: KeySpec, model: CdfModel, f: int) -> DataFrame:
     """df with _pid. The code is a column of its own first, so the model's expression does not repeat it."""
-    coded = df.withColumn("_code", spec.code())
     null_slice = 0 if spec.order.nulls_lead else f - 1
+    if isinstance(model, RefinedModel):
+        levels = [f"_code{k}" for k in range(LEVELS)]
+        coded = df.withColumns({c: spec.level(k).code() for k, c in enumerate(levels)})
+        return coded.withColumn(PID, F.coalesce(model.pid(f, *[F.col(c) for c in levels]), F.lit(null_slice))).drop(*levels)
+    coded = df.withColumn("_code", spec.code())
     return coded.withColumn(PID, F.coalesce(model.pid(F.col("_code"), f), F.lit(null_slice))).drop("_code")
 
 
-def slice_column(spec: KeySpec, model: CdfModel, f: int) -> Column:
-    """The slice of every row: the model's, or the end where the order puts nulls."""
-    null_slice = 0 if spec.order.nulls_lead else f - 1
-    return F.coalesce(model.pid(spec.code(), f), F.lit(null_slice))
-
-
 def train_for(df: DataFrame, spec: KeySpec, *, sample: SampleSpec = SampleSpec(), leaves: int | None = None, root: str | None = None, rows: int | None = None) -> tuple[CdfModel, int]:
     """(model, rows) of a frame's leading key. Strings get a quantile root, numbers a linear one."""
     rows = df.count() if rows is None else rows
@@ -140,16 +140,24 @@ def train_for(df: DataFrame, spec: KeySpec, *, sample: SampleSpec = SampleSpec()
 
 def model_sort(
     df: DataFrame, by, *, f: int | None = None, sample: SampleSpec = SampleSpec(), leaves: int | None = None, root: str | None = None,
-    model: CdfModel | None = None, ties=None, strip_prefix: bool = True, slice_bytes: int = 256 << 20, rounds: int = 1,
+    model: CdfModel | None = None, ties=None, strip_prefix: bool = True, slice_bytes: int = 256 << 20, rounds: int = 1, refine: bool = False,
 ) -> SortedFrame:
     """Sort by columns ("-name" falls). ties: further columns that settle equal keys.
 
     f: slices; without it, from the plan's size estimate and at least the shuffle partitions.
     model: a model trained before, for frames that must be sliced alike.
+    refine: for rising text keys, give codes heavier than a slice models of their keys' next bytes.
     """
     by = orders(by) + (orders(ties) if ties else [])
     spec = resolve(df, by[0], strip_prefix=strip_prefix)
     rows = None
+    if model is None and refine and spec.kind == "bytes" and not spec.order.descending:
+        rows = df.count()
+        codes = df.select(*[spec.level(k).code().alias(f"c{k}") for k in range(LEVELS)])
+        part = codes if sample.rate(rows) >= 1 else codes.sample(False, sample.rate(rows), sample.seed)
+        table = part.filter(F.col("c0").isNotNull()).toArrow()
+        points = np.stack([table.column(k).to_numpy() for k in range(LEVELS)], axis=1) if table.num_rows else np.zeros((0, LEVELS))
+        model = refine_heavy(points, f or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), leaves or 64)
     if model is None:
         model, rows = train_for(df, spec, sample=sample, leaves=leaves, root=root)
     if f is None:

@@ -94,6 +94,10 @@ class KeySpec:
     skip: int = 0
     width: int = 7
 
+    def level(self, k: int) -> KeySpec:
+        """The code of the bytes after the first k codes' bytes."""
+        return KeySpec(self.order, self.kind, self.skip + k * self.width, self.width)
+
     def code(self) -> Column:
         """A double that rises with the order asked for; null where the key is null."""
         c = F.col(self.order.name)

@@ -8,12 +8,15 @@ from __future__ import annotations
 
 import heapq
 import math
+from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .keys import Order, orders
+from .keys import Order, orders, resolve
+from .memsort import memory_order, touch_up
 
 PRESETS = {
     # run routine, merge strategy, fan-in of each level
@@ -24,22 +27,53 @@ PRESETS = {
 }
 
 
-def make_runs(df: DataFrame, by, run_rows: int = 10_000, *, payload: bool = True, locator: str | None = None) -> DataFrame:
+def make_runs(df: DataFrame, by, run_rows: int = 10_000, *, payload: bool = True, locator: str | None = None, routine: str | None = None) -> DataFrame:
     """df with run_id and pos: consecutive chunks of about run_rows, each sorted in its task.
 
     payload=False keeps the keys and a locator; fetch_payload() brings the rest at the end.
+    routine: one of memsort's, on the leading key's codes, touched up by whole keys; without it Spark's own sort.
     """
     by = orders(by)
     if not payload:
         if locator is None:
             raise ValueError("runs without payload need a locator")
         df = df.select(*dict.fromkeys([*(o.name for o in by), locator]))
+    if routine is not None:
+        spec = resolve(df, by[0])
+        schema = ", ".join(f"`{n}` {t}" for n, t in df.dtypes) + ", run_id long, pos long"
+        end = -np.inf if by[0].nulls_lead else np.inf
+        return df.withColumn("_code", spec.code()).withColumn("_part", F.spark_partition_id()).mapInArrow(lambda it: _runs(it, by, run_rows, routine, end), schema)
     placed = df.withColumn("_row", F.monotonically_increasing_id())
     run = F.shiftright("_row", 33) * 1_000_000 + F.floor(F.col("_row").bitwiseAND((1 << 33) - 1) / run_rows)
     w = Window.partitionBy("run_id").orderBy(*[o.column() for o in by], "_row")
     return placed.withColumn("run_id", run.cast("long")).withColumn("pos", F.row_number().over(w).cast("long")).drop("_row")
 
 
+def _runs(batches: Iterator[pa.RecordBatch], by: list[Order], run_rows: int, routine: str, end: float) -> Iterator[pa.RecordBatch]:
+    """Runs of a partition: codes ordered by the routine, then an insertion pass by whole keys."""
+    held, rows, number = [], 0, 0
+
+    def run() -> pa.Table:
+        table = pa.Table.from_batches(held)
+        codes = np.array([end if c is None else c for c in table.column("_code").to_pylist()], np.float64)
+        keys = [_key(r, by) for r in table.select([o.name for o in by]).to_pylist()]
+        order, _ = touch_up(keys, memory_order(codes, routine))
+        name = (table.column("_part")[0].as_py() << 33) + number
+        out = table.drop_columns(["_code", "_part"]).take(pa.array(order))
+        return out.append_column("run_id", pa.array([name] * len(order), pa.int64())).append_column("pos", pa.array(range(1, len(order) + 1), pa.int64()))
+
+    for batch in batches:
+        while batch.num_rows:
+            take = min(batch.num_rows, run_rows - rows)
+            held.append(batch.slice(0, take))
+            rows, batch = rows + take, batch.slice(take)
+            if rows == run_rows:
+                yield from run().combine_chunks().to_batches()
+                held, rows, number = [], 0, number + 1
+    if held:
+        yield from run().combine_chunks().to_batches()
+
+
 def fetch_payload(sorted_keys: DataFrame, df: DataFrame, locator: str) -> DataFrame:
     return sorted_keys.select(locator, "rn").join(df, locator)
 
@@ -108,5 +142,5 @@ def merge_runs(runs: DataFrame, by, strategy: str = "heap", fan_in: tuple[int, .
 
 def external_merge_sort(df: DataFrame, by, preset: str = "os", run_rows: int = 10_000) -> DataFrame:
     """A preset of run creation and merging: "os" (heap of all runs), "A", "B", "C"."""
-    _, strategy, fan_in = PRESETS[preset]
-    return merge_runs(make_runs(df, by, run_rows), by, strategy, fan_in)
+    routine, strategy, fan_in = PRESETS[preset]
+    return merge_runs(make_runs(df, by, run_rows, routine=routine), by, strategy, fan_in)

@@ -109,6 +109,7 @@ query("sort_two_rounds", sort_sql("lineitem", LINEITEM, rest(LINEITEM, "l_extend
 query("sort_recursive_root", sort_sql("events", EVENTS, _EV))(lambda s, d: model_sort(table(s, d, "events"), _EV, f=16, root="recursive").with_rn())
 query("sort_first_batch_sample", sort_sql("events", EVENTS, ["ts", "event_id"]))(lambda s, d: model_sort(table(s, d, "events"), ["ts", "event_id"], f=16, sample=SampleSpec(method="first_batch", batch_rows=1000)).with_rn())
 query("sort_late_payload", sort_sql("orders", ORDERS, ["o_totalprice", "o_orderkey"]))(lambda s, d: sort_late_payload(table(s, d, "orders"), ["o_totalprice", "o_orderkey"], "o_orderkey", f=16))
+query("sort_url_refined", sort_sql("pages", ["page_id", "url"], ["url", "page_id"]))(lambda s, d: model_sort(table(s, d, "pages").select("page_id", "url"), ["url", "page_id"], f=8, refine=True).with_rn())
 query("radix_sort", sort_sql("events", EVENTS, _EV))(lambda s, d: radix_sort(table(s, d, "events"), _EV, 16).with_rn())
 
 
@@ -133,6 +134,7 @@ for _name, _how, _fan in (("heap", "heap", (200,)), ("binary", "binary", (2,)),
     query(f"merge_sort_{_name}", sort_sql("orders", ORDERS, _OE))(lambda s, d, h=_how, k=_fan: M.merge_runs(M.make_runs(table(s, d, "orders"), _OE, 2000), _OE, h, k))
 for _p in ("os", "A", "B", "C"):
     query(f"merge_preset_{_p.lower()}", sort_sql("customer", CUSTOMER, ["-c_acctbal", "c_custkey"]))(lambda s, d, p=_p: M.external_merge_sort(table(s, d, "customer"), ["-c_acctbal", "c_custkey"], p, 500))
+query("merge_model_runs", sort_sql("orders", ORDERS, _OE))(lambda s, d: M.merge_runs(M.make_runs(table(s, d, "orders"), _OE, 4000, routine="model"), _OE, "heap"))
 query("merge_key_index_runs", sort_sql("orders", ORDERS, _OE))(lambda s, d: M.fetch_payload(M.merge_runs(M.make_runs(table(s, d, "orders"), _OE, 4000, payload=False, locator="o_orderkey"), _OE, "heap"), table(s, d, "orders"), "o_orderkey"))
 
 

@@ -232,6 +232,22 @@ def _sharded(spark, d):
     return spark.read.parquet(path).agg(F.count("*").alias("n"), F.sum("o_orderkey").alias("keys"))
 
 
+@query("write_bucketed", "SELECT l_orderkey, count(*) AS n FROM lineitem GROUP BY l_orderkey")
+def _bucketed(spark, d):
+    """A bucketed table's groups by its key need no exchange."""
+    name = f"equidepth_{uuid.uuid4().hex}"
+    io.write_bucketed(table(spark, d, "lineitem").select("l_orderkey", "l_quantity"), name, "l_orderkey", 8)
+    return spark.table(name).groupBy("l_orderkey").agg(F.count("*").alias("n"))
+
+
+@query("slice_cv_udf", "SELECT true AS near")
+def _cv(spark, d):
+    """The grouped function and the built-in agree on the variation of slice sizes."""
+    sf = model_sort(table(spark, d, "events").select("value"), ["value"], f=8)
+    sizes = sf.offsets_frame().withColumn("rows", F.col("rows").cast("double"))
+    return sizes.agg(udf.bin_cv("rows").alias("a")).crossJoin(sizes.agg((F.stddev_pop("rows") / F.avg("rows")).alias("b"))).select((F.abs(F.col("a") - F.col("b")) < 1e-9).alias("near"))
+
+
 # ---- experiments -------------------------------------------------------------------------------------
 
 

@@ -106,3 +106,11 @@ def test_touch_up_heals_truncated_codes():
     order, moves = memsort.model_order(np.array([0.0] * 5 + [1.0]), keys)
     assert [keys[i] for i in order] == sorted(keys) and moves > 0
     assert memsort.touch_up([1, 2, 3], np.array([0, 1, 2]))[1] == 0
+
+
+def test_heavy_codes_are_refined(spark, data):
+    df = spark.read.parquet(data.replace("0.001", "0.01") + "/pages.parquet").select("page_id", "url")
+    plain, fine = model_sort(df, ["url", "page_id"], f=8), model_sort(df, ["url", "page_id"], f=8, refine=True)
+    assert max(fine.sizes) < max(plain.sizes) and max(fine.sizes) < 2.0 * sum(fine.sizes) / 8
+    got = [r["url"] for r in sorted(fine.with_rn().collect(), key=lambda r: r["rn"])]
+    assert got == sorted(got, key=lambda u: u.encode())
