@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.cdf_model import CdfModel
@@ -27,25 +27,23 @@ def zone_map(df: DataFrame, cols: list[str], by: str | Column = PID) -> DataFram
 
 
 def range_scan(sf: SortedFrame, low, high) -> DataFrame:
-    """Rows with low <= key <= high: slices that cannot hold them are dropped first."""
+    """Rows with low <= key <= high; the bounds reach the scan."""
     key = sf.by[0].name
-    ends = sf.spark.createDataFrame([(low,), (high,)], f"{key} {dict(sf.sliced.dtypes)[key]}")
-    found = [r[0] for r in with_slices(ends, sf.spec, sf.model, sf.f).select(PID).collect()]
-    return sf.sliced.filter(F.col(PID).between(min(found), max(found)) & F.col(key).between(F.lit(low), F.lit(high))).select(*sf.columns)
+    return sf.sliced.filter(F.col(key).between(F.lit(low), F.lit(high))).select(*sf.columns)
 
 
 def lookup(sf: SortedFrame, keys: DataFrame, name: str, *, max_keys: int = 1_000_000) -> DataFrame:
-    """Rows whose key is among keys.name: the model names their slices, the others are not read on.
+    """Rows whose key is among keys.name, read between the least and the greatest of them.
 
     keys of more than max_keys rows are joined slice by slice instead of being broadcast.
     """
     key = sf.by[0].name
-    wanted = keys.select(F.col(name).alias(key)).filter(F.col(key).isNotNull()).distinct()
-    placed = with_slices(wanted, sf.spec, sf.model, sf.f).withColumnRenamed(key, "_key").withColumnRenamed(PID, "_kp")
-    if placed.limit(max_keys + 1).count() <= max_keys:
-        slices = [r[0] for r in placed.select("_kp").distinct().collect()]
-        near = sf.sliced.filter(F.col(PID).isin(slices))
-        return near.join(F.broadcast(placed), (F.col(PID) == F.col("_kp")) & (F.col(key) == F.col("_key"))).select(*sf.columns)
+    wanted = keys.select(F.col(name).alias("_key")).filter(F.col("_key").isNotNull()).distinct()
+    seen = wanted.agg(F.min("_key"), F.max("_key"), F.count("*")).first()
+    near = sf.sliced.filter(F.col(key).between(F.lit(seen[0]), F.lit(seen[1])))
+    if seen[2] <= max_keys:
+        return near.join(F.broadcast(wanted), F.col(key) == F.col("_key")).select(*sf.columns)
+    placed = with_slices(wanted.withColumnRenamed("_key", key), sf.spec, sf.model, sf.f).withColumnRenamed(key, "_key").withColumnRenamed(PID, "_kp")
     return sf.exchanged.join(placed.repartitionById(sf.f, F.col("_kp")), (F.col(PID) == F.col("_kp")) & (F.col(key) == F.col("_key"))).select(*sf.columns)
 
 
@@ -106,16 +104,21 @@ def tokens(text: Column) -> Column:
     return F.filter(F.split(F.lower(text), r"\s+"), lambda x: x != "")
 
 
-def inverted_index(docs: DataFrame, *, key: str = "doc_id", text: str = "text", f: int = 16, posting_cap: int = 4096) -> DataFrame:
-    """(term, part, postings): postings (doc, positions) by doc; a frequent term is cut into parts of at most posting_cap documents.
+def inverted_index(docs: DataFrame, *, key: str = "doc_id", text: str = "text", posting_cap: int = 4096, max_frequent: int = 1_000_000) -> DataFrame:
+    """(term, part, postings): postings (doc, positions) by doc; terms of more than posting_cap documents are cut into parts.
 
-    Positions are gathered for each (term, doc) before anything is gathered by term.
+    Positions are gathered for each (term, doc) first. A document is in a frequent term's part by its hash, so no
+    task gathers more than about posting_cap documents of one term. Frequent terms are few (all postings /
+    posting_cap at most); they are counted before they are broadcast.
     """
     words = docs.select(F.col(key).alias("doc"), F.posexplode(tokens(F.col(text))).alias("pos", "term"))
+    held = docs.select(F.explode(F.array_distinct(tokens(F.col(text)))).alias("term")).groupBy("term").agg(F.count("*").alias("df"))
+    frequent = held.filter(F.col("df") > posting_cap).select("term", F.ceil(F.col("df") / posting_cap).cast("int").alias("parts"))
     each = words.groupBy("term", "doc").agg(F.sort_array(F.collect_list("pos")).alias("positions"))
-    numbered = each.withColumn("part", F.floor((F.row_number().over(Window.partitionBy("term", F.pmod(F.xxhash64("doc"), F.lit(16))).orderBy("doc")) - 1) / (posting_cap // 16)))
-    lanes = numbered.withColumn("lane", F.pmod(F.xxhash64("doc"), F.lit(16)).cast("int"))
-    return lanes.groupBy("term", "lane", "part").agg(F.sort_array(F.collect_list(F.struct("doc", "positions"))).alias("postings"))
+    few = frequent.limit(max_frequent + 1).count() <= max_frequent
+    cut = each.join(F.broadcast(frequent) if few else frequent, "term", "left")
+    cut = cut.withColumn("part", F.when(F.col("parts").isNotNull(), F.pmod(F.xxhash64("doc"), F.col("parts")).cast("int")).otherwise(0))
+    return cut.groupBy("term", "part").agg(F.sort_array(F.collect_list(F.struct("doc", "positions"))).alias("postings"))
 
 
 def search(index: DataFrame, terms: list[str], mode: str = "and") -> DataFrame:

@@ -131,7 +131,7 @@ def exact_percentile(sf: SortedFrame, qs: list[float]) -> DataFrame:
         target, before = max(1, -(-int(q * n * 1_000_000) // 1_000_000)), 0
         for i, size in enumerate(sizes):
             if before + size >= target and size:
-                slim = sf.sliced.filter((F.col(PID) == i) & F.col(key).isNotNull()).select(key)
+                slim = sf.slice_range(i, i).sliced.filter(F.col(key).isNotNull()).select(key)
                 w = Window.orderBy(sf.by[0].column())  # one slice
                 parts.append(slim.withColumn("_k", F.row_number().over(w)).filter(F.col("_k") == target - before).select(F.lit(q).alias("q"), F.col(key).alias("value")))
                 break

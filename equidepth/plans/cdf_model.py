@@ -128,6 +128,20 @@ class CdfModel:
         """Slice of a code column, 0 to f - 1; null stays null."""
         return F.when(x.isNotNull(), F.least(F.lit(f - 1), F.floor(self.cdf(x) * f).cast("int")))
 
+    def slice_start(self, p: int, f: int) -> float:
+        """The least code whose slice is p or later; infinity where there is none. Slices rise with codes, so halving finds it."""
+        low, high = _rank(-FAR), _rank(FAR)
+        if self.pid_np(np.array([FAR]), f)[0] < p:
+            return float("inf")
+        while low < high:
+            mid = (low + high) // 2
+            if self.pid_np(np.array([_unrank(mid)]), f)[0] >= p:
+                high = mid
+            else:
+                low = mid + 1
+        x = _unrank(low)
+        return float("-inf") if x <= -FAR else x
+
     def position(self, x: Column, rows: int) -> Column:
         """Estimated 0-based rank among `rows` rows: the model as an order-preserving hash."""
         return F.floor(self.cdf(x) * F.lit(float(max(rows - 1, 0)))).cast("long")
@@ -138,6 +152,17 @@ class CdfModel:
         return spark.createDataFrame(rows, "leaf int, slope double, intercept double, lo double, hi double, centre double, n long")
 
 
+def _rank(x: float) -> int:
+    """Doubles as integers of the same order."""
+    raw = int(np.array([x], np.float64).view(np.int64)[0])
+    return raw if raw >= 0 else -(raw & 0x7FFFFFFFFFFFFFFF)
+
+
+def _unrank(k: int) -> float:
+    raw = k if k >= 0 else -k - (1 << 63)
+    return float(np.array([raw], np.int64).view(np.float64)[0])
+
+
 def _tree(x: Column, borders: np.ndarray, end=None) -> Column:
     """A balanced tree of comparisons, generated code without a loop: the number of borders at or below x, or end(x, it)."""
 

@@ -115,8 +115,27 @@ class SortedFrame:
         return placed.select(*self.columns, (F.col("row_offset") + F.col("_k")).cast("long").alias(name))
 
     def slice_range(self, low: int, high: int) -> SortedFrame:
-        """Only slices low..high; the others are dropped before the exchange."""
-        return replace(self, sliced=self.sliced.filter(F.col(PID).between(low, high)))
+        """Only slices low..high. The model turns them into a range of keys, which the scan can use, so the
+        others' rows are not read on; sizes already known are kept."""
+        part = replace(self, sliced=self.sliced.filter(self._slices(low, high)))
+        if "sizes" in self.__dict__:
+            part.__dict__["sizes"] = [n if low <= i <= high else 0 for i, n in enumerate(self.sizes)]
+        return part
+
+    def _slices(self, low: int, high: int) -> Column:
+        if not isinstance(self.model, CdfModel):
+            return F.col(PID).between(low, high)
+        start, end = self.model.slice_start(low, self.f), self.model.slice_start(high + 1, self.f)
+        key, falling = F.col(self.spec.order.name), self.spec.order.descending
+        plain = self.spec.kind in ("double", "number")
+        code = key if plain else self.spec.code()
+        inside = F.lit(True)
+        if start > float("-inf"):
+            inside = inside & ((code <= F.lit(-start)) if plain and falling else (code >= F.lit(start)))
+        if end < float("inf"):
+            inside = inside & ((code > F.lit(-end)) if plain and falling else (code < F.lit(end)))
+        null_slice = 0 if self.spec.order.nulls_lead else self.f - 1
+        return (inside | key.isNull()) if low <= null_slice <= high else (inside & key.isNotNull())
 
 
 def with_slices(df: DataFrame, spec: KeySpec, model: CdfModel, f: int) -> DataFrame:

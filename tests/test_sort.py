@@ -114,3 +114,16 @@ def test_heavy_codes_are_refined(spark, data):
     assert max(fine.sizes) < max(plain.sizes) and max(fine.sizes) < 2.0 * sum(fine.sizes) / 8
     got = [r["url"] for r in sorted(fine.with_rn().collect(), key=lambda r: r["rn"])]
     assert got == sorted(got, key=lambda u: u.encode())
+
+
+@pytest.mark.parametrize("key", ["value", "-value", "ts", "event_type"])
+def test_slices_become_key_ranges(spark, data, key):
+    df = spark.read.parquet(f"{data}/events.parquet").withColumn("value", F.when(F.col("event_id") % 50 != 0, F.col("value")))
+    sf = model_sort(df, [key, "event_id"], f=7)
+    for low, high in ((0, 0), (2, 4), (6, 6), (0, 6)):
+        got = {r["event_id"] for r in sf.slice_range(low, high).sliced.select("event_id").collect()}
+        want = {r["event_id"] for r in sf.sliced.filter(F.col(PID).between(low, high)).select("event_id").collect()}
+        assert got == want
+    if key == "value":
+        plan = model_sort(spark.read.parquet(f"{data}/events.parquet"), ["value"], f=7).slice_range(1, 2).sliced._jdf.queryExecution().executedPlan().toString()
+        assert "GreaterThanOrEqual(value" in plan and "LessThan(value" in plan
