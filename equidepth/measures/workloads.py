@@ -16,10 +16,8 @@ from ..plans.keys import KeySpec, Order, ascii_code, byte_code, profile, resolve
 from ..plans.mergesort import external_merge_sort
 from ..plans.partitioners import hash_pid, quantile_pid, radix_pid, sketch_pid
 from ..plans.sampling import SampleSpec, draw_sample
-from ..sources.datagen import SkewSpec, generate_records  # noqa: F401
 from ..sources.io import copy_baseline, write_noop
 from . import metrics
-from .validate import checksum, validate_all  # noqa: F401
 
 
 def sorters(run_rows: int = 20_000, f: int = 16) -> dict[str, Callable[[DataFrame, list[str]], DataFrame]]:

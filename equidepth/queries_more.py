@@ -13,7 +13,7 @@ from .operators import index as I
 from .operators import windows as W
 from .plans import keys as K
 from .plans.extsort import model_sort
-from .queries import EVENTS, ORACLE_SQL, QUERIES, query, scratch, table  # noqa: F401
+from .queries import EVENTS, ORACLE_SQL, QUERIES, query, scratch, table  # noqa: F401  (one table of queries)
 from .sources import io
 from .sources.datagen import SkewSpec, generate_records
 from .streaming import fragments as ST
