@@ -1,7 +1,6 @@
 """Nulls, empty and very long texts, ties, repeated rows, empty tables and clashing columns, for every operator and stage."""
 
 import pytest
-from pyspark.sql import functions as F
 
 import corpus_pipeline
 from equidepth.llm import bottomk, decontaminate, html_crf, line_dedup, lm_scoring, mixing, probminhash, sharding, token_counts, toxicity
