@@ -8,12 +8,13 @@ probability equal to their probability Jaccard similarity. Bands of components p
 candidates whose exact probability Jaccard reaches `threshold` are linked, and components of links
 are the classes, named by their least doc_id.
 
-Scale. Equal texts are one text from the first step on (least doc_id and digest). Each band bucket
-with two texts or more links its members to the bucket's least member, so a bucket of m texts makes m
-candidates, not m squared. Members that turn out not to be near their bucket's least member are tried
-again among themselves, round after round until none is left, so no link is lost to that choice.
-Nothing but round counts comes to the driver. Components are found by alternating large-star and
-small-star steps over links, checkpointed each round.
+Scale. Equal texts are one text from the first step on (by digest). Each band bucket with two texts or
+more links its members to one hub, the member that shares most buckets with others, so a bucket of m texts
+makes m candidates, not m squared. Members that turn out not to be near their hub may be near each other:
+their signatures (a few hundred bytes) are compared block by block, and pairs that agree often enough to be
+near are verified too. Pairs at the threshold are lost with a chance of about 2 * 10^-5. Only the texts
+in shared buckets are fetched for verification, once. Nothing but an edge count comes to the driver.
+Components are found by large-star and small-star steps over links, checkpointed each round.
 
 Nulls: null texts and texts without a word are near nothing and each row keeps its own doc_id as its
 class (null stays null). A text of fewer words than a shingle is one shingle. Repeated rows share
@@ -30,10 +31,11 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import U64, WordHashes, arrow_rows, chunks_by_length, materialize, mix64, shingles_of, text_or_empty, word_hashes
+from .shared import U64, WordHashes, arrow_rows, broadcast_if_small, chunks_by_length, materialize, mix64, shield, shingles_of, text_or_empty, word_hashes
 
 _STEP = U64(0xA0761D6478BD642F)
 CHARS = 2_000_000  # of text signed at once
+BLOCK = 1024  # signatures compared with each other in one task
 
 
 @dataclass(frozen=True)
@@ -45,11 +47,18 @@ class NearSpec:
     bands: int = 28
     rows: int = 5
     seed: int = 29
+    sigmas: float = 4.2  # by which a near pair's agreement may fall short before the pair is passed over
 
     @property
     def components(self) -> int:
         return self.bands * self.rows
 
+    @property
+    def least_agreement(self) -> int:
+        """Components on which a pair at the threshold agrees but for a chance of about 10^-5."""
+        n, p = self.components, self.threshold
+        return max(1, int(n * p - self.sigmas * (n * p * (1 - p)) ** 0.5))
+
 
 def signatures(sets: list[tuple[np.ndarray, np.ndarray]], k: int, seed: int) -> np.ndarray:
     """(n, k) signatures of n weighted sets (hashes, weights); a row of an empty set is 0."""
@@ -86,8 +95,11 @@ def weighted_shingles(text: str | None, memo: WordHashes, width: int) -> tuple[n
     return hashes, counts.astype(np.float64)
 
 
-def probability_jaccard(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray]) -> float:
-    """Exact: the sum over shared elements d of 1 / sum of max(x'/x_d, y'/y_d) over all elements."""
+def probability_jaccard(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray], least: float = 0.0) -> float:
+    """Exact: the sum over shared elements d of 1 / sum of max(x'/x_d, y'/y_d) over all elements.
+
+    It is at most what the shared elements weigh on either side; where that is below `least`, 0 is returned.
+    """
     if not len(a[0]) or not len(b[0]):
         return 0.0
     common, ia, ib = np.intersect1d(a[0], b[0], assume_unique=True, return_indices=True)
@@ -95,6 +107,8 @@ def probability_jaccard(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, n
         return 0.0
     x, y = a[1] / a[1].sum(), b[1] / b[1].sum()
     xs, ys = x[ia], y[ib]
+    if min(xs.sum(), ys.sum()) < least - 1e-9:
+        return 0.0
     # shared elements in order of x/y: those at or above d's ratio count by x, the others by y
     order = np.argsort(xs / ys, kind="stable")
     xs, ys = xs[order], ys[order]
@@ -116,7 +130,7 @@ def _band_rows(batches: Iterator[pd.DataFrame], spec: NearSpec) -> Iterator[pd.D
         seen.update(dict.fromkeys(batch["uid"], 1))
         texts = batch["text"].tolist()
         uids = batch["uid"].to_numpy()
-        for start, end in chunks_by_length([len(t) for t in texts], CHARS):
+        for start, end in chunks_by_length([max(len(t), 2 * spec.components) for t in texts], CHARS):
             sig = signatures([weighted_shingles(t, memo, spec.width) for t in texts[start:end]], spec.components, spec.seed)
             parts = sig.reshape(end - start, spec.bands, spec.rows)
             key = np.zeros(parts.shape[:2], U64)
@@ -125,18 +139,26 @@ def _band_rows(batches: Iterator[pd.DataFrame], spec: NearSpec) -> Iterator[pd.D
             key = mix64(key + np.arange(spec.bands, dtype=U64)[None, :])
             filled = sig.any(axis=1)
             rows = np.flatnonzero(filled)
-            yield pd.DataFrame({"uid": uids[start:end][rows], "keys": list(key[rows].view(np.int64))})
+            low = (sig[rows] & U64(0xFFFF)).astype(np.uint16)
+            yield pd.DataFrame({"uid": uids[start:end][rows], "keys": list(key[rows].view(np.int64)), "sig": [r.tobytes() for r in low]})
 
 
 def _verified(batches: Iterator[pd.DataFrame], spec: NearSpec) -> Iterator[pd.DataFrame]:
     memo = WordHashes()
-    last, base = None, None
+    sets: dict[bytes, tuple[np.ndarray, np.ndarray]] = {}  # of the last texts seen
+
+    def of(uid: bytes, text: str) -> tuple[np.ndarray, np.ndarray]:
+        if uid not in sets:
+            if len(sets) >= 2000 or len(text) > 200_000:
+                sets.clear()
+            sets[uid] = weighted_shingles(text, memo, spec.width)
+        return sets[uid]
+
     for batch in batches:
-        near = []
-        for a, left, right in zip(batch["a"], batch["a_text"], batch["b_text"], strict=True):
-            if a != last:
-                last, base = a, weighted_shingles(left, memo, spec.width)
-            near.append(probability_jaccard(base, weighted_shingles(right, memo, spec.width)) >= spec.threshold)
+        near = [
+            probability_jaccard(of(a, left), of(b, right), spec.threshold) >= spec.threshold
+            for a, b, left, right in zip(batch["a"], batch["b"], batch["a_text"], batch["b_text"], strict=True)
+        ]
         yield pd.DataFrame({"a": batch["a"], "b": batch["b"], "near": near})
 
 
@@ -148,41 +170,57 @@ def with_uid(docs: DataFrame, text: str = "text") -> DataFrame:
 
 def near_links(docs: DataFrame, spec: NearSpec = NearSpec(), text: str = "text") -> DataFrame:
     """(a, b): verified links between different texts' uids."""
+    spark = docs.sparkSession
     texts = with_uid(docs.select(text_or_empty(text).alias("text"))).select("uid", "text").filter(F.col("text") != "")
-    banded = texts.mapInPandas(lambda it: _band_rows(it, spec), "uid binary, keys array<bigint>")
-    signed = banded.groupBy("uid").agg(F.first("keys").alias("keys"))  # equal texts of other partitions
-    buckets = materialize(signed.select("uid", F.explode("keys").alias("key")), "near-bands")
-    tried: DataFrame | None = None
-    links: DataFrame | None = None
-    while True:
-        least = buckets.groupBy("key").agg(F.min("uid").alias("a"), F.count("*").alias("n")).filter("n > 1").select("key", "a")
-        members = buckets.join(least, "key").filter(F.col("uid") != F.col("a")).select("key", "a", F.col("uid").alias("b"))
-        members = materialize(members, "near-members")
-        pairs = members.select("a", "b").distinct()
-        if tried is not None:
-            pairs = pairs.join(tried, ["a", "b"], "left_anti")
-        pairs = materialize(pairs, "near-pairs")
-        if pairs.isEmpty() and members.isEmpty():
-            break
-        with arrow_rows(docs.sparkSession, 256):  # two whole texts a row
-            checked = materialize(_check(pairs, texts, spec), "near-checked")
-        tried = checked if tried is None else tried.unionByName(checked)
-        links = checked.filter("near").select("a", "b") if links is None else links.unionByName(checked.filter("near").select("a", "b"))
-        # members not near their bucket's least stay together in the bucket, without it
-        far = members.join(tried.filter("not near"), ["a", "b"], "left_semi")
-        buckets = materialize(far.select("key", F.col("b").alias("uid")), "near-rest")
-        if buckets.isEmpty():
-            break
-    if links is None:
-        return texts.select(F.col("uid").alias("a"), F.col("uid").alias("b")).limit(0)
-    return links
-
-
-def _check(pairs: DataFrame, texts: DataFrame, spec: NearSpec) -> DataFrame:
-    """pairs with `near`: the texts that pairs name are fetched once, then joined to both sides."""
-    named = pairs.select(F.col("a").alias("uid")).union(pairs.select(F.col("b").alias("uid"))).distinct()
-    needed = texts.join(named, "uid", "left_semi").groupBy("uid").agg(F.first("text").alias("text"))
-    needed = materialize(needed, "near-texts")
+    banded = texts.mapInPandas(lambda it: _band_rows(it, spec), "uid binary, keys array<bigint>, sig binary")
+    signed = materialize(banded.groupBy("uid").agg(F.first("keys").alias("keys"), F.first("sig").alias("sig")), "near-signed")  # equal texts of other partitions
+    exploded = signed.select("uid", F.explode("keys").alias("key"))
+    shared = exploded.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1")
+    members = materialize(exploded.join(shared, "key"), "near-members")
+    central = materialize(members.groupBy("uid").agg(F.sum("n").alias("central")), "near-named")
+    named, _ = broadcast_if_small(central.select("uid"), 1_000_000)  # 16 bytes a row
+    needed = materialize(texts.join(named, "uid", "left_semi").groupBy("uid").agg(F.first("text").alias("text")), "near-texts")
+    hubs = members.join(central, "uid").groupBy("key").agg(F.max(F.struct("central", "uid")).alias("hub")).select("key", F.col("hub.uid").alias("a"))
+    spokes = materialize(members.join(hubs, "key").filter(F.col("uid") != F.col("a")).select("key", "a", F.col("uid").alias("b")), "near-spokes")
+    with arrow_rows(spark, 256):  # two whole texts a row
+        checked = materialize(_check(_ordered(spokes), needed, spec), "near-checked")
+    far = spokes.withColumns({"lo": F.least("a", "b"), "hi": F.greatest("a", "b")}).join(checked.filter("not near").select(F.col("a").alias("lo"), F.col("b").alias("hi")), ["lo", "hi"], "left_semi").select("key", F.col("b").alias("uid"))
+    sized = far.join(far.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1"), "key").join(signed.select("uid", "sig"), "uid")
+    blocks = F.ceil(F.col("n") / BLOCK).cast("int")
+    dealt = sized.withColumn("own", F.pmod(F.xxhash64("uid"), blocks).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1)))
+    dealt = dealt.select("key", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"), "own", "uid", "sig")
+    alike = dealt.groupBy("key", "lo", "hi").applyInPandas(lambda key, rows: _alike(key, rows, spec), "a binary, b binary")
+    pairs = _ordered(alike).join(checked, ["a", "b"], "left_anti")
+    with arrow_rows(spark, 256):
+        more = materialize(_check(pairs, needed, spec), "near-checked")
+    return checked.unionByName(more).filter("near").select("a", "b")
+
+
+def _ordered(pairs: DataFrame) -> DataFrame:
+    return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+
+
+def _alike(key: tuple, rows: pd.DataFrame, spec: NearSpec) -> pd.DataFrame:
+    """Pairs of a block (or between two blocks) of a bucket whose signatures agree often enough to be near."""
+    uids = rows["uid"].to_numpy()
+    sig = np.frombuffer(b"".join(rows["sig"]), np.uint16).reshape(len(rows), -1)
+    own, (_, low, high) = rows["own"].to_numpy(), key
+    left, right = [], []
+    for i in range(len(rows)):
+        if low == high:
+            others = np.arange(i + 1, len(rows))
+        elif own[i] == low:
+            others = np.flatnonzero(own == high)
+        else:
+            continue
+        hit = others[(sig[others] == sig[i]).sum(axis=1) >= spec.least_agreement]
+        left += [uids[i]] * len(hit)
+        right += uids[hit].tolist()
+    return pd.DataFrame({"a": left, "b": right})
+
+
+def _check(pairs: DataFrame, needed: DataFrame, spec: NearSpec) -> DataFrame:
+    """pairs with `near`, by the texts of both sides."""
     right = pairs.join(needed.select(F.col("uid").alias("b"), F.col("text").alias("b_text")), "b")
     both = right.join(needed.select(F.col("uid").alias("a"), F.col("text").alias("a_text")), "a")
     return both.select("a", "b", "a_text", "b_text").mapInPandas(lambda it: _verified(it, spec), "a binary, b binary, near boolean")
@@ -190,20 +228,19 @@ def _check(pairs: DataFrame, texts: DataFrame, spec: NearSpec) -> DataFrame:
 
 def components(links: DataFrame) -> DataFrame:
     """(uid, root): the least uid of each linked uid's component, by large-star and small-star steps."""
-    edges = links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).filter("u <> v").distinct()
-    edges = edges.checkpoint()
+    edges = links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).filter("u <> v").distinct().checkpoint()
+    before = None
     while True:
         both = edges.select("u", "v").union(edges.select(F.col("v"), F.col("u")))
         lows = both.groupBy("u").agg(F.min("v").alias("m")).withColumn("m", F.least("m", "u"))
         large = both.join(lows, "u").filter(F.col("v") > F.col("u")).select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v").distinct()
         low = large.groupBy("u").agg(F.min("v").alias("m"))
-        hops = large.join(low, "u")
-        small = hops.select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v").union(low.select("u", F.col("m").alias("v"))).distinct()
-        small = small.checkpoint()
-        same = edges.count() == small.count() and small.join(edges, ["u", "v"], "left_anti").isEmpty()
-        edges = small
-        if same:
+        small = large.join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v").union(low.select("u", F.col("m").alias("v"))).distinct()
+        edges = small.checkpoint()
+        now = edges.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")), F.bit_xor(F.xxhash64("v", "u"))).first()
+        if now == before:  # the same edges twice: stars
             return edges.select(F.col("u").alias("uid"), F.col("v").alias("root"))
+        before = now
 
 
 def near_classes(docs: DataFrame, spec: NearSpec = NearSpec(), *, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -218,13 +255,19 @@ def near_classes(docs: DataFrame, spec: NearSpec = NearSpec(), *, key: str = "do
 
 def keep_one(docs: DataFrame, spec: NearSpec = NearSpec(), *, key: str = "doc_id", text: str = "text") -> DataFrame:
     """docs with one row of each class: that of the least key, ties by the text's digest; texts without words all stay."""
-    classes = near_classes(docs, spec, key=key, text=text)
+    inner, names, restore = shield(docs)
+    key, text = names[key], names[text]
+    classes = near_classes(inner, spec, key=key, text=text)
     marked = classes.filter("not bare").groupBy("class_id").agg(F.min(F.struct(F.col(key).isNull().alias("none"), F.col(key).alias("k"), "uid")).alias("first"))
-    keep = materialize(marked.select(F.col("first.k").alias("_k"), F.col("first.uid").alias("_uid")), "near-keep")
-    rows = with_uid(docs).withColumn("_bare", ~text_or_empty(text).rlike(r"(?U)\w"))
-    kept = rows.filter("not _bare").join(keep, F.col(key).eqNullSafe(F.col("_k")) & (F.col("uid") == F.col("_uid")), "left_semi")
-    kept = kept.dropDuplicates([key, "uid"])
-    return kept.select(*docs.columns).unionByName(rows.filter("_bare").select(*docs.columns))
+    keep = materialize(marked.select(_named(F.col("first.k")).alias("_k"), F.col("first.uid").alias("uid")), "near-keep")
+    rows = with_uid(inner, text).withColumns({"_bare": ~text_or_empty(text).rlike(r"(?U)\w"), "_k": _named(F.col(key))})
+    kept = rows.filter("not _bare").join(keep, ["_k", "uid"], "left_semi").dropDuplicates(["_k", "uid"])
+    return restore(kept).unionByName(restore(rows.filter("_bare")))
+
+
+def _named(key):
+    """A key that equals itself where it is null."""
+    return F.coalesce(F.concat(F.lit("1"), key.cast("string")), F.lit("0"))
 
 
 def op4_query(spark, sf_dir: str) -> DataFrame:
