@@ -9,7 +9,7 @@ training looks at each text's highest passage too. Two numbers fitted on the tra
 height into a probability.
 
 Because both the mean and the softmax are linear, a word adds one number to its passage's height:
-scoring ships one float for each table entry and remembers words' numbers.
+scoring ships one float for each gram that tells the classes apart and remembers words' numbers.
 
 Training reads at most `rows` labelled texts (a bounded, documented sample, chosen by a hash of doc_id),
 never those held out; scoring reads every whole text. Labels, language, source and doc_id are no inputs.
@@ -21,7 +21,9 @@ class only, every score is the share of toxic labels (0 without any).
 
 from __future__ import annotations
 
+import itertools
 import zlib
+from array import array
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -39,7 +41,7 @@ EDGES = ".,;:!?\"'()[]{}<>«»“”‘’…|-–—*_#$%&~"
 class ToxicSpec:
     """Sizes of the model and of its training; rows bounds the labelled texts it reads."""
 
-    rows: int = 8000
+    rows: int = 6000
     least: int = 3
     most: int = 8
     buckets: int = 1 << 18
@@ -56,11 +58,16 @@ class ToxicSpec:
     threshold: float = 0.3
 
 
-def grams(word: str, spec: ToxicSpec) -> list[int]:
-    """Table entries of a word: itself, and its n-grams between word ends."""
+def grams(word: str, spec: ToxicSpec) -> list[str]:
+    """A word itself, and its n-grams between word ends."""
     marked = f"<{word}>"
-    parts = [marked[i : i + n] for n in range(spec.least, spec.most + 1) for i in range(len(marked) - n + 1)]
-    return [zlib.crc32(p.encode("utf-8", "surrogatepass")) % spec.buckets for p in (f"={word}", *parts)]
+    end = len(marked) + 1
+    return ["=" + word, *[marked[i : i + n] for n in range(spec.least, spec.most + 1) for i in range(end - n)]]
+
+
+def entry_of(gram: str, spec: ToxicSpec) -> int:
+    """The table entry of a gram."""
+    return zlib.crc32(gram.encode("utf-8", "surrogatepass")) % spec.buckets
 
 
 def bare(token: str) -> str:
@@ -69,16 +76,17 @@ def bare(token: str) -> str:
 
 @dataclass
 class ToxicModel:
-    """One float for each table entry (its vector times the softmax's difference), bias, and the two fitted numbers."""
+    """The grams whose vectors are not 0, each with its vector times the softmax's difference; bias; the two fitted numbers."""
 
     spec: ToxicSpec
-    heights: np.ndarray
+    heights: dict[str, float]
     bias: float
     slope: float
     offset: float
 
     def word_height(self, token: str) -> float:
-        return float(self.heights[grams(bare(token), self.spec)].mean())
+        own = grams(bare(token), self.spec)
+        return sum(map(self.heights.get, own, itertools.repeat(0.0))) / len(own)
 
     def scores(self, texts: list[str], memo: "WordHeights") -> np.ndarray:
         top = np.array([top_passage(np.fromiter(map(memo.__getitem__, w), np.float64, len(w)), self.spec.passage)[0] for w in (t.lower().split() for t in texts)])
@@ -139,14 +147,18 @@ def train(texts: list[str], labels: list[int], spec: ToxicSpec = ToxicSpec()) ->
     share = float(y.mean()) if len(y) else 0.0
     if len(set(labels)) < 2:
         z = np.log(max(share, 1e-9) / max(1 - share, 1e-9))
-        return ToxicModel(spec, np.zeros(spec.buckets, np.float32), 0.0, 0.0, float(z))
+        return ToxicModel(spec, {}, 0.0, 0.0, float(z))
     vocabulary: dict[str, int] = {}
-    docs = [np.array([vocabulary.setdefault(bare(w), len(vocabulary)) for w in t.lower().split()], np.int64) for t in texts]
-    lists = [np.array(grams(w, spec), np.int32) for w in vocabulary]
-    total = np.array([len(x) for x in lists] or [1])  # a word's mean is over all its entries, zero vectors too
-    flat = np.concatenate(lists) if lists else np.zeros(1, np.int32)
+    docs = [np.array([vocabulary.setdefault(bare(w), len(vocabulary)) for w in t.lower().split()], np.int32) for t in texts]
+    entries, counts = array("i"), array("i")
+    for w in vocabulary:
+        own = [entry_of(g, spec) for g in grams(w, spec)]
+        entries.extend(own)
+        counts.append(len(own))
+    total = np.array(counts or [1], np.int64)  # a word's mean is over all its entries, zero vectors too
+    flat = np.array(entries or [0], np.int32)
     first = np.concatenate([[0], np.cumsum(total)[:-1]])
-    del lists, vocabulary
+    del entries, counts
     active = telling_entries(docs, y, flat, first, total, spec)
     keep = active[flat]
     sizes = np.add.reduceat(keep.astype(np.int64), first)
@@ -195,9 +207,10 @@ def train(texts: list[str], labels: list[int], spec: ToxicSpec = ToxicSpec()) ->
             m, v = 0.9 * m + 0.1 * grad, 0.99 * v + 0.01 * grad**2
             theta = theta - spec.rate * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.99**step)) + 1e-8)
     high = heights_of_words()
-    heights = np.zeros(spec.buckets, np.float32)
     soft = theta[size : size + 2 * spec.dim].reshape(spec.dim, 2)
-    heights[active] = spec.gain * (theta[:size].reshape(n, spec.dim) @ (soft[:, 1] - soft[:, 0]))
+    by_entry = np.zeros(spec.buckets)
+    by_entry[active] = spec.gain * (theta[:size].reshape(n, spec.dim) @ (soft[:, 1] - soft[:, 0]))
+    heights = {g: float(by_entry[e]) for w, k in zip(vocabulary, sizes, strict=False) if k for g in grams(w, spec) if active[e := entry_of(g, spec)]}
     bias = float(theta[-1] - theta[-2])
     tops = np.array([top_passage(high[d], spec.passage)[0] if len(d) else 0.0 for d in docs]) + bias
     slope, offset = fit_line(tops, y.astype(np.float64))
