@@ -10,9 +10,11 @@ are the classes, named by their least doc_id.
 
 Scale. Equal texts are one text from the first step on (by digest). Each band bucket with two texts or
 more links its members to one hub, the member that shares most buckets with others, so a bucket of m texts
-makes m candidates, not m squared. Members that turn out not to be near their hub may be near each other:
-their signatures (a few hundred bytes) are compared block by block, and pairs that agree often enough to be
-near are verified too. Pairs at the threshold are lost with a chance of about 2 * 10^-5. Only the texts
+makes m candidates, not m squared. Members that turn out not to be near their hub may be near each other or
+near a member that is: their signatures (a few hundred bytes) are compared with those of all members of the
+bucket, block by block, and pairs that agree often enough to be near are verified too; of the pairs of one
+such member with the near members of one hub, the likeliest goes first and the others only where it fails.
+Pairs at the threshold are lost with a chance of about 2 * 10^-5. Only the texts
 in shared buckets are fetched for verification, once. Nothing but an edge count comes to the driver.
 Components are found by large-star and small-star steps over links, checkpointed each round.
 
@@ -184,16 +186,28 @@ def near_links(docs: DataFrame, spec: NearSpec = NearSpec(), text: str = "text")
     spokes = materialize(members.join(hubs, "key").filter(F.col("uid") != F.col("a")).select("key", "a", F.col("uid").alias("b")), "near-spokes")
     with arrow_rows(spark, 256):  # two whole texts a row
         checked = materialize(_check(_ordered(spokes), needed, spec), "near-checked")
-    far = spokes.withColumns({"lo": F.least("a", "b"), "hi": F.greatest("a", "b")}).join(checked.filter("not near").select(F.col("a").alias("lo"), F.col("b").alias("hi")), ["lo", "hi"], "left_semi").select("key", F.col("b").alias("uid"))
-    sized = far.join(far.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1"), "key").join(signed.select("uid", "sig"), "uid")
-    blocks = F.ceil(F.col("n") / BLOCK).cast("int")
-    dealt = sized.withColumn("own", F.pmod(F.xxhash64("uid"), blocks).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1)))
-    dealt = dealt.select("key", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"), "own", "uid", "sig")
-    alike = dealt.groupBy("key", "lo", "hi").applyInPandas(lambda key, rows: _alike(key, rows, spec), "a binary, b binary")
-    pairs = _ordered(alike).join(checked, ["a", "b"], "left_anti")
+    judged = spokes.withColumns({"lo": F.least("a", "b"), "hi": F.greatest("a", "b")}).join(checked.select(F.col("a").alias("lo"), F.col("b").alias("hi"), "near"), ["lo", "hi"])
+    judged = materialize(judged.select("key", F.col("a").alias("hub"), F.col("b").alias("uid"), "near"), "near-judged")
+    counts = judged.groupBy("key").agg(F.count_if(~F.col("near")).alias("n_far"), F.count_if("near").alias("n_near")).filter("n_far > 0 AND n_far + n_near > 1")
+    sized = judged.join(counts, "key").join(signed.select("uid", "sig"), "uid")
+    # blocks of far members come first, those of near members after them; near members meet far blocks only
+    far_blocks, near_blocks = (F.ceil(F.col(n) / BLOCK).cast("int") for n in ("n_far", "n_near"))
+    own = F.when(F.col("near"), far_blocks + F.pmod(F.xxhash64("uid"), F.greatest(near_blocks, F.lit(1)))).otherwise(F.pmod(F.xxhash64("uid"), far_blocks)).cast("int")
+    dealt = sized.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.when(F.col("near"), far_blocks).otherwise(far_blocks + near_blocks) - 1)))
+    dealt = dealt.select("key", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"), "own", "hub", "near", "uid", "sig")
+    alike = dealt.groupBy("key", "lo", "hi").applyInPandas(lambda key, rows: _alike(key, rows, spec), "a binary, b binary, hub binary, agree int")
+    alike = materialize(alike, "near-alike")
+    # a hub's near members are linked already: a far member that is near one of them needs no second link, so the likeliest goes first
+    first = alike.filter("hub IS NOT NULL").groupBy("a", "hub").agg(F.max(F.struct("agree", "b")).alias("best")).select("a", "hub", F.col("best.b").alias("b"))
+    pairs = _ordered(alike.filter("hub IS NULL").select("a", "b").union(first.select("a", "b"))).join(checked, ["a", "b"], "left_anti")
     with arrow_rows(spark, 256):
         more = materialize(_check(pairs, needed, spec), "near-checked")
-    return checked.unionByName(more).filter("near").select("a", "b")
+    known = checked.unionByName(more)
+    linked = first.withColumns({"lo": F.least("a", "b"), "hi": F.greatest("a", "b")}).join(known.filter("near").select(F.col("a").alias("lo"), F.col("b").alias("hi")), ["lo", "hi"], "left_semi").select("a", "hub")
+    rest = _ordered(alike.filter("hub IS NOT NULL").join(linked, ["a", "hub"], "left_anti")).join(known, ["a", "b"], "left_anti")
+    with arrow_rows(spark, 256):
+        last = materialize(_check(rest, needed, spec), "near-checked")
+    return known.unionByName(last).filter("near").select("a", "b")
 
 
 def _ordered(pairs: DataFrame) -> DataFrame:
@@ -201,11 +215,14 @@ def _ordered(pairs: DataFrame) -> DataFrame:
 
 
 def _alike(key: tuple, rows: pd.DataFrame, spec: NearSpec) -> pd.DataFrame:
-    """Pairs of a block (or between two blocks) of a bucket whose signatures agree often enough to be near."""
-    uids = rows["uid"].to_numpy()
+    """Pairs of a block (or between two blocks) of a bucket whose signatures agree often enough to be near.
+
+    `a` is far from the bucket's hub; where `b` is near it, the hub comes along.
+    """
+    uids, near = rows["uid"].to_numpy(), rows["near"].to_numpy(bool)
     sig = np.frombuffer(b"".join(rows["sig"]), np.uint16).reshape(len(rows), -1)
     own, (_, low, high) = rows["own"].to_numpy(), key
-    left, right = [], []
+    left, right, hubs, agree = [], [], [], []
     for i in range(len(rows)):
         if low == high:
             others = np.arange(i + 1, len(rows))
@@ -213,10 +230,13 @@ def _alike(key: tuple, rows: pd.DataFrame, spec: NearSpec) -> pd.DataFrame:
             others = np.flatnonzero(own == high)
         else:
             continue
-        hit = others[(sig[others] == sig[i]).sum(axis=1) >= spec.least_agreement]
+        same = (sig[others] == sig[i]).sum(axis=1)
+        hit = others[same >= spec.least_agreement]
         left += [uids[i]] * len(hit)
         right += uids[hit].tolist()
-    return pd.DataFrame({"a": left, "b": right})
+        hubs += [rows["hub"].iloc[0] if near[j] else None for j in hit]
+        agree += same[same >= spec.least_agreement].tolist()
+    return pd.DataFrame({"a": left, "b": right, "hub": hubs, "agree": np.array(agree, np.int32)})
 
 
 def _check(pairs: DataFrame, needed: DataFrame, spec: NearSpec) -> DataFrame:

@@ -185,6 +185,22 @@ def test_a_hub_of_many_copies(spark):
     assert {got[k] for k in range(60)} == {0} and all(got[100 + k] == 100 + k for k in range(20))
 
 
+def test_text_near_one_variant_that_is_not_the_hub(spark):
+    """A variant with a tail, near that variant alone, joins its class."""
+    memo, rows, tails = WordHashes(), [], {}
+    for g in range(5):
+        base = [f"g{g}w{i}" for i in range(400)]
+        variants = [" ".join([*base[: 20 + 9 * v], f"v{v}", *base[21 + 9 * v :]]) for v in range(40)]
+        tail = f"{variants[17]} " + " ".join(f"g{g}t{i}" for i in range(90))
+        sets = [probminhash.weighted_shingles(t, memo, 5) for t in variants]
+        end = probminhash.weighted_shingles(tail, memo, 5)
+        assert [v for v in range(40) if probminhash.probability_jaccard(sets[v], end) >= 0.8] == [17]
+        rows += [(1000 * g + v, t) for v, t in enumerate(variants)] + [(1000 * g + 900, tail)]
+        tails[1000 * g + 900] = 1000 * g
+    got = {r["doc_id"]: r["class_id"] for r in probminhash.near_classes(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert {d: got[d] for d in tails} == tails and set(got.values()) == set(tails.values())
+
+
 # ---- 5
 
 
