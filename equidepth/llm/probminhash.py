@@ -264,13 +264,16 @@ def components(links: DataFrame) -> DataFrame:
 
 
 def near_classes(docs: DataFrame, spec: NearSpec = NearSpec(), *, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """(key, uid, class_id, words): every row with the least doc_id of its class."""
+    """(key, uid, root, bare, class_id, class_rows): every row with its class: root tells classes apart, class_id is the least doc_id.
+
+    Classes whose rows have null keys only, or share their least key, have one class_id but different roots.
+    """
     roots = materialize(components(near_links(docs, spec, text)), "near-roots")
     rows = with_uid(docs.select(F.col(key).alias(key), F.col(text).alias("text"))).withColumn("bare", ~text_or_empty().rlike(r"(?U)\w")).drop("text")
     joined = rows.join(roots, "uid", "left").withColumn("root", F.coalesce("root", "uid"))
     names = joined.filter("not bare").groupBy("root").agg(F.min(key).alias("class_id"), F.count("*").alias("class_rows"))
     named = joined.join(names, "root", "left")
-    return named.select(key, "uid", "bare", F.when(F.col("bare"), F.col(key)).otherwise(F.col("class_id")).alias("class_id"), F.when(F.col("bare"), F.lit(1)).otherwise(F.col("class_rows")).cast("long").alias("class_rows"))
+    return named.select(key, "uid", "root", "bare", F.when(F.col("bare"), F.col(key)).otherwise(F.col("class_id")).alias("class_id"), F.when(F.col("bare"), F.lit(1)).otherwise(F.col("class_rows")).cast("long").alias("class_rows"))
 
 
 def keep_one(docs: DataFrame, spec: NearSpec = NearSpec(), *, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -278,7 +281,7 @@ def keep_one(docs: DataFrame, spec: NearSpec = NearSpec(), *, key: str = "doc_id
     inner, names, restore = shield(docs)
     key, text = names[key], names[text]
     classes = near_classes(inner, spec, key=key, text=text)
-    marked = classes.filter("not bare").groupBy("class_id").agg(F.min(F.struct(F.col(key).isNull().alias("none"), F.col(key).alias("k"), "uid")).alias("first"))
+    marked = classes.filter("not bare").groupBy("root").agg(F.min(F.struct(F.col(key).isNull().alias("none"), F.col(key).alias("k"), "uid")).alias("first"))
     keep = materialize(marked.select(_named(F.col("first.k")).alias("_k"), F.col("first.uid").alias("uid")), "near-keep")
     rows = with_uid(inner, text).withColumns({"_bare": ~text_or_empty(text).rlike(r"(?U)\w"), "_k": _named(F.col(key))})
     kept = rows.filter("not _bare").join(keep, ["_k", "uid"], "left_semi").dropDuplicates(["_k", "uid"])
@@ -291,5 +294,6 @@ def _named(key):
 
 
 def op4_query(spark, sf_dir: str) -> DataFrame:
-    """The near-duplicate class of every document."""
-    return near_classes(spark.read.parquet(f"{sf_dir}/documents.parquet")).select("doc_id", "class_id", "class_rows")
+    """The near-duplicate class of every document; class_key tells classes of one class_id apart (null or repeated doc_ids)."""
+    classes = near_classes(spark.read.parquet(f"{sf_dir}/documents.parquet"))
+    return classes.select("doc_id", "class_id", "class_rows", F.hex("root").alias("class_key"))

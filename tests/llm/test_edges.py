@@ -76,6 +76,14 @@ def test_near(docs, none):
     assert probminhash.near_classes(none).count() == 0 and probminhash.keep_one(none).count() == 0
 
 
+def test_near_classes_of_one_least_id(spark):
+    """Different texts stay apart where their doc_ids are null or the same; equal texts still are one class."""
+    rows = [row(None, "alpha beta gamma delta epsilon zeta"), row(None, "red green blue black white grey"), row(None, "red green blue black white grey"), row(3, "one two three four five six"), row(3, "mon tue wed thu fri sat")]
+    docs = spark.createDataFrame(rows, SCHEMA)
+    assert sorted(r["text"] for r in probminhash.keep_one(docs).collect()) == sorted({r[1] for r in rows})
+    assert probminhash.near_classes(docs).select("root").distinct().count() == 4
+
+
 def test_mix(docs, none):
     rows, slots, _ = mixing.mix(docs, block_words=16)
     got = rows.collect()
