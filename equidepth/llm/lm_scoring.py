@@ -10,8 +10,8 @@ The vocabulary is the `words` most frequent lower-case tokens of the whole corpu
 `rest` buckets by their hash, and a bucket's probability counts as the token's. Classes are runs of the
 frequency order with about equal mass.
 
-Training covers the corpus: each text takes part in one of the rounds (by its hash) and gives every
-`stride`-th of its positions as a target.
+Training covers the corpus: every position of every text is a target in one of the rounds. A position's phase
+is its place in its text modulo `stride`, and a round takes every `rounds`-th phase.
 Each round every partition starts from the shared parameters, runs mini-batch Adagrad over its
 positions in numpy, and returns its parameters cut in blocks; blocks are averaged over partitions,
 weighed by positions, after a shuffle by block, so what a task or the driver receives does not grow with
@@ -196,10 +196,15 @@ def windows(texts: list[list[int]], spec: LmSpec) -> tuple[np.ndarray, np.ndarra
     return np.stack([flat[at + d] for d in spec.offsets], axis=1) if len(at) else np.zeros((0, len(spec.offsets)), np.int32), flat[at], owner
 
 
-def _trained(batches: Iterator[pa.RecordBatch], flat: np.ndarray, vocabulary: Vocabulary, phase: int) -> Iterator[pa.RecordBatch]:
+def in_turn(position: np.ndarray, turn: int, spec: LmSpec) -> np.ndarray:
+    """Which positions of a text are targets in a round: each in exactly one."""
+    return position % spec.stride % spec.rounds == turn
+
+
+def _trained(batches: Iterator[pa.RecordBatch], flat: np.ndarray, vocabulary: Vocabulary, turn: int) -> Iterator[pa.RecordBatch]:
     spec = vocabulary.spec
     net, seen, count = Network(vocabulary, flat.copy()), np.full(flat.shape, 1e-4, np.float32), 0
-    rng = np.random.default_rng(spec.seed + phase)
+    rng = np.random.default_rng(spec.seed + turn)
     pool_c, pool_t, held = [], [], 0
 
     def learn():
@@ -217,7 +222,7 @@ def _trained(batches: Iterator[pa.RecordBatch], flat: np.ndarray, vocabulary: Vo
             context, target, owner = windows([vocabulary.encode(t) for t in texts[start:end]], spec)
             if len(target):
                 first = np.searchsorted(owner, owner)
-                take = (np.arange(len(target)) - first + owner * 7) % spec.stride == phase
+                take = in_turn(np.arange(len(target)) - first, turn, spec)
                 pool_c.append(context[take])
                 pool_t.append(target[take])
                 held += int(take.sum())
@@ -272,9 +277,8 @@ def fit(docs: DataFrame, spec: LmSpec = LmSpec(), text: str = "text") -> Network
     net = Network(vocabulary)
     bodies = docs.select(text_or_empty(text).alias("body"))
     for r in range(spec.rounds):
-        phase, flat = r * spec.stride // spec.rounds, net.flat
-        turn = bodies.filter(F.pmod(F.xxhash64("body"), F.lit(spec.rounds)) == r)
-        parts = turn.mapInArrow(lambda it, flat=flat, phase=phase: _trained(it, flat, vocabulary, phase), "block int, n bigint, part array<float>")
+        flat = net.flat
+        parts = bodies.mapInArrow(lambda it, flat=flat, turn=r: _trained(it, flat, vocabulary, turn), "block int, n bigint, part array<float>")
         mean = parts.groupBy("block").applyInArrow(_averaged, "block int, part array<float>").collect()
         if mean:
             net = Network(vocabulary, np.concatenate([np.array(p, np.float32) for _, p in sorted((m[0], m[1]) for m in mean)]))

@@ -8,6 +8,7 @@ import zlib
 
 import duckdb
 import numpy as np
+import pyarrow as pa
 import pytest
 import xxhash
 
@@ -89,6 +90,18 @@ def test_log_probabilities_by_definition_and_training_helps(docs, texts):
     assert scored[first]["n_tokens"] == len(coded[0]) and scored[first]["log_likelihood"] == pytest.approx(got[: len(coded[0])].sum(), rel=1e-4)
 
 
+def test_every_position_is_a_target_once():
+    """Over the rounds each token of each text is learned from once, however short the text and whatever stands beside it."""
+    spec = lm_scoring.LmSpec(words=20, rest=2, classes=4)
+    vocabulary = lm_scoring.make_vocabulary([(f"w{i}", 20 - i) for i in range(20)], 0, spec)
+    texts = ["w1", "w2 w3", " ".join(f"w{i % 20}" for i in range(50)), "", "w4 w5 w6"]
+    flat, learned = lm_scoring.Network(vocabulary).flat, 0
+    for turn in range(spec.rounds):
+        for batch in lm_scoring._trained(iter([pa.RecordBatch.from_arrays([pa.array(texts)], names=["body"])]), flat, vocabulary, turn):
+            learned += batch.column("n")[0].as_py()
+    assert learned == sum(len(t.split()) for t in texts)
+
+
 # ---- 3
 
 
