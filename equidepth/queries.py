@@ -404,8 +404,9 @@ def _validate(spark, d):
 
 # ---- joins -------------------------------------------------------------------------------------------
 
-def _cust_orders(spark, d):
-    return table(spark, d, "customer").select("c_custkey", "c_name"), table(spark, d, "orders").filter("o_custkey % 3 <> 0").select("o_orderkey", "o_custkey", "o_totalprice")
+def _cust_orders(spark, d, whole=False):
+    orders = table(spark, d, "orders").select("o_orderkey", "o_custkey", "o_totalprice")
+    return table(spark, d, "customer").select("c_custkey", "c_name"), orders if whole else orders.filter("o_custkey % 3 <> 0")
 
 
 _OS = "(SELECT o_orderkey, o_custkey, o_totalprice FROM orders WHERE o_custkey % 3 <> 0)"
@@ -416,6 +417,13 @@ for _how, _sql in (("inner", "JOIN"), ("left", "LEFT JOIN"), ("right", "RIGHT JO
     )
 query("merge_join_semi", f"SELECT c_custkey, c_name FROM customer WHERE c_custkey IN (SELECT o_custkey FROM {_OS})")(lambda s, d: J.model_merge_join(*_cust_orders(s, d), "c_custkey", "o_custkey", "left_semi"))
 query("merge_join_anti", f"SELECT c_custkey, c_name FROM customer WHERE c_custkey NOT IN (SELECT o_custkey FROM {_OS})")(lambda s, d: J.model_merge_join(*_cust_orders(s, d), "c_custkey", "o_custkey", "left_anti"))
+_WHOLE = "customer {} orders ON c_custkey = o_custkey"
+for _how, _sql in (("inner", "JOIN"), ("left", "LEFT JOIN"), ("right", "RIGHT JOIN"), ("full", "FULL JOIN")):
+    query(f"merge_join_{_how}_whole", f"SELECT {_JC} FROM {_WHOLE.format(_sql)}")(lambda s, d, h=_how: J.model_merge_join(*_cust_orders(s, d, whole=True), "c_custkey", "o_custkey", h))
+for _how in ("semi", "anti"):
+    query(f"merge_join_{_how}_whole", f"SELECT c_custkey, c_name FROM customer {_how.upper()} JOIN orders ON c_custkey = o_custkey")(
+        lambda s, d, h=_how: J.model_merge_join(*_cust_orders(s, d, whole=True), "c_custkey", "o_custkey", f"left_{h}")
+    )
 query("merge_join_lineitem", "SELECT l_orderkey, l_linenumber, l_partkey, l_extendedprice, o_orderdate FROM lineitem JOIN orders ON l_orderkey = o_orderkey")(
     lambda s, d: J.model_merge_join(table(s, d, "lineitem").select("l_orderkey", "l_linenumber", "l_partkey", "l_extendedprice"), table(s, d, "orders").select("o_orderkey", "o_orderdate"), "l_orderkey", "o_orderkey").drop("o_orderkey")
 )
@@ -429,6 +437,9 @@ _IV = "(SELECT p_partkey, p_retailprice AS lo, p_retailprice + p_size AS hi FROM
 query("range_join", f"SELECT o_orderkey, o_totalprice, p_partkey, lo, hi FROM orders JOIN {_IV} ON o_totalprice BETWEEN lo AND hi")(
     lambda s, d: J.range_join(table(s, d, "orders").select("o_orderkey", "o_totalprice"), "o_totalprice", table(s, d, "part").filter("p_partkey % 20 = 0").select("p_partkey", F.col("p_retailprice").alias("lo"), (F.col("p_retailprice") + F.col("p_size")).alias("hi")), "lo", "hi")
 )
+query("range_join_whole", "SELECT o_orderkey, o_totalprice, p_partkey, p_retailprice AS lo, p_retailprice + p_size AS hi FROM orders JOIN part ON o_totalprice BETWEEN p_retailprice AND p_retailprice + p_size")(
+    lambda s, d: J.range_join(table(s, d, "orders").select("o_orderkey", "o_totalprice"), "o_totalprice", table(s, d, "part").select("p_partkey", F.col("p_retailprice").alias("lo"), (F.col("p_retailprice") + F.col("p_size")).alias("hi")), "lo", "hi")
+)
 query("band_join", "SELECT c_custkey, c_acctbal, s_suppkey, s_acctbal FROM customer JOIN supplier ON c_acctbal BETWEEN s_acctbal - 5 AND s_acctbal + 5")(
     lambda s, d: J.band_join(table(s, d, "customer").select("c_custkey", "c_acctbal"), "c_acctbal", table(s, d, "supplier").select("s_suppkey", "s_acctbal"), "s_acctbal", 5.0)
 )
