@@ -8,30 +8,42 @@ before the result joins all rows to it.
 Normalised form: for tokenizers that drop white space, runs of space, tab, CR and LF become one space
 and the ends are trimmed, which leaves their count as it is; for the others the text itself.
 
-Encoding splits a text at those same characters where the tokenizer drops white space (no token spans
-them) and remembers the count of each piece, in a memory of bounded size; otherwise whole texts go to
-the library. Special strings inside texts are treated as the library's default does.
+Scale: what is shuffled is digests, 16 bytes a row, and of the texts only those that occur more than once. A
+bitmap of digest prefixes (its size follows the count of digests and is bounded) marks the digests that are stored or
+repeated. A text outside it is a miss that occurs once: it is encoded where it is scanned. A text inside it is looked up
+among the misses by its whole digest and, if it is one, grouped by digest so that it is encoded once. A full bitmap
+moves more texts and changes no result.
 
-Nulls: a null text counts as an empty one (0 bytes, 0 tokens). Repeated rows are counted once and each
-gets the count. Empty tables give empty results. The cache is append-only Parquet; keys stored twice by
-concurrent runs are read as one.
+Encoding splits a text at those same characters where the tokenizer drops white space (no token spans
+them) and remembers the counts of pieces, in a memory bounded by characters; otherwise whole texts go to
+the library. Very long texts are split into runs of about a million characters at white space first, so a worker holds
+pieces of one run. Special strings inside texts are treated as the library's default does.
+
+Nulls: a null text counts as an empty one (0 bytes, 0 tokens); a null key keeps its row. Repeated rows and equal texts
+(ties) are encoded once and each row gets the count. Empty tables give empty results. Columns of the input other than key
+and text are not read, so none can clash. The cache is append-only Parquet; keys stored twice by concurrent runs are
+read as one.
 """
 
 from __future__ import annotations
 
 import hashlib
+import re
 import uuid
 from collections.abc import Iterator
 from dataclasses import dataclass
 
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .shared import text_or_empty, work_dir
+from .shared import arrow_rows, broadcast_if_small, materialize, text_or_empty, work_dir
 
 CACHE_SCHEMA = "content binary, tokenizer string, n_tokens bigint"
 GAPS = "[ \\t\\n\\r]+"
+GAP = re.compile(GAPS)
+RUN = 1_000_000  # characters of a text split at once
+BITMAP_BITS = 1 << 28  # most bits of the bitmap: 4 million words of 64
 
 
 @dataclass(frozen=True)
@@ -65,33 +77,53 @@ class TokenizerSpec:
 
 
 class PieceCounts(dict):
-    """Token count of each piece between white space; emptied beyond `most` pieces."""
+    """Token counts of pieces between white space; emptied beyond `chars` characters or `most` pieces; long ones are not remembered."""
+
+    def __init__(self, encode, chars: int = 3_000_000, most: int = 250_000, longest: int = 64):
+        super().__init__()
+        self.encode, self.chars, self.most, self.longest, self.held = encode, chars, most, longest, 0
+
+    def count(self, text: str) -> int:
+        return sum(self._run(run) for run in runs_of(text))
+
+    def _run(self, text: str) -> int:
+        pieces = text.replace("\n", " ").replace("\t", " ").replace("\r", " ").split(" ")
+        fresh = [x for x in dict.fromkeys(pieces) if x not in self]
+        own: dict[str, int] = {}
+        for i in range(0, len(fresh), 4096):
+            part = fresh[i : i + 4096]
+            own.update(zip(part, self.encode(part), strict=True))
+        total = sum(own[x] if x in own else self[x] for x in pieces) if own else sum(map(self.__getitem__, pieces))
+        kept = {x: n for x, n in own.items() if len(x) <= self.longest}
+        if (self.held or len(self)) and (self.held + sum(map(len, kept)) > self.chars or len(self) + len(kept) > self.most):
+            self.clear()
+            self.held = 0
+        self.update(kept)
+        self.held += sum(map(len, kept))
+        return total
 
-    def __init__(self, encode, most: int = 500_000):
-        super().__init__({"": 0})
-        self.encode, self.most = encode, most
 
-    def count(self, texts: list[str]) -> list[int]:
-        pieces = [t.replace("\n", " ").replace("\t", " ").replace("\r", " ").split(" ") for t in texts]
-        fresh = list({x for p in pieces for x in p if x not in self})
-        if len(self) + len(fresh) > self.most:
-            self.clear()
-            self[""] = 0
-            fresh = list({x for p in pieces for x in p if x})
-        if fresh:
-            self.update(zip(fresh, self.encode(fresh), strict=True))
-        return [sum(map(self.__getitem__, p)) for p in pieces]
+def runs_of(text: str, size: int = RUN) -> Iterator[str]:
+    """The text cut at white space into runs of `size` characters or, where no white space comes, more."""
+    at = 0
+    while len(text) - at > size:
+        gap = GAP.search(text, at + size)
+        if gap is None:
+            break
+        yield text[at : gap.start()]
+        at = gap.end()
+    yield text[at:] if at else text
 
 
-def _encoded(batches: Iterator[pd.DataFrame], spec: TokenizerSpec) -> Iterator[pd.DataFrame]:
+def _encoded(batches: Iterator[pa.RecordBatch], spec: TokenizerSpec) -> Iterator[pa.RecordBatch]:
     encode = spec.load()
     pieces = PieceCounts(encode) if spec.drops_white_space else None
     for batch in batches:
-        texts, counts = batch["body"].tolist(), []
-        for i in range(0, len(texts), 200):
-            part = texts[i : i + 200]
-            counts += pieces.count(part) if pieces is not None else encode(part)
-        yield pd.DataFrame({"content": batch["content"], "n_tokens": counts})
+        counts: list[int] = []
+        for body in batch.column("body"):  # one text at a time is a Python string
+            text = body.as_py()
+            counts.append(pieces.count(text) if pieces is not None else encode([text])[0])
+        yield pa.RecordBatch.from_arrays([batch.column("content"), pa.array(counts, pa.int64())], names=["content", "n_tokens"])
 
 
 def content_of(text: Column, spec: TokenizerSpec) -> Column:
@@ -105,21 +137,60 @@ def open_cache(spark, path: str) -> DataFrame:
     return spark.read.schema(CACHE_SCHEMA).parquet(path)
 
 
+def _prefix(bits: int) -> Column:
+    """The first bits of a digest as a number below `bits`, a power of two."""
+    return F.conv(F.hex(F.substring("content", 1, 4)), 16, 10).cast("long").bitwiseAND(F.lit(bits - 1))
+
+
+def _bitmap(digests: DataFrame, bits: int) -> DataFrame:
+    """(word, marks): the prefixes of the digests, 64 to a word; at most bits / 64 rows."""
+    at = digests.select(_prefix(bits).alias("at"))
+    return at.groupBy(F.shiftright("at", 6).alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(at & 63 as int))")).alias("marks"))
+
+
+def fill_cache(texts: DataFrame, digests: DataFrame, spec: TokenizerSpec, cache: str, *, broadcast_rows: int = 500_000) -> int:
+    """Encode the texts that the cache at path `cache` lacks, each distinct one once; how many those were.
+
+    texts: content, body; digests: the content of each row of texts, materialized.
+    """
+    spark, version = texts.sparkSession, spec.version()
+    known = open_cache(spark, cache).filter(F.col("tokenizer") == version).select("content").distinct()
+    counts = digests.groupBy("content").agg(F.count("*").alias("n"))
+    stated = materialize(counts.join(known.withColumn("stored", F.lit(True)), "content", "left").withColumn("once", F.col("stored").isNull() & (F.col("n") == 1)), "token-digests")
+    misses, marked = stated.agg(F.count_if(F.col("stored").isNull()), F.count_if(~F.col("once"))).first()
+    if not misses:
+        return 0
+    lacking, _ = broadcast_if_small(stated.filter("stored IS NULL AND NOT once").select("content"), broadcast_rows)  # 16 bytes a row
+    bits = min(BITMAP_BITS, 1 << max(10, (16 * marked).bit_length()))
+    bitmap = materialize(_bitmap(stated.filter("NOT once"), bits), "token-bitmap")
+    at = F.expr("cast(at & 63 as int)")
+    met = texts.withColumn("at", _prefix(bits)).withColumn("word", F.shiftright("at", 6)).join(F.broadcast(bitmap), "word", "left")  # at most BITMAP_BITS / 64 rows
+    met = met.withColumn("inside", F.coalesce(F.getbit("marks", at) == 1, F.lit(False)))
+    with arrow_rows(spark, 64):
+        singles = met.filter("NOT inside").select("content", "body").mapInArrow(lambda it: _encoded(it, spec), "content binary, n_tokens bigint")
+        _append(singles, version, cache)
+        again = met.filter("inside").select("content", "body")
+        # equal digests that the bitmap caught by chance occur once and join their own digest below
+        chance = stated.filter("once").select("content").withColumn("at", _prefix(bits)).withColumn("word", F.shiftright("at", 6)).join(F.broadcast(bitmap), "word").filter(F.getbit("marks", at) == 1).select("content")
+        wanted, _ = broadcast_if_small(materialize(lacking.unionByName(chance), "token-lacking"), broadcast_rows)
+        once = again.join(wanted, "content", "left_semi").groupBy("content").agg(F.first("body").alias("body"))
+        _append(once.mapInArrow(lambda it: _encoded(it, spec), "content binary, n_tokens bigint"), version, cache)
+    return misses
+
+
+def _append(counted: DataFrame, version: str, cache: str) -> None:
+    counted.select("content", F.lit(version).alias("tokenizer"), "n_tokens").write.mode("append").parquet(cache)
+
+
 def count_tokens(docs: DataFrame, spec: TokenizerSpec, cache: str, *, key: str = "doc_id", text: str = "text") -> DataFrame:
     """(key, n_bytes, n_tokens) of every row; the cache at path `cache` gains what it lacked."""
     spark = docs.sparkSession
-    version = spec.version()
     body = text_or_empty(text)
-    keyed = docs.select(F.col(key), F.octet_length(body).cast("long").alias("n_bytes"), content_of(body, spec).alias("body")).withColumn("content", F.unhex(F.md5("body")))
-    known = open_cache(spark, cache).filter(F.col("tokenizer") == version)
-    lacking = keyed.select("content", "body")
-    if not known.isEmpty():
-        lacking = lacking.join(known, "content", "left_anti")
-    once = lacking.groupBy("content").agg(F.first("body").alias("body"))
-    counted = once.mapInPandas(lambda it: _encoded(it, spec), "content binary, n_tokens bigint")
-    counted.select("content", F.lit(version).alias("tokenizer"), "n_tokens").write.mode("append").parquet(cache)
-    stored = spark.read.schema(CACHE_SCHEMA).parquet(cache).filter(F.col("tokenizer") == version).groupBy("content").agg(F.max("n_tokens").alias("n_tokens"))
-    return keyed.drop("body").join(stored, "content").select(key, "n_bytes", "n_tokens")
+    texts = docs.select(F.col(key), F.octet_length(body).cast("long").alias("n_bytes"), content_of(body, spec).alias("body")).withColumn("content", F.unhex(F.md5("body")))
+    keyed = materialize(texts.select(key, "n_bytes", "content"), "token-rows")
+    fill_cache(texts.select("content", "body"), keyed.select("content"), spec, cache)
+    stored = spark.read.schema(CACHE_SCHEMA).parquet(cache).filter(F.col("tokenizer") == spec.version()).groupBy("content").agg(F.max("n_tokens").alias("n_tokens"))
+    return keyed.join(stored, "content").select(key, "n_bytes", "n_tokens")
 
 
 def op8_query(spark, sf_dir: str) -> DataFrame:
