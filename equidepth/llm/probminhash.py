@@ -9,18 +9,22 @@ candidates whose exact probability Jaccard reaches `threshold` are linked, and c
 are the classes, named by their least doc_id.
 
 Scale. Equal texts are one text from the first step on (by digest). Each band bucket with two texts or
-more links its members to one hub, the member that shares most buckets with others, so a bucket of m texts
-makes m candidates, not m squared. Members that turn out not to be near their hub may be near each other or
-near a member that is: their signatures (a few hundred bytes) are compared with those of all members of the
-bucket, block by block, and pairs that agree often enough to be near are verified too; of the pairs of one
-such member with the near members of one hub, the likeliest goes first and the others only where it fails.
-Pairs at the threshold are lost with a chance of about 2 * 10^-5. Only the texts
-in shared buckets are fetched for verification, once. Nothing but an edge count comes to the driver.
-Components are found by large-star and small-star steps over links, checkpointed each round.
+more compares its members with one hub, the member that shares most buckets with others: exactly, hub by hub, as
+a stream, in pieces that a task can hold, so a bucket of m texts makes m comparisons. Components of these links
+tell which buckets are settled: those whose members other than the hub are all of one component. In any other
+bucket every pair of members of different components is compared exactly, in blocks of bounded bytes: the members outside
+the bucket's largest component with each other and with those inside it. A block's comparison looks shingles up among
+those of the block (postings), and only links that join two components leave it, so what a bucket emits is less than
+its members. Every pair that shares a bucket is thus settled: the one way to lose a link is that its texts
+share no band, with a chance of (1 - 0.8^5)^28, 2 * 10^-5, at the threshold.
+Texts in shared buckets are fetched once and travel as sorted shingle hashes. Nothing but an edge count comes to the
+driver. Components are found by large-star and small-star steps over links, checkpointed each round.
 
 Nulls: null texts and texts without a word are near nothing and each row keeps its own doc_id as its
-class (null stays null). A text of fewer words than a shingle is one shingle. Repeated rows share
-their text's class. Empty tables give empty results.
+class (null stays null). A text of fewer words than a shingle is one shingle. Very long texts are signed and compared
+whole, alone in their piece. Ties: of rows with the least key the one with the least text digest is kept. Repeated rows
+share their text's class. Columns of the input cannot clash (keep_one renames them while it works). Empty tables give
+empty results.
 """
 
 from __future__ import annotations
@@ -30,6 +34,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -37,7 +42,8 @@ from .shared import U64, WordHashes, arrow_rows, broadcast_if_small, chunks_by_l
 
 _STEP = U64(0xA0761D6478BD642F)
 CHARS = 2_000_000  # of text signed at once
-BLOCK = 1024  # signatures compared with each other in one task
+BLOCK = 2048  # texts of a block
+BLOCK_BYTES = 4_000_000  # of a block's shingle hashes, but for a text that has more
 
 
 @dataclass(frozen=True)
@@ -49,18 +55,11 @@ class NearSpec:
     bands: int = 28
     rows: int = 5
     seed: int = 29
-    sigmas: float = 4.2  # by which a near pair's agreement may fall short before the pair is passed over
 
     @property
     def components(self) -> int:
         return self.bands * self.rows
 
-    @property
-    def least_agreement(self) -> int:
-        """Components on which a pair at the threshold agrees but for a chance of about 10^-5."""
-        n, p = self.components, self.threshold
-        return max(1, int(n * p - self.sigmas * (n * p * (1 - p)) ** 0.5))
-
 
 def signatures(sets: list[tuple[np.ndarray, np.ndarray]], k: int, seed: int) -> np.ndarray:
     """(n, k) signatures of n weighted sets (hashes, weights); a row of an empty set is 0."""
@@ -141,27 +140,121 @@ def _band_rows(batches: Iterator[pd.DataFrame], spec: NearSpec) -> Iterator[pd.D
             key = mix64(key + np.arange(spec.bands, dtype=U64)[None, :])
             filled = sig.any(axis=1)
             rows = np.flatnonzero(filled)
-            low = (sig[rows] & U64(0xFFFF)).astype(np.uint16)
-            yield pd.DataFrame({"uid": uids[start:end][rows], "keys": list(key[rows].view(np.int64)), "sig": [r.tobytes() for r in low]})
+            yield pd.DataFrame({"uid": uids[start:end][rows], "keys": list(key[rows].view(np.int64))})
 
 
-def _verified(batches: Iterator[pd.DataFrame], spec: NearSpec) -> Iterator[pd.DataFrame]:
+def _bags(batches: Iterator[pa.RecordBatch], spec: NearSpec) -> Iterator[pa.RecordBatch]:
+    """Of each text its sorted distinct shingles, and how often each occurs where any occurs more than once."""
     memo = WordHashes()
-    sets: dict[bytes, tuple[np.ndarray, np.ndarray]] = {}  # of the last texts seen
+    for batch in batches:
+        bags, counts = [], []
+        for text in batch.column("text"):
+            hashes, n = weighted_shingles(text.as_py(), memo, spec.width)
+            bags.append(hashes.tobytes())
+            counts.append(n.astype(np.uint32).tobytes() if n.size and n.max() > 1 else b"")
+        yield pa.RecordBatch.from_arrays([batch.column("uid"), pa.array(bags, pa.binary()), pa.array(counts, pa.binary())], names=["uid", "bag", "counts"])
+
+
+Bag = tuple[np.ndarray, np.ndarray]
+
+
+def _bag(bag: bytes, counts: bytes) -> Bag:
+    hashes = np.frombuffer(bag, U64)
+    return hashes, np.frombuffer(counts, np.uint32).astype(np.float64) if counts else np.ones(len(hashes))
+
+
+def is_near(a: Bag, b: Bag, spec: NearSpec) -> bool:
+    """Exactly, by the shared shingles' weight first: the similarity is at most what they weigh on either side."""
+    if len(a[0]) > len(b[0]):
+        a, b = b, a
+    at = np.searchsorted(b[0], a[0])
+    hit = b[0][np.minimum(at, len(b[0]) - 1)] == a[0]
+    if min(a[1][hit].sum() / a[1].sum(), b[1][at[hit]].sum() / b[1].sum()) < spec.threshold - 1e-9:
+        return False
+    return probability_jaccard(a, b, spec.threshold) >= spec.threshold
+
 
-    def of(uid: bytes, text: str) -> tuple[np.ndarray, np.ndarray]:
-        if uid not in sets:
-            if len(sets) >= 2000 or len(text) > 200_000:
-                sets.clear()
-            sets[uid] = weighted_shingles(text, memo, spec.width)
-        return sets[uid]
+def _hub_links(batches: Iterator[pa.RecordBatch], spec: NearSpec) -> Iterator[pa.RecordBatch]:
+    """Links of hubs with their members; rows come sorted by hub and piece, the hub's own row first."""
+    hub, own = None, None
+    for batch in batches:
+        left, right = [], []
+        for name, uid, bag, counts in zip(*(batch.column(c).to_pylist() for c in ("hub", "uid", "bag", "counts")), strict=True):
+            if uid == name:
+                hub, own = name, _bag(bag, counts)
+            elif name == hub and is_near(own, _bag(bag, counts), spec):
+                left.append(name)
+                right.append(uid)
+        yield pa.RecordBatch.from_arrays([pa.array(left, pa.binary()), pa.array(right, pa.binary())], names=["a", "b"])
+
+
+def joins(roots: list[bytes], bags: list[Bag], split: int, spec: NearSpec) -> list[tuple[int, int]]:
+    """Near pairs (i, j) that join different roots, one for each join: rows below `split` with those from it on, or, where it takes in all rows, with each other."""
+    label = {r: r for r in roots}
+    within = split == len(bags)
+
+    def find(x: bytes) -> bytes:
+        while label[x] != x:
+            label[x] = x = label[label[x]]
+        return x
+
+    found = []
+    if len(bags) <= 4:
+        for i in range(split):
+            for j in range(i + 1 if within else split, len(bags)):
+                if find(roots[i]) != find(roots[j]) and is_near(bags[i], bags[j], spec):
+                    found.append((i, j))
+                    label[find(roots[i])] = find(roots[j])
+        return found
+    sizes = np.array([len(h) for h, _ in bags])
+    owner = np.repeat(np.arange(len(bags)), sizes)
+    items, first = np.concatenate([h for h, _ in bags]), np.concatenate([[0], np.cumsum(sizes)])
+    weight = np.concatenate([w / w.sum() for _, w in bags])
+    order = np.argsort(items, kind="stable")  # of one shingle the owners rise
+    owner, by_item = owner[order], weight[order]
+    distinct, start, place = np.unique(items[order], return_index=True, return_inverse=True)
+    end = np.append(start[1:], len(items))
+    where = np.empty(len(items), np.int64)
+    where[order] = place
+    for i in range(split):
+        mine = where[first[i] : first[i + 1]]
+        low, count = start[mine], end[mine] - start[mine]
+        run = np.repeat(low - np.concatenate([[0], np.cumsum(count)[:-1]]), count) + np.arange(count.sum())
+        who = owner[run]
+        theirs = np.bincount(who, by_item[run], len(bags))
+        ours = np.bincount(who, np.repeat(weight[first[i] : first[i + 1]], count), len(bags))
+        bound = np.minimum(theirs, ours)
+        bound[: i + 1 if within else split] = 0.0
+        likely = np.flatnonzero(bound >= spec.threshold - 1e-9)
+        for j in likely[np.argsort(-bound[likely], kind="stable")].tolist():
+            if find(roots[i]) != find(roots[j]) and probability_jaccard(bags[i], bags[j], spec.threshold) >= spec.threshold:
+                found.append((i, j))
+                label[find(roots[i])] = find(roots[j])
+    return found
+
+
+def _block_links(batches: Iterator[pa.RecordBatch], spec: NearSpec) -> Iterator[pa.RecordBatch]:
+    """Joins of each cell (key, lo, hi); rows come sorted by cell and own block, and a cell is held at a time."""
+    held: list[tuple] = []
+    cell = None
+
+    def settle() -> Iterator[pa.RecordBatch]:
+        _, low, high = cell
+        split = len(held) if low == high else sum(r[0] == low for r in held)
+        pairs = joins([r[2] for r in held], [_bag(r[3], r[4]) for r in held], split, spec)
+        if pairs:
+            columns = [[held[i][1] for i, _ in pairs], [held[j][1] for _, j in pairs], [held[i][2] for i, _ in pairs], [held[j][2] for _, j in pairs]]
+            yield pa.RecordBatch.from_arrays([pa.array(c, pa.binary()) for c in columns], names=["a", "b", "a_root", "b_root"])
 
     for batch in batches:
-        near = [
-            probability_jaccard(of(a, left), of(b, right), spec.threshold) >= spec.threshold
-            for a, b, left, right in zip(batch["a"], batch["b"], batch["a_text"], batch["b_text"], strict=True)
-        ]
-        yield pd.DataFrame({"a": batch["a"], "b": batch["b"], "near": near})
+        for key, low, high, *row in zip(*(batch.column(c).to_pylist() for c in ("key", "lo", "hi", "own", "uid", "root", "bag", "counts")), strict=True):
+            if (key, low, high) != cell:
+                if len(held) > 1:
+                    yield from settle()
+                cell, held = (key, low, high), []
+            held.append(tuple(row))
+    if len(held) > 1:
+        yield from settle()
 
 
 def with_uid(docs: DataFrame, text: str = "text") -> DataFrame:
@@ -170,80 +263,61 @@ def with_uid(docs: DataFrame, text: str = "text") -> DataFrame:
     return docs.withColumn("uid", F.unhex(F.md5(body)))
 
 
-def near_links(docs: DataFrame, spec: NearSpec = NearSpec(), text: str = "text") -> DataFrame:
-    """(a, b): verified links between different texts' uids."""
+def near_links(docs: DataFrame, spec: NearSpec = NearSpec(), text: str = "text") -> tuple[DataFrame, DataFrame]:
+    """(roots, joins): (uid, root) of components of verified links with hubs, and (a, b, a_root, b_root) of verified links that join them."""
     spark = docs.sparkSession
     texts = with_uid(docs.select(text_or_empty(text).alias("text"))).select("uid", "text").filter(F.col("text") != "")
-    banded = texts.mapInPandas(lambda it: _band_rows(it, spec), "uid binary, keys array<bigint>, sig binary")
-    signed = materialize(banded.groupBy("uid").agg(F.first("keys").alias("keys"), F.first("sig").alias("sig")), "near-signed")  # equal texts of other partitions
+    banded = texts.mapInPandas(lambda it: _band_rows(it, spec), "uid binary, keys array<bigint>")
+    signed = materialize(banded.groupBy("uid").agg(F.first("keys").alias("keys")), "near-signed")  # equal texts of other partitions
     exploded = signed.select("uid", F.explode("keys").alias("key"))
-    shared = exploded.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1")
+    # tables that meet their rows by bucket are written first, so that both sides of each join can be split where a bucket is large
+    shared = materialize(exploded.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1"), "near-shared")
     members = materialize(exploded.join(shared, "key"), "near-members")
     central = materialize(members.groupBy("uid").agg(F.sum("n").alias("central")), "near-named")
     named, _ = broadcast_if_small(central.select("uid"), 1_000_000)  # 16 bytes a row
-    needed = materialize(texts.join(named, "uid", "left_semi").groupBy("uid").agg(F.first("text").alias("text")), "near-texts")
-    hubs = members.join(central, "uid").groupBy("key").agg(F.max(F.struct("central", "uid")).alias("hub")).select("key", F.col("hub.uid").alias("a"))
-    spokes = materialize(members.join(hubs, "key").filter(F.col("uid") != F.col("a")).select("key", "a", F.col("uid").alias("b")), "near-spokes")
-    with arrow_rows(spark, 256):  # two whole texts a row
-        checked = materialize(_check(_ordered(spokes), needed, spec), "near-checked")
-    judged = spokes.withColumns({"lo": F.least("a", "b"), "hi": F.greatest("a", "b")}).join(checked.select(F.col("a").alias("lo"), F.col("b").alias("hi"), "near"), ["lo", "hi"])
-    judged = materialize(judged.select("key", F.col("a").alias("hub"), F.col("b").alias("uid"), "near"), "near-judged")
-    counts = judged.groupBy("key").agg(F.count_if(~F.col("near")).alias("n_far"), F.count_if("near").alias("n_near")).filter("n_far > 0 AND n_far + n_near > 1")
-    sized = judged.join(counts, "key").join(signed.select("uid", "sig"), "uid")
-    # blocks of far members come first, those of near members after them; near members meet far blocks only
-    far_blocks, near_blocks = (F.ceil(F.col(n) / BLOCK).cast("int") for n in ("n_far", "n_near"))
-    own = F.when(F.col("near"), far_blocks + F.pmod(F.xxhash64("uid"), F.greatest(near_blocks, F.lit(1)))).otherwise(F.pmod(F.xxhash64("uid"), far_blocks)).cast("int")
-    dealt = sized.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.when(F.col("near"), far_blocks).otherwise(far_blocks + near_blocks) - 1)))
-    dealt = dealt.select("key", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"), "own", "hub", "near", "uid", "sig")
-    alike = dealt.groupBy("key", "lo", "hi").applyInPandas(lambda key, rows: _alike(key, rows, spec), "a binary, b binary, hub binary, agree int")
-    alike = materialize(alike, "near-alike")
-    # a hub's near members are linked already: a far member that is near one of them needs no second link, so the likeliest goes first
-    first = alike.filter("hub IS NOT NULL").groupBy("a", "hub").agg(F.max(F.struct("agree", "b")).alias("best")).select("a", "hub", F.col("best.b").alias("b"))
-    pairs = _ordered(alike.filter("hub IS NULL").select("a", "b").union(first.select("a", "b"))).join(checked, ["a", "b"], "left_anti")
-    with arrow_rows(spark, 256):
-        more = materialize(_check(pairs, needed, spec), "near-checked")
-    known = checked.unionByName(more)
-    linked = first.withColumns({"lo": F.least("a", "b"), "hi": F.greatest("a", "b")}).join(known.filter("near").select(F.col("a").alias("lo"), F.col("b").alias("hi")), ["lo", "hi"], "left_semi").select("a", "hub")
-    rest = _ordered(alike.filter("hub IS NOT NULL").join(linked, ["a", "hub"], "left_anti")).join(known, ["a", "b"], "left_anti")
+    once = texts.join(named, "uid", "left_semi").groupBy("uid").agg(F.first("text").alias("text"))
     with arrow_rows(spark, 256):
-        last = materialize(_check(rest, needed, spec), "near-checked")
-    return known.unionByName(last).filter("near").select("a", "b")
-
-
-def _ordered(pairs: DataFrame) -> DataFrame:
-    return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-
-
-def _alike(key: tuple, rows: pd.DataFrame, spec: NearSpec) -> pd.DataFrame:
-    """Pairs of a block (or between two blocks) of a bucket whose signatures agree often enough to be near.
-
-    `a` is far from the bucket's hub; where `b` is near it, the hub comes along.
-    """
-    uids, near = rows["uid"].to_numpy(), rows["near"].to_numpy(bool)
-    sig = np.frombuffer(b"".join(rows["sig"]), np.uint16).reshape(len(rows), -1)
-    own, (_, low, high) = rows["own"].to_numpy(), key
-    left, right, hubs, agree = [], [], [], []
-    for i in range(len(rows)):
-        if low == high:
-            others = np.arange(i + 1, len(rows))
-        elif own[i] == low:
-            others = np.flatnonzero(own == high)
-        else:
-            continue
-        same = (sig[others] == sig[i]).sum(axis=1)
-        hit = others[same >= spec.least_agreement]
-        left += [uids[i]] * len(hit)
-        right += uids[hit].tolist()
-        hubs += [rows["hub"].iloc[0] if near[j] else None for j in hit]
-        agree += same[same >= spec.least_agreement].tolist()
-    return pd.DataFrame({"a": left, "b": right, "hub": hubs, "agree": np.array(agree, np.int32)})
-
-
-def _check(pairs: DataFrame, needed: DataFrame, spec: NearSpec) -> DataFrame:
-    """pairs with `near`, by the texts of both sides."""
-    right = pairs.join(needed.select(F.col("uid").alias("b"), F.col("text").alias("b_text")), "b")
-    both = right.join(needed.select(F.col("uid").alias("a"), F.col("text").alias("a_text")), "a")
-    return both.select("a", "b", "a_text", "b_text").mapInPandas(lambda it: _verified(it, spec), "a binary, b binary, near boolean")
+        bags = materialize(once.mapInArrow(lambda it: _bags(it, spec), "uid binary, bag binary, counts binary"), "near-bags")
+    hubs = materialize(members.join(central, "uid").groupBy("key").agg(F.max(F.struct("central", "uid")).alias("hub")).select("key", F.col("hub.uid").alias("hub")), "near-hubs")
+    spokes = materialize(members.select("key", "uid").join(hubs, "key").filter(F.col("uid") != F.col("hub")), "near-spokes")
+    with arrow_rows(spark, 512):
+        links = materialize(_with_hubs(spokes, bags, spec), "near-links")
+        roots = materialize(components(links), "near-roots")
+        joined = materialize(_in_blocks(spokes, roots, bags, spec), "near-joins")
+    return roots, joined
+
+
+def _with_hubs(spokes: DataFrame, bags: DataFrame, spec: NearSpec) -> DataFrame:
+    """(a, b): members near their hub; a hub's members are cut into pieces and its own bag goes to each."""
+    pairs = spokes.select("hub", "uid").distinct()
+    pieces = pairs.groupBy("hub").agg(F.ceil(F.count("*") / BLOCK).alias("pieces"))
+    own = pieces.select("hub", F.explode(F.expr("sequence(0, cast(pieces - 1 as int))")).alias("piece"), F.col("hub").alias("uid"))
+    large = pieces.filter("pieces > 1")
+    dealt = pairs.join(large, "hub", "left").select("hub", F.pmod(F.xxhash64("uid"), F.coalesce("pieces", F.lit(1))).cast("int").alias("piece"), "uid")
+    rows = dealt.unionByName(own).join(bags, "uid").withColumn("later", F.col("uid") != F.col("hub"))
+    return rows.repartition("hub", "piece").sortWithinPartitions("hub", "piece", "later").mapInArrow(lambda it: _hub_links(it, spec), "a binary, b binary")
+
+
+def _in_blocks(spokes: DataFrame, roots: DataFrame, bags: DataFrame, spec: NearSpec) -> DataFrame:
+    """(a, b, a_root, b_root): links between components inside buckets that hold more than one besides their hub."""
+    rooted = spokes.select("key", "uid").join(roots, "uid", "left").withColumn("root", F.coalesce("root", "uid"))
+    rooted = rooted.join(bags.select("uid", F.octet_length("bag").alias("bytes")), "uid")
+    groups = rooted.groupBy("key", "root").agg(F.count("*").alias("n"), F.sum("bytes").alias("bytes"))
+    buckets = groups.groupBy("key").agg(F.max(F.struct("n", "bytes", "root")).alias("major"), F.sum("n").alias("n"), F.sum("bytes").alias("bytes")).filter(F.col("n") > F.col("major.n"))
+
+    def blocks(n, size):
+        return F.greatest(F.ceil(n / BLOCK), F.ceil(size / BLOCK_BYTES)).cast("int")
+
+    plan = materialize(buckets.select("key", F.col("major.root").alias("major"), blocks(F.col("n") - F.col("major.n"), F.col("bytes") - F.col("major.bytes")).alias("minor_blocks"), blocks(F.col("major.n"), F.col("major.bytes")).alias("major_blocks")), "near-open")
+    met = rooted.join(plan, "key")
+    inside = F.col("root") == F.col("major")
+    # blocks of the minor components come first; members of the largest one meet those only
+    own = F.when(inside, F.col("minor_blocks") + F.pmod(F.xxhash64("uid"), F.col("major_blocks"))).otherwise(F.pmod(F.xxhash64("uid"), F.col("minor_blocks"))).cast("int")
+    last = F.when(inside, F.col("minor_blocks")).otherwise(F.col("minor_blocks") + F.col("major_blocks")) - 1
+    cells = met.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), last)))
+    cells = cells.select("key", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"), "own", "uid", "root").join(bags, "uid")
+    sorted_cells = cells.repartition("key", "lo", "hi").sortWithinPartitions("key", "lo", "hi", "own")
+    return sorted_cells.mapInArrow(lambda it: _block_links(it, spec), "a binary, b binary, a_root binary, b_root binary")
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -263,15 +337,24 @@ def components(links: DataFrame) -> DataFrame:
         before = now
 
 
+def near_roots(docs: DataFrame, spec: NearSpec = NearSpec(), text: str = "text") -> DataFrame:
+    """(uid, root) of every text that is linked to one with a lesser uid; root is the least of its component."""
+    roots, joined = near_links(docs, spec, text)
+    merged = materialize(components(joined.select(F.col("a_root").alias("a"), F.col("b_root").alias("b"))), "near-merged")
+    moved = roots.join(merged.select(F.col("uid").alias("root"), F.col("root").alias("final")), "root", "left").select("uid", F.coalesce("final", "root").alias("root"))
+    return materialize(moved.unionByName(merged), "near-final")
+
+
 def near_classes(docs: DataFrame, spec: NearSpec = NearSpec(), *, key: str = "doc_id", text: str = "text") -> DataFrame:
     """(key, uid, root, bare, class_id, class_rows): every row with its class: root tells classes apart, class_id is the least doc_id.
 
     Classes whose rows have null keys only, or share their least key, have one class_id but different roots.
     """
-    roots = materialize(components(near_links(docs, spec, text)), "near-roots")
+    roots = near_roots(docs, spec, text)
     rows = with_uid(docs.select(F.col(key).alias(key), F.col(text).alias("text"))).withColumn("bare", ~text_or_empty().rlike(r"(?U)\w")).drop("text")
     joined = rows.join(roots, "uid", "left").withColumn("root", F.coalesce("root", "uid"))
-    names = joined.filter("not bare").groupBy("root").agg(F.min(key).alias("class_id"), F.count("*").alias("class_rows"))
+    # written first, so that a class with many rows can be split where it meets its name
+    names = materialize(joined.filter("not bare").groupBy("root").agg(F.min(key).alias("class_id"), F.count("*").alias("class_rows")), "near-classes")
     named = joined.join(names, "root", "left")
     return named.select(key, "uid", "root", "bare", F.when(F.col("bare"), F.col(key)).otherwise(F.col("class_id")).alias("class_id"), F.when(F.col("bare"), F.lit(1)).otherwise(F.col("class_rows")).cast("long").alias("class_rows"))
 
