@@ -28,6 +28,7 @@ read as one.
 from __future__ import annotations
 
 import hashlib
+import os
 import re
 import uuid
 from collections.abc import Iterator
@@ -62,6 +63,7 @@ class TokenizerSpec:
     def load(self):
         """A function from a list of texts to the list of their token counts."""
         if self.path.endswith(".json"):
+            os.environ["TOKENIZERS_PARALLELISM"] = "false"  # a task has one core, and each thread would keep memory of its own
             from tokenizers import Tokenizer
 
             t = Tokenizer.from_file(self.path)
@@ -77,29 +79,40 @@ class TokenizerSpec:
 
 
 class PieceCounts(dict):
-    """Token counts of pieces between white space; emptied beyond `chars` characters or `most` pieces; long ones are not remembered."""
+    """Token counts of pieces between white space, in two generations of bounded size; long pieces are not remembered.
 
-    def __init__(self, encode, chars: int = 3_000_000, most: int = 250_000, longest: int = 64):
+    When the young one holds `most` pieces or `chars` characters it becomes the old one, and what is met again moves on.
+    """
+
+    def __init__(self, encode, chars: int = 4_000_000, most: int = 250_000, longest: int = 64):
         super().__init__()
-        self.encode, self.chars, self.most, self.longest, self.held = encode, chars, most, longest, 0
+        self.encode, self.chars, self.most, self.longest, self.held, self.old = encode, chars, most, longest, 0, {}
+
+    def __missing__(self, piece: str) -> int:
+        n = self[piece] = self.old[piece]
+        self.held += len(piece)
+        return n
 
     def count(self, text: str) -> int:
         return sum(self._run(run) for run in runs_of(text))
 
     def _run(self, text: str) -> int:
         pieces = text.replace("\n", " ").replace("\t", " ").replace("\r", " ").split(" ")
-        fresh = [x for x in dict.fromkeys(pieces) if x not in self]
-        own: dict[str, int] = {}
-        for i in range(0, len(fresh), 4096):
-            part = fresh[i : i + 4096]
-            own.update(zip(part, self.encode(part), strict=True))
-        total = sum(own[x] if x in own else self[x] for x in pieces) if own else sum(map(self.__getitem__, pieces))
-        kept = {x: n for x, n in own.items() if len(x) <= self.longest}
-        if (self.held or len(self)) and (self.held + sum(map(len, kept)) > self.chars or len(self) + len(kept) > self.most):
+        old = self.old
+        fresh = [x for x in dict.fromkeys(pieces) if x not in self and x not in old]
+        long: dict[str, int] = {}
+        for i in range(0, len(fresh), 1024):
+            for x, n in zip(part := fresh[i : i + 1024], self.encode(part), strict=True):
+                if len(x) > self.longest:
+                    long[x] = n
+                else:
+                    self[x] = n
+                    self.held += len(x)
+        total = sum(long[x] if x in long else self[x] for x in pieces) if long else sum(map(self.__getitem__, pieces))
+        if self.held > self.chars or len(self) > self.most:
+            self.old = dict(self)
             self.clear()
             self.held = 0
-        self.update(kept)
-        self.held += sum(map(len, kept))
         return total
 
 
@@ -190,7 +203,8 @@ def count_tokens(docs: DataFrame, spec: TokenizerSpec, cache: str, *, key: str =
     keyed = materialize(texts.select(key, "n_bytes", "content"), "token-rows")
     fill_cache(texts.select("content", "body"), keyed.select("content"), spec, cache)
     stored = spark.read.schema(CACHE_SCHEMA).parquet(cache).filter(F.col("tokenizer") == spec.version()).groupBy("content").agg(F.max("n_tokens").alias("n_tokens"))
-    return keyed.join(stored, "content").select(key, "n_bytes", "n_tokens")
+    # written first, so that the rows of one text can be split where they meet its count
+    return keyed.join(materialize(stored, "token-stored"), "content").select(key, "n_bytes", "n_tokens")
 
 
 def op8_query(spark, sf_dir: str) -> DataFrame:

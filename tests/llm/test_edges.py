@@ -1,5 +1,7 @@
 """Nulls, empty and very long texts, ties, repeated rows, empty tables and clashing columns, for every operator and stage."""
 
+import uuid
+
 import pytest
 
 import corpus_pipeline
@@ -117,7 +119,7 @@ def test_tokens(docs, none, spark):
     import public_tokenizers
 
     spec = token_counts.TokenizerSpec(public_tokenizers.path("word_bpe_49k.json"), True)
-    cache = f"{work_dir(spark)}/cache-edges"
+    cache = f"{work_dir(spark)}/cache-edges-{uuid.uuid4().hex}"
     got = {(r["doc_id"], r["n_bytes"]): r["n_tokens"] for r in token_counts.count_tokens(docs, spec, cache).collect()}
     assert got[(1, 0)] == 0 and got[(3, 6)] == 0 and got[(8, 33)] == 7
     assert token_counts.count_tokens(none, spec, cache).count() == 0

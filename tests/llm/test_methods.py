@@ -4,6 +4,7 @@ import hashlib
 import os
 import re
 import struct
+import uuid
 import zlib
 
 import duckdb
@@ -123,7 +124,7 @@ def test_viterbi_is_the_best_path():
     def score(ys):
         s = model.start[ys[0]] + lift[0] * ys[0]
         for i in range(1, len(ys)):
-            same = int(html_crf.parent_of(blocks[i].path) == html_crf.parent_of(blocks[i - 1].path))
+            same = int(html_crf.parent_of(blocks[i].path) is html_crf.parent_of(blocks[i - 1].path))
             s += model.moves[same, ys[i - 1], ys[i]] + lift[i] * ys[i]
         return s
 
@@ -133,7 +134,7 @@ def test_viterbi_is_the_best_path():
 
 def test_article_of_the_given_pages(spark, data):
     rows = spark.read.parquet(f"{data}/pages.parquet").select("page_id", "html").collect()
-    want = {r["page_id"]: "\n".join(b.text for b in blocks_of(r["html"]) if any(t == "article" for t, _ in b.path)) for r in rows}
+    want = {r["page_id"]: "\n".join(b.text for b in blocks_of(r["html"]) if any(n.tag == "article" for n in b.path.up())) for r in rows}
     got = {r["page_id"]: r["text"] for r in html_crf.op3_query(spark, data).collect()}
     assert got == want
 
@@ -143,6 +144,25 @@ def test_blocks_of_rough_html():
     assert [b.text for b in blocks_of(html)] == ["One two three four & é x", "Five", "a", "b", "c"]
 
 
+def test_quotes_end_where_browsers_end_them():
+    assert [b.text for b in blocks_of("<p title=it's>a</p><p class='x>y'>b</p><p data-x = \"1>2\"class=z>c</p><p =x>d</p><p a=b=\"c>e</p>")] == ["a", "b", "c", "d", "e"]
+    assert [b.text for b in blocks_of('<p>before</p><p class="x>text</p><p>more')] == ["before"]  # the value never ends
+    assert [b.text for b in blocks_of('<p class="x>text</p><p id="y">after</p>')] == ["after"]
+
+
+def test_deep_and_rough_pages_cost_what_they_hold():
+    import time
+    import tracemalloc
+
+    deep = "".join(f"<div class=c{i % 5000}>x" for i in range(60_000)) + "</q></p></li></zz>" * 20_000
+    model = html_crf.train()
+    tracemalloc.start()
+    began = time.process_time()
+    model.text(deep, {})
+    assert time.process_time() - began < 60 and tracemalloc.get_traced_memory()[1] < 400e6
+    tracemalloc.stop()
+
+
 # ---- 4
 
 
@@ -313,7 +333,7 @@ def test_counts_are_the_library_s(spark, file, drops):
     path = public_tokenizers.path(file)
     odd = ["a<|endoftext|>b", "<|startoftext|> x\ty\r\nz", "İstanbul ẞ é", "don't 'll x'S", "a b c​d", "\x00a\x1fb \x85c", "१२३ 12 3", "😀👩‍👩‍👧", "<|ENDOFTEXT|>", "<|end oftext|>", "ﬁ Å", "x" * 3000, "ΣΑΣ ΑΣ. Σ"]
     df = spark.createDataFrame(list(enumerate(odd)), "doc_id long, text string")
-    got = {r["doc_id"]: r["n_tokens"] for r in token_counts.count_tokens(df, token_counts.TokenizerSpec(path, drops), f"{work_dir(spark)}/cache-{file}").collect()}
+    got = {r["doc_id"]: r["n_tokens"] for r in token_counts.count_tokens(df, token_counts.TokenizerSpec(path, drops), f"{work_dir(spark)}/cache-{uuid.uuid4().hex}").collect()}
     if file.endswith(".json"):
         from tokenizers import Tokenizer
 
@@ -329,7 +349,7 @@ def test_counts_are_the_library_s(spark, file, drops):
 def test_cache_is_used_and_gains_only_misses(spark, docs, texts):
     import public_tokenizers
 
-    spec, cache = token_counts.TokenizerSpec(public_tokenizers.path("word_bpe_49k.json"), True), f"{work_dir(spark)}/cache-grow"
+    spec, cache = token_counts.TokenizerSpec(public_tokenizers.path("word_bpe_49k.json"), True), f"{work_dir(spark)}/cache-grow-{uuid.uuid4().hex}"
     half = docs.filter("doc_id % 2 = 0")
     token_counts.count_tokens(half, spec, cache).collect()
     first = spark.read.parquet(cache).count()
@@ -341,6 +361,37 @@ def test_cache_is_used_and_gains_only_misses(spark, docs, texts):
     assert spark.read.parquet(cache).count() == len(norm)
 
 
+def test_stored_counts_are_the_ones_that_are_given(spark, docs):
+    """A second pass is all hits: what it returns comes from the cache, even where the cache was tampered with."""
+    import public_tokenizers
+    from pyspark.sql import functions as F
+
+    spec, cache = token_counts.TokenizerSpec(public_tokenizers.path("word_bpe_49k.json"), True), f"{work_dir(spark)}/cache-hits-{uuid.uuid4().hex}"
+    first = {tuple(r) for r in token_counts.count_tokens(docs, spec, cache).collect()}
+    other = f"{cache}-more"
+    spark.read.parquet(cache).withColumn("n_tokens", F.col("n_tokens") + 1_000_000).write.parquet(other)
+    assert {(a, b, n - 1_000_000) for a, b, n in token_counts.count_tokens(docs, spec, other).collect()} == first
+
+
+def test_each_distinct_miss_is_encoded_once(spark):
+    """Copies over many partitions and digests that the bitmap catches by chance: one row in the cache for each text."""
+    import public_tokenizers
+
+    spec, cache = token_counts.TokenizerSpec(public_tokenizers.path("word_bpe_49k.json"), True), f"{work_dir(spark)}/cache-once-{uuid.uuid4().hex}"
+    rows = [(i, "the same text in many rows" if i % 3 == 0 else f"text number {i % 700}") for i in range(1500)]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(13)
+    assert token_counts.count_tokens(df, spec, cache).count() == 1500
+    assert spark.read.parquet(cache).count() == len({t for _, t in rows})
+
+
+def test_runs_of_a_long_text():
+    text = "ab cd\n" * 5000 + "x" * 20_000 + " end"
+    runs = list(token_counts.runs_of(text, 1000))
+    assert [p for r in runs for p in r.split()] == text.split() and max(map(len, runs)) < 21_100
+    counter = token_counts.PieceCounts(lambda xs: [len(x) for x in xs], chars=50, most=5)
+    assert counter.count(text) == len(text.replace(" ", "").replace("\n", "")) == counter.count(text)
+
+
 # ---- 9
 
 
