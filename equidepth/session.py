@@ -1,10 +1,12 @@
-"""A local session for tests and benches; on a cluster the given session is used as it is."""
+"""A local session for tests and benches, and the folder for intermediate tables; on a cluster the given session is used as it is."""
 
 from __future__ import annotations
 
 import os
+import tempfile
+import uuid
 
-from pyspark.sql import SparkSession
+from pyspark.sql import DataFrame, SparkSession
 
 
 def local_session(cores: int | None = None, **extra: str) -> SparkSession:
@@ -19,3 +21,37 @@ def local_session(cores: int | None = None, **extra: str) -> SparkSession:
     spark = b.getOrCreate()
     spark.sparkContext.setLogLevel("ERROR")
     return spark
+
+
+def work_dir(spark: SparkSession) -> str:
+    """The folder that the driver and all executors share: spark.checkpoint.dir. Only a local master may go without; it gets one of its own."""
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if base:
+        return base.rstrip("/")
+    have = spark.sparkContext._jsc.sc().getCheckpointDir()
+    if have.isDefined():
+        return have.get().rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
+    base = tempfile.mkdtemp(prefix="equidepth-")
+    spark.sparkContext.setCheckpointDir(base)
+    return base
+
+
+def scratch(spark: SparkSession, tag: str) -> str:
+    """A path of our own in the shared folder."""
+    return f"{work_dir(spark)}/equidepth-{tag}-{uuid.uuid4().hex}"
+
+
+def drop_at_exit(spark: SparkSession, path: str) -> None:
+    """Remove what was written at path when the driver ends; frames may read it until then."""
+    place = spark._jvm.org.apache.hadoop.fs.Path(path)
+    place.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(place)
+
+
+def written(df: DataFrame, tag: str) -> DataFrame:
+    """df, written to the shared folder and read from there: cuts lineage, survives lost executors."""
+    spark, path = df.sparkSession, scratch(df.sparkSession, tag)
+    df.write.parquet(path)
+    drop_at_exit(spark, path)
+    return spark.read.schema(df.schema).parquet(path)
