@@ -1,21 +1,21 @@
 """What several operators of this subpackage need: a shared work folder, word hashes, size checks.
 
 Intermediate tables go to the folder that the cluster names in ``spark.checkpoint.dir``; only
-where the session names none (tests on one machine) a folder of our own is made and set.
+where the master is local and the session names none (tests on one machine) a folder of our own is made and set.
 """
 
 from __future__ import annotations
 
 import contextlib
 import re
-import tempfile
-import uuid
 
 import numpy as np
 import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..session import work_dir, written  # noqa: F401  (work_dir for those who name a path themselves)
+
 WORD = re.compile(r"\w+")
 U64 = np.uint64
 _MUL = U64(0x9E3779B97F4A7C15)
@@ -23,24 +23,9 @@ _MIX1 = U64(0xBF58476D1CE4E5B9)
 _MIX2 = U64(0x94D049BB133111EB)
 
 
-def work_dir(spark: SparkSession) -> str:
-    """The shared folder for intermediate tables."""
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if not base:
-        have = spark.sparkContext._jsc.sc().getCheckpointDir()
-        if have.isDefined():
-            return have.get()
-        base = tempfile.mkdtemp(prefix="equidepth-")
-        spark.sparkContext.setCheckpointDir(base)
-    return base
-
-
 def materialize(df: DataFrame, tag: str) -> DataFrame:
-    """Write df to the shared folder and return a frame that reads it: cuts lineage, survives lost executors."""
-    spark = df.sparkSession
-    path = f"{work_dir(spark).rstrip('/')}/equidepth-{tag}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    """Write df to the shared folder and return a frame that reads it: cuts lineage, survives lost executors; removed when the driver ends."""
+    return written(df, tag)
 
 
 @contextlib.contextmanager
@@ -81,7 +66,7 @@ def broadcast_if_small(df: DataFrame, max_rows: int) -> tuple[DataFrame, bool]:
 class WordHashes(dict):
     """64-bit hash of each word, remembered; emptied when it holds `most` words, so memory is bounded."""
 
-    def __init__(self, most: int = 400_000):
+    def __init__(self, most: int = 250_000):
         super().__init__()
         self.most = most
 
