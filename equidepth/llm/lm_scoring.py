@@ -2,23 +2,30 @@
 
 The network: a window of `side` tokens on each side of the masked one; each offset has an embedding
 table of its own whose vectors add up, with a bias, to a hidden layer under tanh; the output is a
-two-level softmax (class, then token within its class), so a prediction costs two short softmaxes and the
-probabilities over the vocabulary still sum to one. A text's score is the sum of log P(token | window)
-over all its tokens; a text's edges are a token of their own.
-
-The vocabulary is the `words` most frequent lower-case tokens of the whole corpus; other tokens go to one of
-`rest` buckets by their hash, and a bucket's probability counts as the token's. Classes are runs of the
-frequency order with about equal mass.
-
-Training covers the corpus: every position of every text is a target in one of the rounds. A position's phase
-is its place in its text modulo `stride`, and a round takes every `rounds`-th phase.
-Each round every partition starts from the shared parameters, runs mini-batch Adagrad over its
-positions in numpy, and returns its parameters cut in blocks; blocks are averaged over partitions,
-weighed by positions, after a shuffle by block, so what a task or the driver receives does not grow with
-the corpus while what is gathered in all does. The driver reads the averaged parameters (a fixed size).
-
-Nulls: null and empty texts have no tokens, score 0 and mean null. Repeated rows each get their score.
-An empty table gives an empty result. A corpus without tokens scores with the untrained network.
+two-level softmax (class, then unit within its class), so a prediction costs two short softmaxes and the
+probabilities over the units still sum to one. A text's score is the sum of log P(token | window)
+over all its tokens; a text's edges are a unit of their own.
+
+Vocabulary: all lower-case tokens of the whole corpus. The `words` most frequent ones are units. Every other token has a
+slot (by its last letters and its hash; the number of slots grows with the distinct tokens up to `slots`), and a slot's mean
+count per token over the corpus puts it in a band; band and last letters make its unit. Its probability is the unit's
+times its slot's mean count over the unit's total count: its share in the unit, so probabilities over all tokens of the
+corpus sum to one. Where more tokens than slots exist, tokens of a slot share its mean. A token that the corpus
+lacks (scoring other texts) counts as half a token in an empty slot. Classes are runs of the frequency order of about equal mass.
+
+Training covers the corpus: every position of every text is a target in one of the rounds (a position's round
+is its place in its text modulo `rounds`). Encoded texts are dealt to shards by a hash of key and tokens, about
+`shard_tokens` to a shard, and lie in a shard in the order of that hash, so what is learned depends on the rows alone and not on
+how the table is partitioned. Each round every shard starts from the shared parameters, runs mini-batch Adagrad
+over its positions in numpy, and returns its parameters cut in blocks; blocks are averaged over shards, weighed by
+positions, in whole numbers (so their order does not matter) after a shuffle by block. What a task or the driver
+receives does not grow with the corpus, but for the table of slots up to its bound; what is gathered in all does.
+
+Nulls: null and empty texts have no tokens, score 0 and mean null; a null key hashes like any value. Very long texts are one
+row of two bytes a token, learned from and scored in pieces. Ties in frequency go by the token. Repeated rows each
+get their score and lie in one shard. Columns of the input other than key and text are not read; a key column may have any
+name but n_tokens, log_likelihood and mean_log_prob. An empty table gives an empty result. A corpus without tokens
+scores with the untrained network.
 """
 
 from __future__ import annotations
@@ -36,174 +43,254 @@ from pyspark.sql import functions as F
 from .shared import chunks_by_length, materialize, text_or_empty
 
 CHARS = 400_000
+POSITIONS = 100_000  # scored at once
 
 
 @dataclass(frozen=True)
 class LmSpec:
     """Vocabulary, network and training sizes."""
 
-    words: int = 960
-    rest: int = 63
-    classes: int = 32
+    words: int = 3967
+    bands: int = 8
+    kinds: int = 16
+    slots: int = 1 << 22
+    classes: int = 64
     side: int = 2
     hidden: int = 16
-    stride: int = 16
-    rounds: int = 2
-    batch: int = 1024
-    rate: float = 0.08
+    rounds: int = 4
+    batch: int = 4096
+    rate: float = 0.1
+    shard_tokens: int = 2_000_000
     blocks: int = 64
     seed: int = 11
 
     @property
     def size(self) -> int:
-        """Tokens: the words, the buckets, and the edge."""
-        return self.words + self.rest + 1
+        """Units: the words, those of the other tokens, and the edge."""
+        return self.words + self.bands * self.kinds + 1
 
     @property
     def offsets(self) -> list[int]:
         return [d for d in range(-self.side, self.side + 1) if d]
 
 
+class Codes(dict):
+    """A token's code: a word's id, or `words` plus its slot; emptied beyond `most` tokens."""
+
+    def __init__(self, ids: dict[str, int], spec: LmSpec, slots: int, most: int = 300_000):
+        super().__init__()
+        self.ids, self.words, self.kinds, self.each, self.most = ids, spec.words, spec.kinds, slots // spec.kinds, most
+
+    def __missing__(self, token: str) -> int:
+        if len(self) >= self.most:
+            self.clear()
+        code = self.ids.get(token)
+        if code is None:
+            kind = zlib.crc32(token[-2:].encode()) % self.kinds
+            code = self.words + kind * self.each + zlib.crc32(token.encode()) % self.each
+        self[token] = code
+        return code
+
+
 @dataclass
 class Vocabulary:
-    """Token ids by frequency; first token and size of each class; class of each id."""
+    """Word ids by frequency; mean count per token of each slot; counts of all units; first unit of each class, class of each unit."""
 
     ids: dict[str, int]
+    means: np.ndarray
+    mass: np.ndarray
     start: np.ndarray
     spec: LmSpec
 
     def __post_init__(self):
-        self.of = np.searchsorted(self.start, np.arange(self.spec.size), side="right") - 1
-        self.memo: dict[str, int] = {}
-
-    def encode(self, text: str) -> list[int]:
-        memo, out = self.memo, []
-        for token in text.lower().split():
-            i = memo.get(token)
-            if i is None:
-                if len(memo) > 400_000:
-                    memo.clear()
-                i = self.ids.get(token)
-                if i is None:
-                    i = self.spec.words + zlib.crc32(token.encode("utf-8", "surrogatepass")) % self.spec.rest
-                memo[token] = i
-            out.append(i)
-        return out
-
-
-def make_vocabulary(counts: list[tuple[str, int]], others: int, spec: LmSpec) -> Vocabulary:
-    """counts: the most frequent tokens, falling; others: how many tokens are none of them."""
+        s = self.spec
+        self.of = np.searchsorted(self.start, np.arange(s.size), side="right") - 1
+        self.memo = Codes(self.ids, s, len(self.means))
+        self.unit = unit_of(self.means, s).astype(np.uint16)
+        self.share = (np.log(np.maximum(self.means, 0.5)) - np.log(np.maximum(self.mass, 1.0))[self.unit]).astype(np.float32)
+
+    def units(self) -> "Vocabulary":
+        """What the network needs: no words and no slots."""
+        return Vocabulary({}, np.zeros(self.spec.kinds, np.float32), self.mass, self.start, self.spec)
+
+    def encode(self, text: str) -> tuple[np.ndarray, float]:
+        """(units, sum of the log shares of its tokens in their units)."""
+        tokens = text.lower().split()
+        codes = np.fromiter(map(self.memo.__getitem__, tokens), np.int64, len(tokens))
+        rare = codes >= self.spec.words
+        slots = codes[rare] - self.spec.words
+        codes[rare] = self.unit[slots]
+        return codes.astype(np.uint16), float(self.share[slots].sum())
+
+
+def unit_of(means: np.ndarray, spec: LmSpec) -> np.ndarray:
+    """The unit of each slot: its band (doublings of its mean count) and the kind its place stands for."""
+    band = np.clip(np.rint(np.log2(np.maximum(means, 1.0))), 0, spec.bands - 1).astype(np.int64)
+    kind = np.arange(len(means)) // max(1, len(means) // spec.kinds)
+    return spec.words + band * spec.kinds + np.minimum(kind, spec.kinds - 1)
+
+
+def make_vocabulary(counts: list[tuple[str, int]], slots: np.ndarray, totals: np.ndarray, tokens: np.ndarray, size: int, spec: LmSpec) -> Vocabulary:
+    """counts: the most frequent tokens, falling; of each filled slot its count and its number of tokens; size: number of slots."""
     ids = {w: i for i, (w, _) in enumerate(counts[: spec.words])}
-    mass = np.full(spec.size, 1e-9)
+    means = np.zeros(size)
+    means[slots] = totals / np.maximum(tokens, 1)
+    mass = np.zeros(spec.size)
     mass[: len(ids)] = [n for _, n in counts[: spec.words]]
-    mass[spec.words : spec.words + spec.rest] = max(others, 1) / spec.rest
-    root = np.sqrt(mass)
+    np.add.at(mass, unit_of(means, spec)[slots], totals)
+    root = np.sqrt(mass + 1e-9)
     level = np.cumsum(root) / root.sum()
     cuts = [0]
     for c in range(1, spec.classes):
         cuts.append(max(cuts[-1] + 1, int(np.searchsorted(level, c / spec.classes))))
     cuts = np.minimum(np.array(cuts), spec.size - spec.classes + np.arange(spec.classes))
-    return Vocabulary(ids, cuts, spec)
+    return Vocabulary(ids, means.astype(np.float32), mass, cuts, spec)
 
 
 class Network:
-    """Parameters in one flat float32 array: offset tables, hidden bias, class weights and bias, token weights and bias."""
+    """Parameters in one flat float32 array: offset tables, hidden bias, class weights and bias, unit weights and bias.
+
+    Untrained, it gives every unit its share in the corpus (plus one) whatever stands around it.
+    """
 
     def __init__(self, vocabulary: Vocabulary, flat: np.ndarray | None = None):
         s = self.spec = vocabulary.spec
         self.v = vocabulary
         shapes = {"tables": (len(s.offsets), s.size, s.hidden), "bias": (s.hidden,), "cls": (s.hidden, s.classes), "cls_b": (s.classes,), "tok": (s.size, s.hidden), "tok_b": (s.size,)}
         total = sum(int(np.prod(x)) for x in shapes.values())
-        if flat is None:
+        fresh = flat is None
+        if fresh:
             flat = np.random.default_rng(s.seed).normal(0, 0.1, total).astype(np.float32)
         self.flat, at = flat, 0
         for name, shape in shapes.items():
             n = int(np.prod(shape))
             setattr(self, name, flat[at : at + n].reshape(shape))
             at += n
+        if fresh:
+            mass = vocabulary.mass + 1.0
+            by_class = np.add.reduceat(mass, vocabulary.start)
+            self.cls_b[:] = np.log(by_class / by_class.sum())
+            self.tok_b[:] = np.log(mass / by_class[vocabulary.of])
 
     def hidden_of(self, context: np.ndarray) -> np.ndarray:
         """(n, offsets) ids to (n, hidden)."""
-        h = np.broadcast_to(self.bias, (len(context), self.spec.hidden)).copy()
-        for k in range(context.shape[1]):
+        h = self.tables[0][context[:, 0]] + self.bias
+        for k in range(1, context.shape[1]):
             h += self.tables[k][context[:, k]]
         return np.tanh(h, out=h)
 
+    def _by_class(self, target: np.ndarray) -> Iterator[tuple[int, int, np.ndarray]]:
+        """(first unit, unit after the last, rows) of each class that any target is of."""
+        cls = self.v.of[target].astype(np.uint16)
+        order = np.argsort(cls, kind="stable")
+        bounds = np.searchsorted(cls[order], np.arange(self.spec.classes + 1))
+        for c in np.flatnonzero(np.diff(bounds)).tolist():
+            yield int(self.v.start[c]), int(self.v.start[c + 1]) if c + 1 < self.spec.classes else self.spec.size, order[bounds[c] : bounds[c + 1]]
+
     def log_prob(self, context: np.ndarray, target: np.ndarray) -> np.ndarray:
-        """log P(target | context), one for each row."""
+        """log P(unit | context), one for each row."""
         h = self.hidden_of(context)
-        cls = self.v.of[target]
         z = h @ self.cls + self.cls_b
-        top = z.max(axis=1, keepdims=True)
-        out = z[np.arange(len(z)), cls] - top[:, 0] - np.log(np.exp(z - top).sum(axis=1))
-        order = np.argsort(cls, kind="stable")
-        bounds = np.searchsorted(cls[order], np.arange(self.spec.classes + 1))
-        for c in range(self.spec.classes):
-            rows = order[bounds[c] : bounds[c + 1]]
-            if len(rows):
-                low, high = self.v.start[c], self.v.start[c + 1] if c + 1 < self.spec.classes else self.spec.size
-                y = h[rows] @ self.tok[low:high].T + self.tok_b[low:high]
-                t = y.max(axis=1, keepdims=True)
-                out[rows] += y[np.arange(len(rows)), target[rows] - low] - t[:, 0] - np.log(np.exp(y - t).sum(axis=1))
+        z -= z.max(axis=1, keepdims=True)
+        out = z[np.arange(len(z)), self.v.of[target]] - np.log(np.exp(z, out=z).sum(axis=1))
+        for low, high, rows in self._by_class(target):
+            y = h[rows] @ self.tok[low:high].T + self.tok_b[low:high]
+            y -= y.max(axis=1, keepdims=True)
+            own = y[np.arange(len(rows)), target[rows] - low]
+            out[rows] += own - np.log(np.exp(y, out=y).sum(axis=1))
         return out
 
-    def learn(self, context: np.ndarray, target: np.ndarray, seen: np.ndarray) -> None:
-        """One Adagrad step; seen: sums of squared gradients, as flat as the parameters."""
-        s, v = self.spec, self.v
-        n = len(target)
+    def learn(self, context: np.ndarray, target: np.ndarray, seen: "Network") -> None:
+        """One Adagrad step on a batch; seen: sums of squared gradients, shaped like the parameters."""
+        n = np.float32(len(target))
         h = self.hidden_of(context)
-        cls = v.of[target]
-        z = h @ self.cls + self.cls_b
-        p = np.exp(z - z.max(axis=1, keepdims=True))
+        p = h @ self.cls + self.cls_b
+        p -= p.max(axis=1, keepdims=True)
+        np.exp(p, out=p)
         p /= p.sum(axis=1, keepdims=True)
-        p[np.arange(n), cls] -= 1
+        p[np.arange(len(target)), self.v.of[target]] -= 1
         g_h = p @ self.cls.T
-        grad = np.zeros_like(self.flat)
-        g = Network(v, grad)
-        g.cls += h.T @ p
-        g.cls_b += p.sum(axis=0)
-        order = np.argsort(cls, kind="stable")
-        bounds = np.searchsorted(cls[order], np.arange(s.classes + 1))
-        for c in range(s.classes):
-            rows = order[bounds[c] : bounds[c + 1]]
-            if len(rows):
-                low, high = v.start[c], v.start[c + 1] if c + 1 < s.classes else s.size
-                w, x = self.tok[low:high], h[rows]
-                q = x @ w.T + self.tok_b[low:high]
-                q = np.exp(q - q.max(axis=1, keepdims=True))
-                q /= q.sum(axis=1, keepdims=True)
-                q[np.arange(len(rows)), target[rows] - low] -= 1
-                g.tok[low:high] = q.T @ x
-                g.tok_b[low:high] = q.sum(axis=0)
-                g_h[rows] += q @ w
-        g_a = g_h * (1 - h * h)
+        steps = [("cls", slice(None), h.T @ p / n), ("cls_b", slice(None), p.sum(axis=0) / n)]
+        for low, high, rows in self._by_class(target):
+            w, x = self.tok[low:high], h[rows]
+            q = x @ w.T + self.tok_b[low:high]
+            q -= q.max(axis=1, keepdims=True)
+            np.exp(q, out=q)
+            q /= q.sum(axis=1, keepdims=True)
+            q[np.arange(len(rows)), target[rows] - low] -= 1
+            g_h[rows] += q @ w
+            steps += [("tok", slice(low, high), q.T @ x / n), ("tok_b", slice(low, high), q.sum(axis=0) / n)]
+        g_h *= 1 - h * h
+        g_h /= n
+        steps.append(("bias", slice(None), g_h.sum(axis=0)))
+        for name, at, g in steps:
+            self._step(getattr(self, name), getattr(seen, name), at, g)
         for k in range(context.shape[1]):
-            np.add.at(g.tables[k], context[:, k], g_a)
-        g.bias += g_a.sum(axis=0)
-        grad /= np.float32(n)
-        seen += grad * grad
-        self.flat -= np.float32(s.rate) * grad / np.sqrt(seen)
+            order = np.argsort(context[:, k], kind="stable")
+            ids = context[order, k]
+            first = np.flatnonzero(np.concatenate([[True], ids[1:] != ids[:-1]]))
+            self._step(self.tables[k], seen.tables[k], ids[first], np.add.reduceat(g_h[order], first, axis=0))
 
+    def _step(self, values: np.ndarray, seen: np.ndarray, at, g: np.ndarray) -> None:
+        total = seen[at] + g * g
+        seen[at] = total
+        values[at] -= np.float32(self.spec.rate) * g / np.sqrt(total)
 
-def windows(texts: list[list[int]], spec: LmSpec) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+
+def windows(texts: list[np.ndarray], spec: LmSpec) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(context, target, text) of every token of encoded texts."""
     edge = spec.size - 1
-    sizes = np.array([len(t) for t in texts])
-    flat = np.full(int(sizes.sum()) + spec.side * (len(texts) + 1), edge, np.int32)
+    sizes = np.array([len(t) for t in texts], np.int64)
+    flat = np.full(int(sizes.sum()) + spec.side * (len(texts) + 1), edge, np.uint16)
     owner = np.repeat(np.arange(len(texts)), sizes)
     at = np.arange(len(owner)) + spec.side * (owner + 1)
-    flat[at] = np.fromiter((i for t in texts for i in t), np.int32, len(owner))
-    return np.stack([flat[at + d] for d in spec.offsets], axis=1) if len(at) else np.zeros((0, len(spec.offsets)), np.int32), flat[at], owner
+    if not len(at):
+        return np.zeros((0, len(spec.offsets)), np.uint16), np.zeros(0, np.uint16), owner
+    flat[at] = np.concatenate(texts)
+    return np.stack([flat[at + d] for d in spec.offsets], axis=1), flat[at], owner
+
+
+def pieces_of(text: np.ndarray, spec: LmSpec, size: int = POSITIONS) -> Iterator[tuple[np.ndarray, np.ndarray, int]]:
+    """(context, target, place of the first) of a text's positions, `size` at a time."""
+    edge = np.full(spec.side, spec.size - 1, np.uint16)
+    for start in range(0, len(text), size):
+        own = np.arange(start, min(start + size, len(text)))
+        low, high = max(0, start - spec.side), own[-1] + 1 + spec.side
+        around = np.concatenate([edge[: spec.side - (start - low)], text[low:high], edge[: max(0, high - len(text))]])
+        yield np.stack([around[own - start + spec.side + d] for d in spec.offsets], axis=1), text[own], start
+
+
+def _groups(texts: list[np.ndarray], spec: LmSpec) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+    """(context, target, text, place in the text) of all positions, about POSITIONS at a time."""
+    for start, end in chunks_by_length([len(t) for t in texts], POSITIONS):
+        if end - start == 1 and len(texts[start]) > POSITIONS:
+            for context, target, first in pieces_of(texts[start], spec):
+                yield context, target, np.full(len(target), start), first + np.arange(len(target))
+            continue
+        context, target, owner = windows(texts[start:end], spec)
+        if len(target):
+            yield context, target, owner + start, np.arange(len(target)) - np.searchsorted(owner, owner)
 
 
-def in_turn(position: np.ndarray, turn: int, spec: LmSpec) -> np.ndarray:
-    """Which positions of a text are targets in a round: each in exactly one."""
-    return position % spec.stride % spec.rounds == turn
+def _ids(column) -> list[np.ndarray]:
+    return [np.frombuffer(x.as_buffer(), np.uint16) if x.as_buffer() is not None and x.as_buffer().size else np.zeros(0, np.uint16) for x in column]
+
+
+def _encoded(batches: Iterator[pa.RecordBatch], vocabulary: Vocabulary) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        ids, sizes, shares = [], [], []
+        for text in batch.column(batch.num_columns - 1):
+            units, share = vocabulary.encode(text.as_py())
+            ids.append(units.tobytes())
+            sizes.append(len(units))
+            shares.append(share)
+        yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(sizes, pa.int64()), pa.array(shares, pa.float64()), pa.array(ids, pa.binary())], names=[*batch.schema.names[:-1], "n_tokens", "_share", "_ids"])
 
 
 def _trained(batches: Iterator[pa.RecordBatch], flat: np.ndarray, vocabulary: Vocabulary, turn: int) -> Iterator[pa.RecordBatch]:
+    """The parameters after a shard's positions of one round, in blocks, with how many positions those were."""
     spec = vocabulary.spec
-    net, seen, count = Network(vocabulary, flat.copy()), np.full(flat.shape, 1e-4, np.float32), 0
+    net, seen, count = Network(vocabulary, flat.copy()), Network(vocabulary, np.full(flat.shape, 1e-8, np.float32)), 0
     rng = np.random.default_rng(spec.seed + turn)
     pool_c, pool_t, held = [], [], 0
 
@@ -211,38 +298,35 @@ def _trained(batches: Iterator[pa.RecordBatch], flat: np.ndarray, vocabulary: Vo
         nonlocal pool_c, pool_t, held
         context, target = np.concatenate(pool_c), np.concatenate(pool_t)
         order = rng.permutation(len(target))
-        for i in range(0, len(order), spec.batch):
-            rows = order[i : i + spec.batch]
+        for rows in np.array_split(order, -(-len(order) // spec.batch)):
             net.learn(context[rows], target[rows], seen)
         pool_c, pool_t, held = [], [], 0
 
     for batch in batches:
-        texts = batch.column(0).to_pylist()
-        for start, end in chunks_by_length([len(t) for t in texts], CHARS):
-            context, target, owner = windows([vocabulary.encode(t) for t in texts[start:end]], spec)
-            if len(target):
-                first = np.searchsorted(owner, owner)
-                take = in_turn(np.arange(len(target)) - first, turn, spec)
-                pool_c.append(context[take])
-                pool_t.append(target[take])
-                held += int(take.sum())
-                count += int(take.sum())
-            if held >= 40 * spec.batch:
+        for context, target, _, place in _groups(_ids(batch.column(0)), spec):
+            take = place % spec.rounds == turn
+            pool_c.append(context[take])
+            pool_t.append(target[take])
+            held += int(take.sum())
+            count += int(take.sum())
+            if held >= 32 * spec.batch:
                 learn()
     if held:
         learn()
     if count:
-        parts = np.array_split(net.flat, spec.blocks)
-        yield pa.RecordBatch.from_arrays([pa.array(range(spec.blocks), pa.int32()), pa.array([count] * spec.blocks, pa.int64()), pa.array([p.tolist() for p in parts], pa.list_(pa.float32()))], names=["block", "n", "part"])
+        parts = [p.tobytes() for p in np.array_split(net.flat, spec.blocks)]
+        yield pa.RecordBatch.from_arrays([pa.array(range(spec.blocks), pa.int32()), pa.array([count] * spec.blocks, pa.int64()), pa.array(parts, pa.binary())], names=["block", "n", "part"])
 
 
 def _averaged(key: tuple, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The mean of a block's parts; sums of whole numbers (24 bits after the point, weights in thousands of positions)."""
     total, weight, block = None, 0, key[0].as_py()
     for batch in batches:
-        for n, part in zip(batch.column("n").to_pylist(), batch.column("part"), strict=True):
-            x = np.asarray(part.values, np.float64) * n
-            total, weight = x if total is None else total + x, weight + n
-    yield pa.RecordBatch.from_arrays([pa.array([block], pa.int32()), pa.array([(total / weight).astype(np.float32).tolist()], pa.list_(pa.float32()))], names=["block", "part"])
+        for n, part in zip(batch.column("n").to_pylist(), batch.column("part").to_pylist(), strict=True):
+            w = max(1, n // 1000)
+            x = np.rint(np.frombuffer(part, np.float32).astype(np.float64) * (1 << 24)).astype(np.int64) * w
+            total, weight = x if total is None else total + x, weight + w
+    yield pa.RecordBatch.from_arrays([pa.array([block], pa.int32()), pa.array([(total / weight / (1 << 24)).astype(np.float32).tobytes()], pa.binary())], names=["block", "part"])
 
 
 def _counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -255,59 +339,75 @@ def _counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         return out
 
     for batch in batches:
-        for text in batch.column(0).to_pylist():
-            counts.update(text.lower().split())
-            if len(counts) > 500_000:
+        for text in batch.column(0):
+            counts.update(text.as_py().lower().split())
+            if len(counts) > 300_000:
                 yield flush()
     yield flush()
 
 
-def corpus_vocabulary(docs: DataFrame, spec: LmSpec, text: str = "text") -> Vocabulary:
-    """Counts of all tokens of the corpus; the most frequent and the total come to the driver."""
+def corpus_vocabulary(docs: DataFrame, spec: LmSpec, text: str = "text") -> tuple[Vocabulary, int]:
+    """(vocabulary, number of tokens): all tokens are counted; the most frequent ones and the table of slots come to the driver."""
+    spark = docs.sparkSession
     partial = docs.select(text_or_empty(text).alias("body")).mapInArrow(_counted, "token string, n bigint")
     counts = materialize(partial.groupBy("token").agg(F.sum("n").alias("n")), "lm-counts")
-    total = counts.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    total, distinct = counts.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
     top = [(r[0], r[1]) for r in counts.orderBy(F.desc("n"), "token").limit(spec.words).collect()]
-    return make_vocabulary(top, total - sum(n for _, n in top), spec)
+    size = min(spec.slots, max(1 << 10, 1 << distinct.bit_length()))
+    each = size // spec.kinds
+    named = F.broadcast(spark.createDataFrame([(w,) for w, _ in top], "token string"))  # at most `words` rows
+    rest = counts.join(named, "token", "left_anti")
+    code = F.encode("token", "UTF-8")
+    place = F.crc32(F.encode(F.right("token", F.lit(2)), "UTF-8")) % spec.kinds * each + F.crc32(code) % each
+    table = rest.groupBy(place.cast("int").alias("slot")).agg(F.sum("n").alias("n"), F.count("*").cast("int").alias("tokens")).toArrow()  # at most `slots` rows
+    slots, totals, tokens = (table.column(c).to_numpy() for c in ("slot", "n", "tokens"))
+    return make_vocabulary(top, slots, totals.astype(np.float64), tokens, size, spec), total
+
+
+def encoded(docs: DataFrame, vocabulary: Vocabulary, *, keys: tuple[str, ...] = (), text: str = "text") -> DataFrame:
+    """(*keys, n_tokens, _share, _ids) of every row."""
+    slim = docs.select(*keys, text_or_empty(text).alias("_body"))
+    schema = ", ".join([*(f"`{n}` {t}" for n, t in slim.select(*keys).dtypes), "n_tokens bigint", "_share double", "_ids binary"])
+    return slim.mapInArrow(lambda it: _encoded(it, vocabulary), schema)
 
 
-def fit(docs: DataFrame, spec: LmSpec = LmSpec(), text: str = "text") -> Network:
-    """The network trained on all of docs."""
-    vocabulary = corpus_vocabulary(docs, spec, text)
+def fit(docs: DataFrame, spec: LmSpec = LmSpec(), *, keys: tuple[str, ...] = ("doc_id",), text: str = "text") -> tuple[Network, DataFrame]:
+    """(the network trained on all of docs, docs encoded: what score() takes)."""
+    vocabulary, total = corpus_vocabulary(docs, spec, text)
     net = Network(vocabulary)
-    bodies = docs.select(text_or_empty(text).alias("body"))
+    shards = max(1, -(-total // spec.shard_tokens))
+    rows = encoded(docs, vocabulary, keys=keys, text=text).withColumn("_place", F.xxhash64(*keys, "_ids"))
+    dealt = rows.repartitionById(shards, F.pmod("_place", F.lit(shards)).cast("int")).sortWithinPartitions("_place")
+    dealt = dealt.checkpoint()  # one partition for each shard, read again in each round
+    bodies = dealt.select("_ids")
+    units = vocabulary.units()
     for r in range(spec.rounds):
         flat = net.flat
-        parts = bodies.mapInArrow(lambda it, flat=flat, turn=r: _trained(it, flat, vocabulary, turn), "block int, n bigint, part array<float>")
-        mean = parts.groupBy("block").applyInArrow(_averaged, "block int, part array<float>").collect()
+        parts = bodies.mapInArrow(lambda it, flat=flat, turn=r: _trained(it, flat, units, turn), "block int, n bigint, part binary")
+        mean = parts.groupBy("block").applyInArrow(_averaged, "block int, part binary").collect()
         if mean:
-            net = Network(vocabulary, np.concatenate([np.array(p, np.float32) for _, p in sorted((m[0], m[1]) for m in mean)]))
-    return net
+            net = Network(vocabulary, np.concatenate([np.frombuffer(p, np.float32) for _, p in sorted((m[0], bytes(m[1])) for m in mean)]))
+    return net, dealt.drop("_place")
 
 
 def _scores(batches: Iterator[pa.RecordBatch], flat: np.ndarray, vocabulary: Vocabulary) -> Iterator[pa.RecordBatch]:
     net = Network(vocabulary, flat)
     for batch in batches:
-        texts, sums, sizes = batch.column(batch.num_columns - 1).to_pylist(), [], []
-        for start, end in chunks_by_length([len(t) for t in texts], CHARS):
-            coded = [vocabulary.encode(t) for t in texts[start:end]]
-            context, target, owner = windows(coded, vocabulary.spec)
-            sums.append(np.bincount(owner, net.log_prob(context, target), end - start))
-            sizes += [len(c) for c in coded]
-        total = np.concatenate(sums) if sums else np.zeros(0)
-        yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(sizes, pa.int64()), pa.array(total, pa.float64())], names=[*batch.schema.names[:-1], "n_tokens", "log_likelihood"])
-
-
-def score(docs: DataFrame, net: Network, *, keys: tuple[str, ...] = ("doc_id",), text: str = "text") -> DataFrame:
-    """(*keys, n_tokens, log_likelihood, mean_log_prob) of every row."""
-    flat, vocabulary = net.flat, net.v
-    slim = docs.select(*keys, text_or_empty(text).alias("_body"))
-    schema = ", ".join([*(f"`{n}` {t}" for n, t in slim.select(*keys).dtypes), "n_tokens bigint", "log_likelihood double"])
-    found = slim.mapInArrow(lambda it: _scores(it, flat, vocabulary), schema)
+        total = batch.column(batch.num_columns - 2).to_numpy(zero_copy_only=False).astype(np.float64)
+        for context, target, owner, _ in _groups(_ids(batch.column(batch.num_columns - 1)), vocabulary.spec):
+            total = total + np.bincount(owner, net.log_prob(context, target), len(total))
+        yield pa.RecordBatch.from_arrays([*batch.columns[:-2], pa.array(total, pa.float64())], names=[*batch.schema.names[:-2], "log_likelihood"])
+
+
+def score(rows: DataFrame, net: Network) -> DataFrame:
+    """(*keys, n_tokens, log_likelihood, mean_log_prob) of every row of encoded texts."""
+    flat, vocabulary = net.flat, net.v.units()
+    schema = ", ".join([*(f"`{n}` {t}" for n, t in rows.drop("_share", "_ids").dtypes), "log_likelihood double"])
+    found = rows.mapInArrow(lambda it: _scores(it, flat, vocabulary), schema)
     return found.withColumn("mean_log_prob", F.when(F.col("n_tokens") > 0, F.col("log_likelihood") / F.col("n_tokens")))
 
 
 def op2_query(spark, sf_dir: str) -> DataFrame:
     """The pseudo-likelihood of every document under a network trained on all of them."""
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    return score(docs, fit(docs))
+    net, rows = fit(spark.read.parquet(f"{sf_dir}/documents.parquet"))
+    return score(rows, net)
