@@ -8,8 +8,10 @@ Viterbi; the blocks labelled article, in page order, are the text.
 
 Scale: pages are read once, map-side, whole; nothing is shuffled. The model is a few thousand floats.
 
-Nulls: a null or empty page has an empty text. Pages of any length are decoded whole. Repeated rows each
-get their text. Empty tables give empty results; other columns of the input are kept by extract().
+Nulls: a null or empty page has an empty text; a null id keeps its row. Pages of any length and nesting are decoded whole, one
+at a time, in time and memory that follow their length. Ties between labellings go to "not article". Repeated rows each
+get their text. Empty tables give empty results. extract() keeps the other columns of the input, whatever their names, but
+replaces one named main_text.
 """
 
 from __future__ import annotations
@@ -24,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .html_blocks import Block, blocks_of
+from .html_blocks import Block, Node, blocks_of
 from .html_pages import PageMaker
 
 FEATURES = 1 << 13
@@ -44,19 +46,21 @@ def _at(name: str) -> int:
     return zlib.crc32(name.encode("utf-8", "surrogatepass")) % FEATURES
 
 
-def path_features(path: tuple) -> list[str]:
+def own_features(node: Node) -> list[str]:
+    """Of a block's last tag and those nearest above it."""
+    above = node.parent.tag if node.parent is not None and node.parent.tag else ""
+    return [f"leaf={node.tag}", f"above={above}>{node.tag}" if above else f"above={node.tag}", *(f"near={n}" for n in node.near), f"holder={node.holder}", f"holder={node.holder},leaf={node.tag}"]
+
+
+def fresh_features(node: Node) -> list[str]:
+    """Of the tag and words that come in with a node; a block has those of all nodes above it."""
+    tags, names = node.fresh
+    return [*(f"in={t}" for t in tags), *(f"name={n}" for n in names)]
+
+
+def path_features(node: Node) -> list[str]:
     """Of a block's ancestors."""
-    tags = [t for t, _ in path]
-    out = [f"leaf={tags[-1] if tags else ''}", "above=" + ">".join(tags[-2:])]
-    out += [f"in={t}" for t in sorted(set(tags))]
-    marks = [n for _, names in path for n in names]
-    out += [f"name={n}" for n in sorted(set(marks))]
-    nearest = next((names for t, names in reversed(path) if names), ())
-    out += [f"near={n}" for n in nearest]
-    holder = next((t for t in reversed(tags) if t in ("article", "main", "aside", "nav", "header", "footer", "form", "section")), "none")
-    out.append(f"holder={holder}")
-    out += [f"holder={holder},leaf={tags[-1] if tags else ''}"]
-    return out
+    return [*own_features(node), *(f for n in node.up() for f in fresh_features(n))]
 
 
 def _bucket(n: float, bounds: tuple) -> int:
@@ -75,8 +79,8 @@ def text_features(block: Block, place: int, total: int) -> tuple[str, ...]:
     return (f"size={size}", f"links={links}", f"ends={ends},size={size}", f"cue={cue}", f"bar={'|' in t or '·' in t}", f"place={_bucket(place / total, (0.1, 0.5, 0.9))}", f"edge={'f' if place == 0 else 'l' if place == total - 1 else ''}")
 
 
-def parent_of(path: tuple) -> tuple:
-    return path[:-1] if path and path[-1][0] in ("p", "h1", "h2", "h3", "h4", "li", "td", "pre", "figcaption", "blockquote") else path
+def parent_of(node: Node) -> Node:
+    return node.parent if node.tag in ("p", "h1", "h2", "h3", "h4", "li", "td", "pre", "figcaption", "blockquote") else node
 
 
 @dataclass
@@ -87,8 +91,20 @@ class CrfModel:
     start: np.ndarray
     moves: np.ndarray
 
+    def _height(self, node: Node, memo: dict) -> float:
+        """The weight of what comes in with a node and with all above it."""
+        missing = []
+        for n in node.up():
+            if (n,) in memo:
+                break
+            missing.append(n)
+        for n in reversed(missing):
+            own = fresh_features(n)
+            memo[n,] = memo.get((n.parent,), 0.0) + (float(self.weights[[_at(f) for f in own]].sum()) if own else 0.0)
+        return memo.get((node,), 0.0)
+
     def decode(self, blocks: list[Block], memo: dict) -> list[int]:
-        """Viterbi."""
+        """Viterbi. memo: what was found for paths and features so far."""
         n = len(blocks)
         if not n:
             return []
@@ -97,9 +113,7 @@ class CrfModel:
         for i, b in enumerate(blocks):
             lift = memo.get(b.path)
             if lift is None:
-                if len(memo) > 50_000:
-                    memo.clear()
-                lift = memo[b.path] = float(w[[_at(f) for f in path_features(b.path)]].sum())
+                lift = memo[b.path] = self._height(b.path, memo) + float(w[[_at(f) for f in own_features(b.path)]].sum())
             for f in text_features(b, i, n):
                 x = memo.get(f)
                 if x is None:
@@ -107,7 +121,7 @@ class CrfModel:
                 lift += x
             parent = parent_of(b.path)
             if i:
-                m = moves[parent == before]
+                m = moves[parent is before]
                 a0, a1, b0, b1 = s0 + m[0][0], s1 + m[1][0], s0 + m[0][1], s1 + m[1][1]
                 back.append((a1 > a0, b1 > b0))
                 s0, s1 = max(a0, a1), max(b0, b1)
@@ -121,7 +135,9 @@ class CrfModel:
         return labels[::-1]
 
     def text(self, html: str | None, memo: dict) -> str:
-        blocks = blocks_of(html)
+        if len(memo) > 100_000:  # the tree of paths goes with it
+            memo.clear()
+        blocks = blocks_of(html, memo.setdefault("tree", Node("", (), None)))
         return "\n".join(b.text for b, y in zip(blocks, self.decode(blocks, memo), strict=True) if y)
 
 
@@ -151,7 +167,7 @@ def train(spec: CrfSpec = CrfSpec()) -> CrfModel:
             entries += found
             owners += [p * T + i] * len(found)
             real[p, i], gold[p, i] = True, ys[i]
-            same[p, i] = i > 0 and parent_of(b.path) == parent_of(blocks[i - 1].path)
+            same[p, i] = i > 0 and parent_of(b.path) is parent_of(blocks[i - 1].path)
     entry, owner = np.array(entries), np.array(owners)
     theta = np.zeros(FEATURES + 2 + 8)
     m, v = np.zeros_like(theta), np.zeros_like(theta)
@@ -187,7 +203,7 @@ def train(spec: CrfSpec = CrfSpec()) -> CrfModel:
 def _texts(batches: Iterator[pa.RecordBatch], model: CrfModel) -> Iterator[pa.RecordBatch]:
     memo: dict = {}
     for batch in batches:
-        texts = [model.text(h, memo) for h in batch.column(batch.num_columns - 1).to_pylist()]
+        texts = [model.text(h.as_py(), memo) for h in batch.column(batch.num_columns - 1)]
         yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(texts, pa.string())], names=[*batch.schema.names[:-1], "main_text"])
 
 
