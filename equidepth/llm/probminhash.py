@@ -42,7 +42,7 @@ from .shared import U64, WordHashes, arrow_rows, broadcast_if_small, chunks_by_l
 
 _STEP = U64(0xA0761D6478BD642F)
 CHARS = 2_000_000  # of text signed at once
-BLOCK = 2048  # texts of a block
+BLOCK = 512  # texts of a block
 BLOCK_BYTES = 4_000_000  # of a block's shingle hashes, but for a text that has more
 
 
@@ -268,7 +268,8 @@ def near_links(docs: DataFrame, spec: NearSpec = NearSpec(), text: str = "text")
     spark = docs.sparkSession
     texts = with_uid(docs.select(text_or_empty(text).alias("text"))).select("uid", "text").filter(F.col("text") != "")
     banded = texts.mapInPandas(lambda it: _band_rows(it, spec), "uid binary, keys array<bigint>")
-    signed = materialize(banded.groupBy("uid").agg(F.first("keys").alias("keys")), "near-signed")  # equal texts of other partitions
+    with arrow_rows(spark, 1000):
+        signed = materialize(banded.groupBy("uid").agg(F.first("keys").alias("keys")), "near-signed")  # equal texts of other partitions
     exploded = signed.select("uid", F.explode("keys").alias("key"))
     # tables that meet their rows by bucket are written first, so that both sides of each join can be split where a bucket is large
     shared = materialize(exploded.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1"), "near-shared")
