@@ -10,11 +10,14 @@ Windows that share no shingle with an item have similarity 0 to it, so windows a
 every position where they hold at least one shingle of an item of their length; no document, position
 or candidate is passed over otherwise.
 
-Scale: documents are read once per block of `block_items` items and never shuffled; a block's index (bounded
-by that number) travels with the tasks. Larger benchmarks run in more blocks.
-
-Nulls: null and empty texts and items match nothing. Items of fewer words than a shingle match only
-a document of the same few words. Repeated rows each report. Empty tables give empty results.
+Scale: documents are read once per block of items (`block_items` of them and `block_chars` characters at most, but for an item
+that has more) and never shuffled; a block's index, bounded so, travels with the tasks. Larger benchmarks run in more
+blocks. without_leaks tells each row by itself while it is scanned: no join, no digest.
+
+Nulls: null and empty texts and items match nothing; items without an id are left out. Items of fewer words than a shingle match
+only a document of the same few words. Very long texts are searched whole, a span of windows at a time. Ties: of equally similar
+windows the one nearest in bits counts, then the first. Repeated rows each report; repeated items count once. Columns cannot clash:
+find_leaks reads key and text alone, without_leaks renames the input's columns while it works. Empty tables give empty results.
 """
 
 from __future__ import annotations
@@ -28,8 +31,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import U64, WordHashes, broadcast_if_small, materialize, mix64, shield, shingles_of, word_hashes
+from .shared import U64, WordHashes, mix64, shield, shingles_of, word_hashes
 
+SPAN = 50_000  # positions whose windows are fingerprinted at once
+CELLS = 2_000_000  # windows times items compared at once
 _POP8 = np.array([bin(i).count("1") for i in range(256)], np.uint8)
 MATCHES = "row bigint, item_id bigint, start_word int, n_words int, distance int, similarity double"
 ARROW = pa.schema([("row", pa.int64()), ("item_id", pa.int64()), ("start_word", pa.int32()), ("n_words", pa.int32()), ("distance", pa.int32()), ("similarity", pa.float64())])
@@ -115,31 +120,40 @@ class ItemIndex:
             np.add.at(mark, np.clip(held - size + 1, 0, len(shingles) - size), 1)
             np.add.at(mark, np.minimum(held, len(shingles) - size) + 1, -1)
             starts = np.flatnonzero(np.cumsum(mark)[:-1] > 0)
-            prints = simhash_windows(shingles, starts, size)
             own, fixed, near = self.by_length[n]
             wanted = np.isin(own, items)
-            own, fixed = own[wanted], fixed[wanted]
-            parts = prints.astype(">u8").view(np.uint8).reshape(-1, 8)
-            hit = np.zeros((len(starts), len(own)), bool)
-            for b in range(8):
-                hit |= near[b][:, wanted][parts[:, b]]
-            distance = np.bitwise_count(prints[:, None] ^ fixed[None, :])
-            hit &= distance <= self.spec.radius
-            for j in np.flatnonzero(hit.any(axis=0)):
-                best = (0.0, 0, 0)
-                rows = np.flatnonzero(hit[:, j])
-                for r in rows[np.argsort(distance[rows, j], kind="stable")]:
-                    s = int(starts[r])
-                    similar = weighted_jaccard(shingles[s : s + size], self.bags[own[j]])
-                    if similar > best[0]:
-                        best = (similar, s, int(distance[r, j]))
-                    if similar == 1.0:
-                        break
-                if best[0] >= self.spec.threshold:
-                    found.append((int(own[j]), best[1], best[2], best[0]))
+            own, fixed, near = own[wanted], fixed[wanted], near[:, :, wanted]
+            best = [(0.0, 0, 0)] * len(own)
+            for part in _spans(starts, max(1, CELLS // len(own))):
+                prints = simhash_windows(shingles, part, size)
+                bytes_ = prints.astype(">u8").view(np.uint8).reshape(-1, 8)
+                hit = np.zeros((len(part), len(own)), bool)
+                for b in range(8):
+                    hit |= near[b][bytes_[:, b]]
+                distance = np.bitwise_count(prints[:, None] ^ fixed[None, :])
+                hit &= distance <= self.spec.radius
+                for j in np.flatnonzero(hit.any(axis=0)):
+                    rows = np.flatnonzero(hit[:, j])
+                    for r in rows[np.argsort(distance[rows, j], kind="stable")]:
+                        if best[j][0] == 1.0:
+                            break
+                        s = int(part[r])
+                        similar = weighted_jaccard(shingles[s : s + size], self.bags[own[j]])
+                        if similar > best[j][0]:
+                            best[j] = (similar, s, int(distance[r, j]))
+            found += [(int(own[j]), s, d, x) for j, (x, s, d) in enumerate(best) if x >= self.spec.threshold]
         return found
 
 
+def _spans(starts: np.ndarray, most: int) -> Iterator[np.ndarray]:
+    """Rising starts in runs of at most `most` that lie within SPAN positions."""
+    at = 0
+    while at < len(starts):
+        end = min(at + most, int(np.searchsorted(starts, starts[at] + SPAN)))
+        yield starts[at:end]
+        at = end
+
+
 def build_index(items: list[tuple[int, str | None]], spec: LeakSpec) -> ItemIndex:
     memo = WordHashes()
     pairs = [(i, shingles_of(word_hashes(t, memo), spec.width)) for i, t in items]
@@ -151,41 +165,49 @@ def _scan(batches: Iterator[pa.RecordBatch], index: ItemIndex) -> Iterator[pa.Re
     memo, spec = WordHashes(), index.spec
     for batch in batches:
         rows = []
-        for row, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-            shingles = shingles_of(word_hashes(text, memo), spec.width)
+        for row, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+            shingles = shingles_of(word_hashes(text.as_py(), memo), spec.width)
             for item, start, distance, similar in index.matches(shingles) if len(shingles) else ():
                 rows.append((row, index.ids[item], start, min(len(index.bags[item]), len(shingles)) + spec.width - 1, distance, similar))
         columns = list(zip(*rows, strict=True)) or [()] * len(ARROW)
         yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(columns, ARROW, strict=True)], schema=ARROW)
 
 
-def find_leaks(docs: DataFrame, items: DataFrame, spec: LeakSpec = LeakSpec(), *, key: str = "doc_id", text: str = "text", block_items: int = 2000) -> DataFrame:
+def indexes(items: DataFrame, spec: LeakSpec, block_items: int = 5000, block_chars: int = 8_000_000) -> Iterator[ItemIndex]:
+    """Indexes of the distinct items, block by block."""
+    block, chars = [], 0
+    for item in items.select(F.col("item_id").cast("long"), "text").filter(F.col("item_id").isNotNull() & F.col("text").isNotNull()).distinct().toLocalIterator():
+        if block and (len(block) == block_items or chars + len(item[1]) > block_chars):
+            yield build_index(block, spec)
+            block, chars = [], 0
+        block.append((item[0], item[1]))
+        chars += len(item[1])
+    if block:
+        yield build_index(block, spec)
+
+
+def find_leaks(docs: DataFrame, items: DataFrame, spec: LeakSpec = LeakSpec(), *, key: str = "doc_id", text: str = "text") -> DataFrame:
     """(row, item_id, start_word, n_words, distance, similarity): row is the document's key."""
-    spark = docs.sparkSession
     slim = docs.select(F.col(key).cast("long").alias("row"), F.col(text).alias("text")).filter(F.col("text").isNotNull() & (F.col("text") != ""))
-    results, block = [], []
-    listed = items.select(F.col("item_id").cast("long"), "text").filter(F.col("item_id").isNotNull() & F.col("text").isNotNull()).distinct()
+    results = [slim.mapInArrow(lambda it, index=index: _scan(it, index), MATCHES) for index in indexes(items, spec) if index.ids]
+    return reduce(DataFrame.unionByName, results) if results else docs.sparkSession.createDataFrame([], MATCHES)
 
-    def scan(block):
-        index = build_index(block, spec)
-        return slim.mapInArrow(lambda it: _scan(it, index), MATCHES) if index.ids else None
 
-    for item in listed.toLocalIterator():
-        block.append((item[0], item[1]))
-        if len(block) == block_items:
-            results.append(scan(block))
-            block = []
-    results = [r for r in [*results, scan(block) if block else None] if r is not None]
-    return reduce(DataFrame.unionByName, results) if results else spark.createDataFrame([], MATCHES)
+def _clean(batches: Iterator[pa.RecordBatch], index: ItemIndex, at: int) -> Iterator[pa.RecordBatch]:
+    memo, spec = WordHashes(), index.spec
+    for batch in batches:
+        kept = [not (len(s := shingles_of(word_hashes(text.as_py(), memo), spec.width)) and index.matches(s)) for text in batch.column(at)]
+        yield batch.filter(pa.array(kept, pa.bool_()))
 
 
 def without_leaks(docs: DataFrame, items: DataFrame, spec: LeakSpec = LeakSpec(), *, text: str = "text") -> DataFrame:
     """docs without the rows whose text has a leak."""
     inner, names, restore = shield(docs)
-    body = F.col(names[text])
-    leaks = find_leaks(inner.select(F.xxhash64(body).alias("_mark"), body.alias("_body")), items, spec, key="_mark", text="_body")
-    marks, _ = broadcast_if_small(materialize(leaks.select(F.col("row").alias("_mark")).distinct(), "leaks"), 500_000)  # 8 bytes a row
-    return restore(inner.withColumn("_mark", F.xxhash64(body)).join(marks, "_mark", "left_anti"))
+    at = inner.columns.index(names[text])
+    for index in indexes(items, spec):
+        if index.ids:
+            inner = inner.mapInArrow(lambda it, index=index: _clean(it, index, at), inner.schema)
+    return restore(inner)
 
 
 def op6_query(spark, sf_dir: str) -> DataFrame:
