@@ -4,18 +4,22 @@ A word's vector is the mean of the vectors of its character n-grams (with word e
 word itself, all hashed into one table; a passage's vector is the mean of its words' vectors; a linear
 softmax over two classes scores it. Table and softmax are trained jointly by gradient descent in
 numpy, so an unseen misspelling is scored through the n-grams it shares with words seen. A text's score
-is that of its highest passage of `passage` words, so a few words in a long text are not averaged away;
-training looks at each text's highest passage too. Two numbers fitted on the training texts turn that
-height into a probability.
+is that of its highest run of `passage` words, at whatever word it starts (a text of fewer words is one passage), so a
+few words in a long text are not averaged away; training looks at each text's highest passage too. Two numbers
+fitted on the training texts turn that height into a probability.
 
 Because both the mean and the softmax are linear, a word adds one number to its passage's height:
 scoring ships one float for each gram that tells the classes apart and remembers words' numbers.
 
-Training reads at most `rows` labelled texts (a bounded, documented sample, chosen by a hash of doc_id),
-never those held out; scoring reads every whole text. Labels, language, source and doc_id are no inputs.
+Training reads at most `rows` labelled texts of at most `chars` characters together (a bounded, documented sample,
+chosen by a hash of doc_id), never those held out; scoring reads every whole text. Labels, language, source and
+doc_id are no inputs.
 
 Nulls: a null text is scored like an empty one (by the bias alone); null labels are no labels; a
-null doc_id hashes like an empty string. Repeated rows each get their score. Without any label, or with one
+null doc_id hashes like an empty string. Very long texts are scored whole, one at a time; a very long token gives its grams one by one
+and is not remembered. Ties: of equally high passages the first counts; a doc_id labelled twice has its greater label, and of two texts of a
+labelled doc_id the lesser is learned from. Repeated rows each get their score. clean_documents renames the input's columns while it
+works, so none can clash; score_texts returns the keys asked for. Empty tables give empty results. Without any label, or with one
 class only, every score is the share of toxic labels (0 without any).
 """
 
@@ -24,7 +28,7 @@ from __future__ import annotations
 import itertools
 import zlib
 from array import array
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -39,9 +43,10 @@ EDGES = ".,;:!?\"'()[]{}<>«»“”‘’…|-–—*_#$%&~"
 
 @dataclass(frozen=True)
 class ToxicSpec:
-    """Sizes of the model and of its training; rows bounds the labelled texts it reads."""
+    """Sizes of the model and of its training; rows and chars bound the labelled texts it reads."""
 
     rows: int = 6000
+    chars: int = 30_000_000
     least: int = 3
     most: int = 8
     buckets: int = 1 << 18
@@ -58,11 +63,19 @@ class ToxicSpec:
     threshold: float = 0.3
 
 
-def grams(word: str, spec: ToxicSpec) -> list[str]:
-    """A word itself, and its n-grams between word ends."""
+def grams(word: str, spec: ToxicSpec) -> Iterator[str]:
+    """A word itself, and its n-grams between word ends, one by one."""
     marked = f"<{word}>"
     end = len(marked) + 1
-    return ["=" + word, *[marked[i : i + n] for n in range(spec.least, spec.most + 1) for i in range(end - n)]]
+    yield "=" + word
+    for n in range(spec.least, spec.most + 1):
+        for i in range(end - n):
+            yield marked[i : i + n]
+
+
+def gram_count(word: str, spec: ToxicSpec) -> int:
+    """How many grams() gives."""
+    return 1 + sum(max(0, len(word) + 3 - n) for n in range(spec.least, spec.most + 1))
 
 
 def entry_of(gram: str, spec: ToxicSpec) -> int:
@@ -85,39 +98,44 @@ class ToxicModel:
     offset: float
 
     def word_height(self, token: str) -> float:
-        own = grams(bare(token), self.spec)
-        return sum(map(self.heights.get, own, itertools.repeat(0.0))) / len(own)
+        word = bare(token)
+        return sum(map(self.heights.get, grams(word, self.spec), itertools.repeat(0.0))) / gram_count(word, self.spec)
 
-    def scores(self, texts: list[str], memo: "WordHeights") -> np.ndarray:
+    def scores(self, texts: Iterable[str], memo: "WordHeights") -> np.ndarray:
         top = np.array([top_passage(np.fromiter(map(memo.__getitem__, w), np.float64, len(w)), self.spec.passage)[0] for w in (t.lower().split() for t in texts)])
         z = np.clip(self.slope * (top + self.bias) + self.offset, -40, 40)
         return 1.0 / (1.0 + np.exp(-z))
 
 
 class WordHeights(dict):
-    """Remembered word heights; emptied beyond `most`."""
+    """Remembered word heights, in two generations of `most` words; longer tokens are not remembered."""
 
-    def __init__(self, model: ToxicModel, most: int = 400_000):
+    def __init__(self, model: ToxicModel, most: int = 150_000, longest: int = 64):
         super().__init__()
-        self.model, self.most = model, most
+        self.model, self.most, self.longest, self.old = model, most, longest, {}
 
     def __missing__(self, token: str) -> float:
+        if len(token) > self.longest:
+            return self.model.word_height(token)
         if len(self) >= self.most:
+            self.old = dict(self)
             self.clear()
-        value = self[token] = self.model.word_height(token)
+        value = self.old.get(token)
+        self[token] = value = self.model.word_height(token) if value is None else value
         return value
 
 
 def top_passage(heights: np.ndarray, length: int) -> tuple[float, int]:
-    """(mean, start) of the highest passage; passages follow each other, the last has at least half the length."""
+    """(mean, start) of the highest run of `length` words; fewer words are one run."""
     n = len(heights)
     if n == 0:
         return 0.0, 0
-    starts = np.arange(0, max(1, n - length // 2), length)
-    sums = np.add.reduceat(heights, starts)
-    means = sums / np.diff(np.append(starts, n))
-    best = int(means.argmax())
-    return float(means[best]), int(starts[best])
+    if n <= length:
+        return float(heights.mean()), 0
+    sums = np.concatenate([[0.0], np.cumsum(heights)])
+    runs = sums[length:] - sums[:-length]
+    best = int(runs.argmax())
+    return float(runs[best] / length), best
 
 
 def telling_entries(docs: list[np.ndarray], y: np.ndarray, flat: np.ndarray, first: np.ndarray, sizes: np.ndarray, spec: ToxicSpec) -> np.ndarray:
@@ -152,9 +170,8 @@ def train(texts: list[str], labels: list[int], spec: ToxicSpec = ToxicSpec()) ->
     docs = [np.array([vocabulary.setdefault(bare(w), len(vocabulary)) for w in t.lower().split()], np.int32) for t in texts]
     entries, counts = array("i"), array("i")
     for w in vocabulary:
-        own = [entry_of(g, spec) for g in grams(w, spec)]
-        entries.extend(own)
-        counts.append(len(own))
+        entries.extend(entry_of(g, spec) for g in grams(w, spec))
+        counts.append(gram_count(w, spec))
     total = np.array(counts or [1], np.int64)  # a word's mean is over all its entries, zero vectors too
     flat = np.array(entries or [0], np.int32)
     first = np.concatenate([[0], np.cumsum(total)[:-1]])
@@ -162,7 +179,8 @@ def train(texts: list[str], labels: list[int], spec: ToxicSpec = ToxicSpec()) ->
     active = telling_entries(docs, y, flat, first, total, spec)
     keep = active[flat]
     sizes = np.add.reduceat(keep.astype(np.int64), first)
-    flat = (np.cumsum(active) - 1)[flat[keep]]
+    flat = (np.cumsum(active) - 1).astype(np.int32)[flat[keep]]
+    del keep
     first = np.concatenate([[0], np.cumsum(sizes)[:-1]])
     n = int(active.sum())
     rng = np.random.default_rng(spec.seed)
@@ -236,11 +254,23 @@ def held_out(key: Column) -> Column:
     return F.pmod(F.crc32(F.coalesce(key.cast("string"), F.lit("")).cast("binary")), F.lit(4)) == 2
 
 
-def labelled_texts(docs: DataFrame, labels: DataFrame, rows: int) -> tuple[list[str], list[int]]:
-    """At most `rows` labelled texts outside the held-out rows, chosen and ordered by a hash of doc_id."""
+def labelled_texts(docs: DataFrame, labels: DataFrame, rows: int, chars: int) -> tuple[list[str], list[int]]:
+    """At most `rows` labelled texts of at most `chars` characters together, outside the held-out rows, chosen and ordered by a hash of doc_id."""
     marks = labels.filter(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"))).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     chosen = marks.withColumn("_h", F.xxhash64("doc_id")).orderBy("_h", "doc_id").limit(rows)
-    got = docs.select("doc_id", text_or_empty("text").alias("text")).join(F.broadcast(chosen), "doc_id").groupBy("doc_id", "_h", "toxic").agg(F.min("text").alias("text")).select("_h", "doc_id", "text", "toxic").collect()
+    met = docs.select("doc_id", text_or_empty("text").alias("text")).join(F.broadcast(chosen), "doc_id")
+    sizes = sorted(tuple(r) for r in met.groupBy("_h", "doc_id").agg(F.max(F.char_length("text")).alias("n")).collect())  # at most `rows`
+    total, last = 0, len(sizes)
+    for i, (_, _, n) in enumerate(sizes):
+        total += n
+        if total > chars:
+            last = i
+            break
+    if last == 0:
+        return [], []
+    if last < len(sizes):
+        met = met.filter((F.col("_h") < sizes[last][0]) | (F.col("_h") == sizes[last][0]) & (F.col("doc_id") < sizes[last][1]))
+    got = met.groupBy("doc_id", "_h", "toxic").agg(F.min("text").alias("text")).select("_h", "doc_id", "text", "toxic").collect()
     got.sort(key=lambda r: (r[0], r[1]))
     return [r[2] for r in got], [int(r[3] > 0) for r in got]
 
@@ -248,7 +278,7 @@ def labelled_texts(docs: DataFrame, labels: DataFrame, rows: int) -> tuple[list[
 def _scored(batches: Iterator[pa.RecordBatch], model: ToxicModel) -> Iterator[pa.RecordBatch]:
     memo = WordHeights(model)
     for batch in batches:
-        scores = model.scores(batch.column(batch.num_columns - 1).to_pylist(), memo)
+        scores = model.scores((x.as_py() for x in batch.column(batch.num_columns - 1)), memo)
         yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(scores, pa.float64())], names=[*batch.schema.names[:-1], "score"])
 
 
@@ -260,7 +290,7 @@ def score_texts(docs: DataFrame, model: ToxicModel, *, keys: tuple[str, ...] = (
 
 
 def fit(docs: DataFrame, labels: DataFrame, spec: ToxicSpec = ToxicSpec()) -> ToxicModel:
-    return train(*labelled_texts(docs, labels, spec.rows), spec)
+    return train(*labelled_texts(docs, labels, spec.rows, spec.chars), spec)
 
 
 def clean_documents(docs: DataFrame, labels: DataFrame, spec: ToxicSpec = ToxicSpec()) -> DataFrame:
