@@ -5,8 +5,14 @@ case, words between white space, `width` words a shingle; a shorter text is one
 without words has none). Sketches of parts merge into the sketch of the whole, and two sketches
 estimate resemblance, containment and the number of distinct shingles.
 
-Nulls: a null text is an empty one. Two empty sketches resemble each other fully, an empty and a filled
-one not at all. Very long texts are sketched in their row; nothing is cut.
+Successors by doc_id come from ranges of ids, not from one window over everything; an id that fills a range by itself (nulls too)
+is spread over parts of that range by a hash of its texts. Up to 65,536 ranges are made, so beyond 131 million rows a range
+holds more than 2,000 of them and its sort may spill.
+
+Nulls: a null text is an empty one; null ids come first. Two empty sketches resemble each other fully, an empty and a filled
+one not at all. Very long texts are sketched in their row; nothing is cut. Ties: rows of one id go on by a hash of their texts; repeated
+rows follow each other and are like each other. Columns other than doc_id and text are not read, so none can clash. Empty
+tables give empty results.
 """
 
 from __future__ import annotations
@@ -66,11 +72,16 @@ def to_text(a: Column) -> Column:
     return F.array_join(F.transform(a, lambda x: F.lpad(F.hex(x), 16, "0")), "")
 
 
+def _longs(values: list) -> Column:
+    """An array literal."""
+    return F.array(*[F.lit(int(b)).cast("long") for b in values]) if len(values) < 200 else F.split(F.lit(",".join(str(int(b)) for b in values)), ",").cast(EMPTY)
+
+
 def _bucket(col: str, bounds: list) -> Column:
     """Number of bounds at or below col, by binary search; nulls 0."""
     if not bounds:
         return F.lit(0)
-    array = F.array(*[F.lit(int(b)).cast("long") for b in bounds]) if len(bounds) < 200 else F.split(F.lit(",".join(str(int(b)) for b in bounds)), ",").cast(EMPTY)
+    array = _longs(bounds)
     steps = F.array(*[F.lit(1 << s) for s in reversed(range(len(bounds).bit_length()))])
     return F.aggregate(steps, F.lit(0), lambda at, h: at + F.when(F.coalesce(F.get(array, at + h - 1) <= F.col(col), F.lit(False)), h).otherwise(0))
 
@@ -78,8 +89,9 @@ def _bucket(col: str, bounds: list) -> Column:
 def with_next(df: DataFrame, *, text: str = "text", rows_per_bucket: int = 2000, max_buckets: int = 65_536) -> tuple[DataFrame, Window]:
     """(rows with _text, _next and _ghost, the window they are ordered by): each row's successor by doc_id.
 
-    Rows are dealt into ranges of doc_id; the first row of a range is also dealt, as a ghost, to the range
-    before (that of the last range is the first of all). Equal ids go on by a hash of the text. Ghosts
+    Rows are dealt into ranges of doc_id, and rows of the id that a range begins with (null in the first range) into parts of it by the
+    first bits of their texts' hashes; the first row of a range or part is also dealt, as a ghost, to the one
+    before (that of the last one is the first of all). Equal ids go on by a hash of the text. Ghosts
     must be dropped when the window has been used.
     """
     spark = df.sparkSession
@@ -88,20 +100,22 @@ def with_next(df: DataFrame, *, text: str = "text", rows_per_bucket: int = 2000,
     buckets = max(1, min(max_buckets, -(-rows // rows_per_bucket)))
     cuts = [i / buckets for i in range(1, buckets)]
     bounds = sorted(set(df.agg(F.percentile_approx(F.col("doc_id").cast("long"), cuts, max(10_000, 10 * buckets))).first()[0] or [])) if cuts else []
-    laid = slim.withColumns({"_tie": F.xxhash64("_text"), "_bucket": _bucket("doc_id", bounds)})
+    lead = F.get(_longs(bounds), F.col("_bucket") - 1) if bounds else F.lit(None).cast("long")
+    sub = F.when(F.col("doc_id").cast("long").eqNullSafe(lead), F.shiftright("_tie", 59).cast("int") + 16).otherwise(F.lit(32))  # 32 parts, then the rest
+    laid = slim.withColumns({"_tie": F.xxhash64("_text"), "_bucket": _bucket("doc_id", bounds)}).withColumn("_sub", sub)
     key = F.struct(F.col("doc_id").isNotNull().alias("full"), "doc_id", "_tie")
-    firsts = sorted((r[0], r[1]) for r in laid.groupBy("_bucket").agg(F.min(key).alias("first")).collect())  # a row for each range
+    firsts = sorted((r[0], r[1], r[2]) for r in laid.groupBy("_bucket", "_sub").agg(F.min(key).alias("first")).collect())  # a few rows for each range
+    order = Window.partitionBy("_bucket", "_sub").orderBy("_ghost", F.col("doc_id").asc_nulls_first(), "_tie")
     if not firsts:
-        return laid.withColumns({"_ghost": F.lit(False), "_next": F.lit("")}), Window.partitionBy("_bucket").orderBy("_ghost", "doc_id", "_tie")
-    befores = [(b, f["doc_id"], f["_tie"], firsts[i - 1][0]) for i, (b, f) in enumerate(firsts)]
-    table = F.broadcast(spark.createDataFrame(befores, "_b int, _id long, _t long, _before int"))  # at most max_buckets rows
-    marked = laid.join(table, (F.col("_bucket") == F.col("_b")) & F.col("doc_id").cast("long").eqNullSafe(F.col("_id")) & (F.col("_tie") == F.col("_t")), "left")
-    none = F.array().cast("array<int>")
-    dealt = marked.select("doc_id", "_text", "_tie", F.explode(F.arrays_zip(
-        F.concat(F.array("_bucket"), F.when(F.col("_before").isNotNull(), F.array("_before")).otherwise(none)).alias("b"),
-        F.concat(F.array(F.lit(False)), F.when(F.col("_before").isNotNull(), F.array(F.lit(True))).otherwise(F.array().cast("array<boolean>"))).alias("g"),
-    )).alias("z")).select("doc_id", "_text", "_tie", F.col("z")["b"].alias("_bucket"), F.col("z")["g"].alias("_ghost"))
-    order = Window.partitionBy("_bucket").orderBy("_ghost", F.col("doc_id").asc_nulls_first(), "_tie")
+        return laid.withColumns({"_ghost": F.lit(False), "_next": F.lit("")}), order
+    befores = [(b, s, f["doc_id"], f["_tie"], *firsts[i - 1][:2]) for i, (b, s, f) in enumerate(firsts)]
+    table = F.broadcast(spark.createDataFrame(befores, "_b int, _s int, _id long, _t long, _before int, _before_sub int"))  # a few rows for each range
+    met = (F.col("_bucket") == F.col("_b")) & (F.col("_sub") == F.col("_s")) & F.col("doc_id").cast("long").eqNullSafe(F.col("_id")) & (F.col("_tie") == F.col("_t"))
+    marked = laid.join(table, met, "left")
+    here = F.struct(F.col("_bucket").alias("b"), F.col("_sub").alias("s"), F.lit(False).alias("g"))
+    there = F.struct(F.col("_before").alias("b"), F.col("_before_sub").alias("s"), F.lit(True).alias("g"))
+    dealt = marked.select("doc_id", "_text", "_tie", F.explode(F.when(F.col("_before").isNotNull(), F.array(here, there)).otherwise(F.array(here))).alias("z"))
+    dealt = dealt.select("doc_id", "_text", "_tie", F.col("z.b").alias("_bucket"), F.col("z.s").alias("_sub"), F.col("z.g").alias("_ghost"))
     return dealt.withColumn("_next", F.coalesce(F.lead("_text").over(order), F.lit(""))), order
 
 
@@ -112,7 +126,7 @@ def fingerprint_edits(docs: DataFrame, *, k: int = 128, width: int = 5, text: st
     quarter = F.floor(n / 4).cast("int")
     edited = F.concat(F.substring(F.col("_text"), F.lit(1), n - quarter), F.substring(F.col("_next"), F.lit(1), quarter))
     made = rows.withColumn("_edited", edited).select(
-        "doc_id", "_tie", "_bucket", "_ghost", n.cast("long").alias("n_chars"), F.sha2(F.encode("_edited", "UTF-8"), 256).alias("edited_sha256"),
+        "doc_id", "_tie", "_bucket", "_sub", "_ghost", n.cast("long").alias("n_chars"), F.sha2(F.encode("_edited", "UTF-8"), 256).alias("edited_sha256"),
         sketch(F.col("_text"), k, width).alias("_own"), sketch(F.col("_edited"), k, width).alias("_changed"),
     )
     led = made.withColumn("_after", F.lead("_own").over(order)).filter(~F.col("_ghost"))
