@@ -7,14 +7,15 @@ whole-number shares of the row count, so shards differ by one row at most; with
 ``load="bytes"``, a shard holds at most (1 + slack) times its share and fewer rows move when the
 ring grows.
 
-How it is spread: the ring is cut into a fixed number of cells. One aggregation counts the load of
-each cell (a table of fixed size, whatever the input), the driver walks the ring over those counts
-and cuts cells into pieces, and rows find their piece by their rank inside the cell. No window spans
-more than a cell, and a key that repeats is spread over ``subs`` sub-cells by its text.
-
-Nulls: a null key hashes like any other value, a null text counts no bytes. Repeated rows are
-interchangeable. An empty table gives an empty result. Columns of the input named like ours
-(``shard``, ``slot``) are replaced.
+How it is spread: the ring is cut into a fixed number of cells. One aggregation counts the rows of each cell, and a cell with many
+is cut by a hash of the text into sub-cells, in proportion (at most 200,000 of them in all), so a key that repeats is spread. Another counts
+the load of each sub-cell, the driver walks the ring over those counts and cuts them into pieces, and rows find their piece
+by their rank inside the sub-cell. No window spans more than a sub-cell.
+
+Nulls: a null key hashes like any other value, a null text counts no bytes. Very long texts count their bytes and travel only if the
+caller keeps them in the frame. Ties in rank go by key, text hash and load; rows alike in all are interchangeable, and so are
+repeated rows. An empty table gives an empty result. Columns of the input named like ours (``shard``, ``slot``) are replaced; others
+cannot clash, as the input's columns are renamed while it works.
 """
 
 from __future__ import annotations
@@ -100,7 +101,7 @@ def _pieces_frame(spark, pieces: list[tuple]) -> DataFrame:
 
 def assign_shards(
     df: DataFrame, shards: int, *, key: str = "doc_id", text: str = "text", load: str = "rows", slack: float = 0.0,
-    vnodes: int = 64, subs: int = 4, seed: int = 17,
+    vnodes: int = 64, rows_per_sub: int = 50_000, most_subs: int = 200_000, seed: int = 17,
 ) -> DataFrame:
     """df with `shard` int and `slot` long (gapless from 0 inside each shard).
 
@@ -118,8 +119,16 @@ def assign_shards(
     laid = df.withColumns({
         "_point": point, "_spread": spread, "_weight": weight,
         "_cell": F.shiftrightunsigned(point, 64 - (ring.cells - 1).bit_length()).cast("int"),
-        "_sub": F.pmod(spread, F.lit(subs)).cast("int"),
     })
+    spark = df.sparkSession
+    counts = {r[0]: r[1] for r in laid.groupBy("_cell").count().collect()}  # a row for each cell
+    each = max(rows_per_sub, -(-sum(counts.values()) // most_subs))
+    large = [(c, -(-n // each)) for c, n in sorted(counts.items()) if n > each]
+    if large:
+        laid = laid.join(F.broadcast(spark.createDataFrame(large, "_cell int, _subs int")), "_cell", "left")  # at most a row for each cell
+        laid = laid.withColumn("_sub", F.pmod("_spread", F.coalesce("_subs", F.lit(1))).cast("int")).drop("_subs")
+    else:
+        laid = laid.withColumn("_sub", F.lit(0))
     loads = {(r[0], r[1]): r[2] for r in laid.groupBy("_cell", "_sub").agg(F.sum("_weight")).collect()}
     total = sum(loads.values())
     pieces = walk(ring, loads, capacities(total, shards, slack, exact=load == "rows" and slack == 0))
@@ -129,8 +138,7 @@ def assign_shards(
     for cell, sub, start, end, shard in pieces:
         numbered.append((cell, sub, start, end, shard, filled[shard]))
         filled[shard] += end - start
-    spark = df.sparkSession
-    cut = F.broadcast(_pieces_frame(spark, numbered))  # at most cells * subs + overflow pieces: a fixed size
+    cut = F.broadcast(_pieces_frame(spark, numbered))  # at most cells + most_subs + overflow pieces
     found = laid.withColumn("_rank", rank).join(cut, ["_cell", "_sub"])
     found = found.filter((F.col("_rank") >= F.col("_from")) & (F.col("_rank") < F.col("_to")))
     if load == "rows":
