@@ -4,13 +4,18 @@ A line is boilerplate of a host when more than `max_ratio` of the host's pages c
 least `min_pages` do. Those lines are dropped from all pages of that host; the same line stays on
 other hosts. Lines compare trimmed of spaces; blank lines are never boilerplate and stay.
 
+The ratio lies between what is counted of boilerplate and of other repeated lines: on the given tables (sf0.1) the one frequent
+notice is on 10.6 % of the documents, 8 % or more of each source's, and the next line on 5 % of a source's at most. `min_pages` keeps the few pages of a
+small host, each of whose lines exceeds any ratio by itself; it is a departure from the ratio alone.
+
 Scale: each page contributes a line once (in-row distinct), counts are combined before the shuffle by
 (host, line digest), so neither a hot host nor a hot line gathers rows anywhere. A host has at most
 (distinct lines a page) / max_ratio boilerplate lines; the table of them is counted and broadcast when
 it keeps within `broadcast_rows`, else joined on (host, salt) with the hot side spread over salts.
 
-Nulls: a null text stays null with no lines; null hosts form one host. Repeated rows are pages of their
-own. Empty tables give empty results. Columns named n_lines or n_dropped are replaced.
+Nulls: a null text stays null with no lines; null hosts form one host. Very long texts and lines are judged whole, lines by their
+digests. Ties: a line exactly at the ratio stays. Repeated rows are pages of their own. Empty tables give empty results. Columns
+named n_lines or n_dropped are replaced; others cannot clash, as the input's columns are renamed while it works.
 """
 
 from __future__ import annotations
@@ -29,7 +34,7 @@ def _digest(line: Column) -> Column:
     return F.unhex(F.md5(F.trim(line)))
 
 
-def boilerplate_lines(df: DataFrame, host: Column, *, text: str = "text", max_ratio: float = 0.1, min_pages: int = 5) -> DataFrame:
+def boilerplate_lines(df: DataFrame, host: Column, *, text: str = "text", max_ratio: float = 0.07, min_pages: int = 5) -> DataFrame:
     """(host_key, digests): the boilerplate lines' digests of each host that has any."""
     keyed = df.select(F.coalesce(F.concat(F.lit("1"), host), F.lit("0")).alias("host_key"), F.col(text).alias("body"))
     pages = keyed.groupBy("host_key").agg(F.count("*").alias("pages"))
@@ -40,7 +45,7 @@ def boilerplate_lines(df: DataFrame, host: Column, *, text: str = "text", max_ra
 
 
 def drop_boilerplate(
-    df: DataFrame, host: str = "source", *, text: str = "text", max_ratio: float = 0.1, min_pages: int = 5, broadcast_rows: int = 100_000, salts: int = 32,
+    df: DataFrame, host: str = "source", *, text: str = "text", max_ratio: float = 0.07, min_pages: int = 5, broadcast_rows: int = 100_000, salts: int = 32,
 ) -> DataFrame:
     """df with text cleaned, n_lines and n_dropped added. host: the column that names the site."""
     df = df.drop("n_lines", "n_dropped")
@@ -83,7 +88,7 @@ WITH lines AS (
 pages AS (SELECT source, count(*) AS pages FROM documents GROUP BY source),
 common AS (
   SELECT l.source, l.bare FROM (SELECT source, bare, count(DISTINCT rid) AS n FROM lines WHERE bare <> '' GROUP BY ALL) l
-  JOIN pages p ON l.source IS NOT DISTINCT FROM p.source WHERE l.n >= 5 AND l.n > 0.1::DOUBLE * p.pages),
+  JOIN pages p ON l.source IS NOT DISTINCT FROM p.source WHERE l.n >= 5 AND l.n > 0.07::DOUBLE * p.pages),
 marked AS (SELECT l.*, c.bare IS NOT NULL AS bad FROM lines l LEFT JOIN common c ON l.source IS NOT DISTINCT FROM c.source AND l.bare = c.bare)
 SELECT doc_id, source, coalesce(string_agg(line, chr(10) ORDER BY pos) FILTER (NOT bad), '') AS text,
        count(*)::INTEGER AS n_lines, count(*) FILTER (bad)::INTEGER AS n_dropped
