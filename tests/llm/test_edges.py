@@ -51,11 +51,13 @@ def test_shards(docs, none):
 
 
 def test_lm(docs, none, spark):
-    spec = lm_scoring.LmSpec(words=50, rest=5, classes=5, stride=4)
-    net = lm_scoring.fit(docs, spec)
-    got = {(r["doc_id"], r["n_tokens"]): r for r in lm_scoring.score(docs, net).collect()}
+    spec = lm_scoring.LmSpec(words=50, bands=2, kinds=4, classes=5, slots=1 << 10)
+    net, rows = lm_scoring.fit(docs, spec)
+    got = {(r["doc_id"], r["n_tokens"]): r for r in lm_scoring.score(rows, net).collect()}
+    assert lm_scoring.score(rows, net).count() == len(ROWS)
     assert got[(1, 0)]["log_likelihood"] == 0 and got[(1, 0)]["mean_log_prob"] is None and got[(5, 80_000)]["log_likelihood"] < 0
-    assert lm_scoring.score(none, lm_scoring.fit(none, spec)).count() == 0
+    net, rows = lm_scoring.fit(none, spec)
+    assert lm_scoring.score(rows, net).count() == 0
 
 
 def test_html(spark):

@@ -66,14 +66,48 @@ def test_walk_fills_exactly_and_overflow_goes_on_clockwise():
         assert first[4] == home or not any(p[0] == cell and p[4] == home for p in pieces)
 
 
+def test_shards_of_every_row_by_the_rule(spark, data, docs):
+    """Sizes, digests and slots by definition; a row stands at its ring point's shard or past shards that are full."""
+    rows = {r["doc_id"]: r for r in sharding.op1_query(spark, data).collect()}
+    texts = {r["doc_id"]: r["text"] or "" for r in docs.select("doc_id", "text").collect()}
+    assert rows.keys() == texts.keys()
+    caps = sharding.capacities(len(texts), 24, 0.0, True)
+    held = [sorted(r["slot"] for r in rows.values() if r["shard"] == s) for s in range(24)]
+    assert [len(h) for h in held] == caps and all(h == list(range(len(h))) for h in held)
+    ring = sharding.Ring(24)
+    nodes, bits = ring.owners(), (ring.cells - 1).bit_length()
+    for d, r in rows.items():
+        body = texts[d].encode()
+        assert r["size"] == len(body) + 8 and r["text_crc32"] == zlib.crc32(body) and r["law"] == "rows" and r["grown_shard"] is None
+        point = xxhash.xxh64_intdigest(struct.pack("<q", d), seed=xxhash.xxh64_intdigest(struct.pack("<i", ring.seed), seed=42))
+        at = int(np.searchsorted(nodes[:, 0], point >> (64 - bits))) % len(nodes)
+        passed = set()
+        while nodes[at, 1] != r["shard"]:
+            passed.add(int(nodes[at, 1]))
+            at = (at + 1) % len(nodes)
+        assert all(len(held[s]) == caps[s] for s in passed)
+
+
+def test_a_key_of_a_third_of_all_rows_is_spread(spark):
+    rows = [(7 if i % 3 == 0 else i, f"text {i}") for i in range(3000)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = sharding.assign_shards(df, 5, rows_per_sub=50).collect()
+    assert sorted(np.bincount([r["shard"] for r in got])) == [600] * 5
+    for s in range(5):
+        assert sorted(r["slot"] for r in got if r["shard"] == s) == list(range(600))
+
+
 # ---- 2
 
 
+SMALL = lm_scoring.LmSpec(words=199, bands=4, kinds=4, slots=1 << 12, classes=12, rounds=3, hidden=8, batch=256, shard_tokens=20_000)
+
+
 def test_log_probabilities_by_definition_and_training_helps(docs, texts):
-    spec = lm_scoring.LmSpec(words=200, rest=10, classes=12, stride=4, hidden=8, batch=128)
-    net = lm_scoring.fit(docs, spec)
-    coded = [net.v.encode(t) for t in list(texts.values())[:20]]
-    context, target, _ = lm_scoring.windows(coded, spec)
+    net, rows = lm_scoring.fit(docs, SMALL)
+    pairs = [net.v.encode(t) for t in list(texts.values())[:20]]
+    coded = [ids for ids, _ in pairs]
+    context, target, _ = lm_scoring.windows(coded, SMALL)
     got = net.log_prob(context, target)
     for k in range(0, len(target), 997):
         h = np.tanh(net.bias + sum(net.tables[i][context[k, i]] for i in range(context.shape[1])))
@@ -83,26 +117,70 @@ def test_log_probabilities_by_definition_and_training_helps(docs, texts):
         y = net.tok[own] @ h + net.tok_b[own]
         want = z[cls] - np.log(np.exp(z).sum()) + y[list(own).index(target[k])] - np.log(np.exp(y).sum())
         assert got[k] == pytest.approx(want, abs=1e-4)
-    total = np.exp(net.log_prob(np.repeat(context[:1], spec.size, 0), np.arange(spec.size))).sum()
+    total = np.exp(net.log_prob(np.repeat(context[:1], SMALL.size, 0), np.arange(SMALL.size))).sum()
     assert total == pytest.approx(1, abs=1e-4)
     assert got.mean() > lm_scoring.Network(net.v).log_prob(context, target).mean() + 0.1
-    scored = {r["doc_id"]: r for r in lm_scoring.score(docs, net).collect()}
+    scored = {r["doc_id"]: r for r in lm_scoring.score(rows, net).collect()}
     first = next(iter(texts))
-    assert scored[first]["n_tokens"] == len(coded[0]) and scored[first]["log_likelihood"] == pytest.approx(got[: len(coded[0])].sum(), rel=1e-4)
+    assert scored[first]["n_tokens"] == len(coded[0]) and scored[first]["log_likelihood"] == pytest.approx(got[: len(coded[0])].sum() + pairs[0][1], rel=1e-4)
+
+
+def test_probabilities_over_all_tokens_of_the_corpus_sum_to_one(docs, texts):
+    """Each token's share in its unit: over the unit's tokens they sum to one; the counts are those of the corpus."""
+    from collections import Counter
+
+    vocabulary, total = lm_scoring.corpus_vocabulary(docs, SMALL)
+    counts = Counter(w for t in texts.values() for w in t.lower().split())
+    assert total == sum(counts.values())
+    assert [w for w, _ in sorted(counts.items(), key=lambda x: (-x[1], x[0]))[: SMALL.words]] == sorted(vocabulary.ids, key=vocabulary.ids.get)
+    sums, mass = np.zeros(SMALL.size), np.zeros(SMALL.size)
+    for w, n in counts.items():
+        ids, share = vocabulary.encode(w)
+        sums[ids[0]] += np.exp(share)
+        mass[ids[0]] += n
+    assert mass == pytest.approx(vocabulary.mass) and sums[mass > 0] == pytest.approx(1, rel=1e-3)
+
+
+def test_scores_do_not_depend_on_partitions(docs):
+    one, many = (lm_scoring.score(*reversed(lm_scoring.fit(docs.repartition(n), SMALL))).collect() for n in (1, 32))
+    a, b = ({r["doc_id"]: r["mean_log_prob"] or 0.0 for r in x} for x in (one, many))
+    assert a.keys() == b.keys() and max(abs(a[k] - b[k]) for k in a) < 1e-6
+
+
+def test_gain_over_single_token_counts_on_texts_it_has_not_seen(spark):
+    from pyspark.sql import functions as F
+
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text")
+    held = docs.filter("doc_id % 10 = 0")
+    net, _ = lm_scoring.fit(docs.filter("doc_id % 10 <> 0"))
+    rows = lm_scoring.encoded(held, net.v, keys=("doc_id",))
+    trained, counts = (lm_scoring.score(rows, n).agg(F.sum("log_likelihood") / F.sum("n_tokens")).first()[0] for n in (net, lm_scoring.Network(net.v)))
+    assert trained > counts + 0.3
 
 
 def test_every_position_is_a_target_once():
-    """Over the rounds each token of each text is learned from once, however short the text and whatever stands beside it."""
-    spec = lm_scoring.LmSpec(words=20, rest=2, classes=4)
-    vocabulary = lm_scoring.make_vocabulary([(f"w{i}", 20 - i) for i in range(20)], 0, spec)
-    texts = ["w1", "w2 w3", " ".join(f"w{i % 20}" for i in range(50)), "", "w4 w5 w6"]
+    """Over the rounds each token of each text is learned from once, however short or long the text and whatever stands beside it."""
+    spec = lm_scoring.LmSpec(words=20, bands=1, kinds=2, classes=4)
+    none = np.zeros(0, np.int64)
+    vocabulary = lm_scoring.make_vocabulary([(f"w{i}", 20 - i) for i in range(20)], none, none.astype(float), none, 16, spec)
+    texts = ["w1", "w2 w3", " ".join(f"w{i % 20}" for i in range(50)), "", "w4 w5 w6", "w7 " * (lm_scoring.POSITIONS + 7)]
     flat, learned = lm_scoring.Network(vocabulary).flat, 0
+    ids = [vocabulary.encode(t)[0].tobytes() for t in texts]
     for turn in range(spec.rounds):
-        for batch in lm_scoring._trained(iter([pa.RecordBatch.from_arrays([pa.array(texts)], names=["body"])]), flat, vocabulary, turn):
+        for batch in lm_scoring._trained(iter([pa.RecordBatch.from_arrays([pa.array(ids, pa.binary())], names=["_ids"])]), flat, vocabulary.units(), turn):
             learned += batch.column("n")[0].as_py()
     assert learned == sum(len(t.split()) for t in texts)
 
 
+def test_pieces_of_a_long_text_are_its_windows():
+    spec = lm_scoring.LmSpec()
+    text = np.random.default_rng(0).integers(0, 4000, 1003).astype(np.uint16)
+    context, target, _ = lm_scoring.windows([text], spec)
+    parts = list(lm_scoring.pieces_of(text, spec, 100))
+    assert (np.concatenate([c for c, _, _ in parts]) == context).all() and (np.concatenate([t for _, t, _ in parts]) == target).all()
+    assert [f for _, _, f in parts] == list(range(0, 1003, 100))
+
+
 # ---- 3
 
 
@@ -260,6 +338,20 @@ def test_block_permutation_is_one(spark):
         assert sorted(got[:n]) == list(range(n)) and sorted(got[n:]) == list(range(n))
 
 
+def test_draws_over_shards_are_multinomial(docs):
+    """A source's slots over the shards: their counts sum to its slots and lie within five standard errors of even shares."""
+    rows, slots, _ = mixing.mix(docs, block_words=8, shard_slots=100)
+    counts = {}
+    for r in slots.groupBy("src", "shard").count().collect():
+        counts.setdefault(r["src"], {})[r["shard"]] = r["count"]
+    shards = 1 + max(s for c in counts.values() for s in c)
+    assert shards > 5
+    for c in counts.values():
+        n = sum(c.values())
+        assert all(abs(c.get(s, 0) - n / shards) <= 5 * (n / shards) ** 0.5 + 1 for s in range(shards))
+    assert all((r["taken"] > 0) == (r["first_shard"] is not None) and (r["first_shard"] or 0) <= (r["last_shard"] or 0) for r in rows.collect())
+
+
 # ---- 6
 
 
@@ -294,6 +386,20 @@ def test_windows_equal_brute_force_with_edits():
         assert k in want or len(index.bags[k]) < 45
 
 
+def test_a_long_text_is_searched_in_spans(monkeypatch):
+    """However its windows are cut into spans, what is found is the same."""
+    r = np.random.default_rng(9)
+    words = [f"w{i}" for i in range(60)]
+    items = [(k, " ".join(r.choice(words, 45))) for k in range(12)]
+    text = " ".join([*r.choice(words, 3000), items[3][1], *r.choice(words, 2000), items[8][1], *r.choice(words, 500)])
+    index = decontaminate.build_index(items, decontaminate.LeakSpec())
+    doc = shingles_of(word_hashes(text, WordHashes()), 5)
+    whole = index.matches(doc)
+    monkeypatch.setattr(decontaminate, "SPAN", 100)
+    monkeypatch.setattr(decontaminate, "CELLS", 50)
+    assert sorted(index.matches(doc)) == sorted(whole) and {m[0] for m in whole} == {3, 8}
+
+
 def test_radius_is_guaranteed():
     r = np.random.default_rng(0)
     spec = decontaminate.LeakSpec()
@@ -423,6 +529,23 @@ def test_fingerprints_equal_brute_force(spark, data, texts):
         assert r["near_edited"] == pytest.approx(len(a & b & both) / len(both) if both else 1.0)
 
 
+def test_fingerprints_where_one_id_fills_a_range(spark):
+    """Null and repeated ids are spread; every row's successor is still the next row by id and text hash."""
+    rows = [(None if i % 3 == 0 else 5 if i % 3 == 1 else i, f"text number {i} of some words that differ {i * i}") for i in range(600)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    wide, order = bottomk.with_next(df, rows_per_bucket=20)
+    got = wide.filter("not _ghost").collect()
+    want = sorted(rows, key=lambda x: (x[0] is not None, x[0] or 0, _tie(x[1])))
+    after = {w: want[(k + 1) % len(want)][1] for k, w in enumerate(want)}
+    assert len(got) == 600 and all(r["_next"] == after[r["doc_id"], r["_text"]] for r in got)
+    assert wide.groupBy("_bucket", "_sub").count().agg({"count": "max"}).first()[0] < 60
+
+
+def _tie(text):
+    h = xxhash.xxh64_intdigest(text.encode(), seed=42)
+    return h - 2**64 if h >= 2**63 else h
+
+
 def test_sketches_merge_and_estimate(spark):
     from pyspark.sql import functions as F
 
@@ -450,6 +573,36 @@ def test_held_out_toxicity(spark):
     assert tp / sum(p for p, _ in rows) > 0.9 and tp / sum(y for _, y in rows) > 0.85
 
 
+def test_highest_passage_at_any_start():
+    r = np.random.default_rng(2)
+    for n in (0, 1, 5, 64, 65, 300):
+        x = r.normal(size=n)
+        mean, start = toxicity.top_passage(x, 64)
+        want = max((x[i : i + 64].mean() for i in range(max(1, n - 63))), default=0.0) if n else 0.0
+        assert mean == pytest.approx(want) and (not n or x[start : start + 64].mean() == pytest.approx(want))
+
+
+def test_grams_of_long_tokens_are_counted_and_not_held():
+    import tracemalloc
+
+    spec = toxicity.ToxicSpec()
+    for w in ("", "a", "ab", "abcdefghijk"):
+        assert toxicity.gram_count(w, spec) == len(list(toxicity.grams(w, spec)))
+    model = toxicity.ToxicModel(spec, {"abc": 1.0}, 0.0, 1.0, 0.0)
+    token = "xyz" * 100_000
+    tracemalloc.start()
+    assert model.scores([token], toxicity.WordHeights(model))[0] == pytest.approx(0.5)
+    assert tracemalloc.get_traced_memory()[1] < 20e6
+    tracemalloc.stop()
+
+
+def test_training_texts_are_bounded_by_characters(spark):
+    docs = spark.createDataFrame([(i, "word " * 100) for i in range(50)], "doc_id long, text string")
+    labels = spark.createDataFrame([(i, 0, i % 2) for i in range(50)], "doc_id long, quality int, toxic int")
+    texts, marks = toxicity.labelled_texts(docs, labels, 1000, 5_000)
+    assert len(texts) == len(marks) == 10 and len(toxicity.labelled_texts(docs, labels, 7, 10**9)[0]) == 7
+
+
 def test_misspellings_share_grams():
     r = np.random.default_rng(0)
     plain = [" ".join(r.choice(["tree", "house", "river", "stone", "cloud", "green"], 30)) for _ in range(300)]
