@@ -43,7 +43,7 @@ from pyspark.sql import functions as F
 from .shared import chunks_by_length, materialize, text_or_empty
 
 CHARS = 400_000
-POSITIONS = 100_000  # scored at once
+POSITIONS = 16_384  # scored at once
 
 
 @dataclass(frozen=True)
@@ -58,8 +58,8 @@ class LmSpec:
     side: int = 2
     hidden: int = 16
     rounds: int = 4
-    batch: int = 4096
-    rate: float = 0.1
+    batch: int = 16_384
+    rate: float = 0.2
     shard_tokens: int = 2_000_000
     blocks: int = 64
     seed: int = 11
@@ -104,7 +104,7 @@ class Vocabulary:
 
     def __post_init__(self):
         s = self.spec
-        self.of = np.searchsorted(self.start, np.arange(s.size), side="right") - 1
+        self.of = (np.searchsorted(self.start, np.arange(s.size), side="right") - 1).astype(np.uint8 if s.classes <= 256 else np.uint16)
         self.memo = Codes(self.ids, s, len(self.means))
         self.unit = unit_of(self.means, s).astype(np.uint16)
         self.share = (np.log(np.maximum(self.means, 0.5)) - np.log(np.maximum(self.mass, 1.0))[self.unit]).astype(np.float32)
@@ -147,6 +147,12 @@ def make_vocabulary(counts: list[tuple[str, int]], slots: np.ndarray, totals: np
     return Vocabulary(ids, means.astype(np.float32), mass, cuts, spec)
 
 
+def _exp(logits: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(exponentials, in place; their sums by row). Logits are sums of a few bounded terms; 60 bounds what a float32 can hold."""
+    np.exp(np.minimum(logits, 60, out=logits), out=logits)
+    return logits, logits @ np.ones(logits.shape[1], logits.dtype)
+
+
 class Network:
     """Parameters in one flat float32 array: offset tables, hidden bias, class weights and bias, unit weights and bias.
 
@@ -174,62 +180,72 @@ class Network:
 
     def hidden_of(self, context: np.ndarray) -> np.ndarray:
         """(n, offsets) ids to (n, hidden)."""
-        h = self.tables[0][context[:, 0]] + self.bias
-        for k in range(1, context.shape[1]):
-            h += self.tables[k][context[:, k]]
+        ids = context.T.astype(np.intp)
+        h = self.tables[0].take(ids[0], axis=0)
+        for k in range(1, len(ids)):
+            h += self.tables[k].take(ids[k], axis=0)
+        h += self.bias
         return np.tanh(h, out=h)
 
-    def _by_class(self, target: np.ndarray) -> Iterator[tuple[int, int, np.ndarray]]:
-        """(first unit, unit after the last, rows) of each class that any target is of."""
-        cls = self.v.of[target].astype(np.uint16)
+    def _by_class(self, target: np.ndarray) -> tuple[np.ndarray, np.ndarray, list[tuple[int, int, slice]]]:
+        """(order of the rows by class, their classes in it, (first unit, unit after the last, rows in it) of each class that any target is of)."""
+        cls = self.v.of[target]
         order = np.argsort(cls, kind="stable")
-        bounds = np.searchsorted(cls[order], np.arange(self.spec.classes + 1))
-        for c in np.flatnonzero(np.diff(bounds)).tolist():
-            yield int(self.v.start[c]), int(self.v.start[c + 1]) if c + 1 < self.spec.classes else self.spec.size, order[bounds[c] : bounds[c + 1]]
+        cls = cls[order]
+        bounds = np.searchsorted(cls, np.arange(self.spec.classes + 1))
+        ends = np.append(self.v.start[1:], self.spec.size)
+        return order, cls, [(int(self.v.start[c]), int(ends[c]), slice(int(bounds[c]), int(bounds[c + 1]))) for c in np.flatnonzero(np.diff(bounds)).tolist()]
 
     def log_prob(self, context: np.ndarray, target: np.ndarray) -> np.ndarray:
         """log P(unit | context), one for each row."""
-        h = self.hidden_of(context)
-        z = h @ self.cls + self.cls_b
-        z -= z.max(axis=1, keepdims=True)
-        out = z[np.arange(len(z)), self.v.of[target]] - np.log(np.exp(z, out=z).sum(axis=1))
-        for low, high, rows in self._by_class(target):
-            y = h[rows] @ self.tok[low:high].T + self.tok_b[low:high]
-            y -= y.max(axis=1, keepdims=True)
-            own = y[np.arange(len(rows)), target[rows] - low]
-            out[rows] += own - np.log(np.exp(y, out=y).sum(axis=1))
+        order, cls, parts = self._by_class(target)
+        h, target, every = self.hidden_of(context[order]), target[order], np.arange(len(target))
+        z = h @ self.cls
+        z += self.cls_b
+        got = z[every, cls]
+        got -= np.log(_exp(z)[1])
+        for low, high, rows in parts:
+            y = h[rows] @ self.tok[low:high].T
+            y += self.tok_b[low:high]
+            got[rows] += y[every[: len(y)], target[rows] - low]
+            got[rows] -= np.log(_exp(y)[1])
+        out = np.empty_like(got)
+        out[order] = got
         return out
 
     def learn(self, context: np.ndarray, target: np.ndarray, seen: "Network") -> None:
         """One Adagrad step on a batch; seen: sums of squared gradients, shaped like the parameters."""
-        n = np.float32(len(target))
+        order, cls, parts = self._by_class(target)
+        context, target, every, n = context[order], target[order], np.arange(len(target)), np.float32(len(target))
         h = self.hidden_of(context)
-        p = h @ self.cls + self.cls_b
-        p -= p.max(axis=1, keepdims=True)
-        np.exp(p, out=p)
-        p /= p.sum(axis=1, keepdims=True)
-        p[np.arange(len(target)), self.v.of[target]] -= 1
+        p = h @ self.cls
+        p += self.cls_b
+        p, total = _exp(p)
+        p /= total[:, None]
+        p[every, cls] -= 1
         g_h = p @ self.cls.T
-        steps = [("cls", slice(None), h.T @ p / n), ("cls_b", slice(None), p.sum(axis=0) / n)]
-        for low, high, rows in self._by_class(target):
+        steps = [("cls", slice(None), h.T @ p), ("cls_b", slice(None), p.sum(axis=0))]
+        for low, high, rows in parts:
             w, x = self.tok[low:high], h[rows]
-            q = x @ w.T + self.tok_b[low:high]
-            q -= q.max(axis=1, keepdims=True)
-            np.exp(q, out=q)
-            q /= q.sum(axis=1, keepdims=True)
-            q[np.arange(len(rows)), target[rows] - low] -= 1
+            q = x @ w.T
+            q += self.tok_b[low:high]
+            q, total = _exp(q)
+            q /= total[:, None]
+            q[every[: len(q)], target[rows] - low] -= 1
             g_h[rows] += q @ w
-            steps += [("tok", slice(low, high), q.T @ x / n), ("tok_b", slice(low, high), q.sum(axis=0) / n)]
-        g_h *= 1 - h * h
-        g_h /= n
+            steps += [("tok", slice(low, high), q.T @ x), ("tok_b", slice(low, high), q.sum(axis=0))]
+        h *= h
+        np.subtract(1, h, out=h)
+        g_h *= h
         steps.append(("bias", slice(None), g_h.sum(axis=0)))
         for name, at, g in steps:
-            self._step(getattr(self, name), getattr(seen, name), at, g)
+            self._step(getattr(self, name), getattr(seen, name), at, g / n)
         for k in range(context.shape[1]):
-            order = np.argsort(context[:, k], kind="stable")
-            ids = context[order, k]
+            ids = context[:, k]
+            order = np.argsort(ids, kind="stable")
+            ids = ids[order]
             first = np.flatnonzero(np.concatenate([[True], ids[1:] != ids[:-1]]))
-            self._step(self.tables[k], seen.tables[k], ids[first], np.add.reduceat(g_h[order], first, axis=0))
+            self._step(self.tables[k], seen.tables[k], ids[first], np.add.reduceat(g_h.take(order, axis=0), first, axis=0) / n)
 
     def _step(self, values: np.ndarray, seen: np.ndarray, at, g: np.ndarray) -> None:
         total = seen[at] + g * g
