@@ -158,3 +158,37 @@ def test_stages(docs, none, spark, tmp_path, labels, items):
             out.write.parquet(path)
             df = spark.read.parquet(path)
         assert (df.count() > 0) == (start is docs)
+
+
+def operators(spark, df, items, labels):
+    """Rows of every operator's result, by its number."""
+    import public_tokenizers
+
+    spec = token_counts.TokenizerSpec(public_tokenizers.path("word_bpe_49k.json"), True)
+    net, rows = lm_scoring.fit(df, lm_scoring.LmSpec(words=50, bands=2, kinds=4, classes=5, slots=1 << 10))
+    found = {
+        1: sharding.assign_shards(df, 3), 2: lm_scoring.score(rows, net), 4: probminhash.near_classes(df), 5: mixing.mix(df)[0], 6: decontaminate.without_leaks(df, items),
+        7: line_dedup.drop_boilerplate(df, "source"), 8: token_counts.count_tokens(df, spec, f"{work_dir(spark)}/cache-{uuid.uuid4().hex}"), 9: bottomk.fingerprint_edits(df), 10: toxicity.score_texts(df, toxicity.fit(df, labels)),
+    }
+    return {k: v.collect() for k, v in found.items()}
+
+
+def test_rows_of_nulls_alone(spark, items, labels):
+    df = spark.createDataFrame([(None,) * 12] * 7, SCHEMA)
+    got = operators(spark, df, items, labels)
+    assert all(len(r) == 7 for r in got.values())
+    assert probminhash.keep_one(df).count() == 7 and mixing.mixed_documents(df).count() == 0 and toxicity.clean_documents(df, labels).count() == 7
+    pages = spark.createDataFrame([(None, None, None)] * 3, "page_id long, html string, url string")
+    assert [r["main_text"] for r in html_crf.extract(pages).collect()] == [""] * 3
+
+
+def test_one_huge_token(spark, items, labels):
+    token = "abcdefghij" * 100_000
+    df = spark.createDataFrame([row(1, token), row(2, token), row(3, f"{token}k"), row(4, "some other words that stand here")], SCHEMA)
+    got = operators(spark, df, items, labels)
+    assert all(len(r) == 4 for r in got.values())
+    classes = {r["doc_id"]: r["class_id"] for r in got[4]}
+    assert classes == {1: 1, 2: 1, 3: 3, 4: 4}
+    assert {r["doc_id"]: r["n_bytes"] for r in got[8]}[3] == 1_000_001
+    page = spark.createDataFrame([(1, f"<article><p>{token}</p></article>")], "page_id long, html string")
+    assert len(html_crf.extract(page).first()["main_text"]) in (0, len(token))

@@ -312,6 +312,71 @@ def test_text_near_one_variant_that_is_not_the_hub(spark):
     assert {d: got[d] for d in tails} == tails and set(got.values()) == set(tails.values())
 
 
+def test_groups_in_one_bucket_and_chains(spark):
+    """Two large groups of variants of which one's hub is foreign to the other, and a chain whose ends are far apart: every class whole, few links."""
+    r = np.random.default_rng(3)
+
+    def edited(words, share, tag):
+        out = list(words)
+        for k in r.choice(len(out), int(len(out) * share), replace=False):
+            out[k] = f"{tag}{k}"
+        return out
+
+    base = [f"w{i}" for i in range(300)]
+    other = base[:200] + [f"o{i}" for i in range(100)]  # half of its shingles' weight and more lies in the first group
+    rows = [(k, " ".join(edited(base, 0.01, f"a{k}_"))) for k in range(200)] + [(1000 + k, " ".join(edited(other, 0.01, f"b{k}_"))) for k in range(200)]
+    link = [f"c{i}" for i in range(400)]
+    for k in range(60):
+        link = link[10:] + [f"n{k}_{i}" for i in range(10)]
+        rows.append((2000 + k, " ".join(link)))
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {x["doc_id"]: x["class_id"] for x in probminhash.near_classes(df).collect()}
+    memo = WordHashes()
+    sets = {d: probminhash.weighted_shingles(t, memo, 5) for d, t in rows}
+    root = {d: d for d in sets}
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for i, a in enumerate(sorted(sets)):
+        for b in sorted(sets)[i + 1 :]:
+            if find(a) != find(b) and probminhash.is_near(sets[a], sets[b], probminhash.NearSpec()):
+                x, y = find(a), find(b)
+                root[max(x, y)] = min(x, y)
+    assert got == {d: find(d) for d in sets} and len(set(got.values())) == 3
+    _, joins = probminhash.near_links(df)
+    assert joins.count() < 28 * len(rows)
+
+
+def test_joins_by_postings_equal_pairs_one_by_one():
+    """The block comparison gives the same components as comparing every pair, with weights too."""
+    r = np.random.default_rng(8)
+    spec = probminhash.NearSpec()
+    bags = []
+    for g in range(6):
+        base = np.sort(r.choice(5000, 80, replace=False)).astype(np.uint64)
+        for _ in range(5):
+            own = np.unique(np.concatenate([r.choice(base, 74, replace=False), r.choice(5000, 4).astype(np.uint64)]))
+            bags.append((own, r.integers(1, 3, len(own)).astype(float) if g % 2 else np.ones(len(own))))
+    names = [bytes([i]) for i in range(len(bags))]
+
+    def parts(pairs):
+        label = list(range(len(bags)))
+        for i, j in pairs:
+            a, b = label[i], label[j]
+            label = [a if x == b else x for x in label]
+        return {tuple(np.flatnonzero(np.array(label) == x)) for x in set(label)}
+
+    every = [(i, j) for i in range(len(bags)) for j in range(i + 1, len(bags)) if probminhash.probability_jaccard(bags[i], bags[j]) >= spec.threshold]
+    assert len(every) > 10
+    found = probminhash.joins(names, bags, len(bags), spec)
+    assert parts(found) == parts(every) and len(found) == len(bags) - len(parts(every))
+    across = probminhash.joins(names, bags, 12, spec)
+    assert all(i < 12 <= j for i, j in across) and parts(across) == parts([(i, j) for i, j in every if i < 12 <= j])
+
+
 # ---- 5
 
 
