@@ -2,64 +2,93 @@
 
 from __future__ import annotations
 
+import os
 import time
-from collections.abc import Callable
+import uuid
+from collections.abc import Callable, Iterator
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+import pyarrow as pa
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..plans import memsort
 from ..plans.cdf_model import train_cdf
-from ..plans.extsort import PID, builtin_sort, estimated_bytes, model_sort, plan_slices, radix_sort, sort_late_payload
+from ..plans.extsort import PID, builtin_sort, estimated_bytes, first_shards, fragment_matrix, model_sort, plan_slices, pointer_sorted, radix_sort, sort_late_payload
 from ..plans.keys import KeySpec, Order, ascii_code, byte_code, profile, resolve
-from ..plans.mergesort import external_merge_sort
+from ..plans.mergesort import external_merge_sort, make_runs, merge_runs
 from ..plans.partitioners import hash_pid, quantile_pid, radix_pid, sketch_pid
 from ..plans.sampling import SampleSpec, draw_sample
-from ..sources.io import copy_baseline, write_noop
+from ..session import drop_at_exit
+from ..sources.io import write_noop
 from . import metrics
+from .validate import check_sorted
 
 
 def sorters(run_rows: int = 20_000, f: int = 16) -> dict[str, Callable[[DataFrame, list[str]], DataFrame]]:
-    """The sorters compared: name to a function from (df, by) to ordered rows."""
+    """The sorters compared: name to a function from (df, by) to ordered rows. Merge sorts hold rows as Python objects and end in one task."""
     return {
         "model": lambda df, by: model_sort(df, by, f=f).plain(),
         "radix": lambda df, by: radix_sort(df, by, f).plain(),
         "builtin": builtin_sort,
         "os_merge": lambda df, by: external_merge_sort(df, by, "os", run_rows),
+        "binary_merge": lambda df, by: merge_runs(make_runs(df, by, run_rows), by, "binary", (2,)),
         "hier_merge": lambda df, by: external_merge_sort(df, by, "A", run_rows),
     }
 
 
+def media(spark: SparkSession, shared: str) -> dict[str, str | None]:
+    """Where tables can be kept: the shared folder, memory, and (where all tasks run in one machine) a RAM disk."""
+    found: dict[str, str | None] = {"disk": shared, "memory": None}
+    if spark.sparkContext.master.startswith("local[") and os.path.isdir("/dev/shm"):
+        found["ram_disk"] = f"file:///dev/shm/equidepth-{uuid.uuid4().hex}"
+    return found
+
+
 def _timed(fn) -> float:
     began = time.perf_counter()
     fn()
     return time.perf_counter() - began
 
 
-def run_storage(spark: SparkSession, inputs: dict[str, tuple[DataFrame, str]], media: dict[str, str], names: list[str], formats=("parquet",), f: int = 16) -> DataFrame:
-    """(medium, format, input, sorter, seconds, mb_per_s, copy_mb_per_s, gap): read from, sort, write to each medium."""
+def run_storage(spark: SparkSession, inputs: dict[str, tuple[DataFrame, str]], where: dict[str, str | None], names: list[str], formats=("parquet",), codecs=("snappy",), f: int = 16) -> DataFrame:
+    """(medium, format, codec, input, sorter, seconds, mb_per_s, copy_mb_per_s, gap): read from, sort, write to each medium.
+
+    A medium without a folder is memory: the input is cached and the output goes nowhere. Rates count the stored input's bytes.
+    """
     rows, all_sorters = [], sorters(f=f)
-    for medium, root in media.items():
-        for fmt in formats:
-            for label, (df, key) in inputs.items():
-                source = f"{root}/in-{label}-{fmt}"
-                df.write.mode("overwrite").format(fmt).save(source)
-                stored = spark.read.schema(df.schema).format(fmt).load(source)
-                size = estimated_bytes(stored)
-                copied = metrics.sort_rate(size, _timed(lambda s=stored, r=root: copy_baseline(s, f"{r}/copy", fmt)))
-                for name in names:
-                    secs = _timed(lambda s=stored, n=name, k=key, r=root: all_sorters[n](s, [k]).write.mode("overwrite").format(fmt).save(f"{r}/out"))
-                    rate = metrics.sort_rate(size, secs)
-                    rows.append((medium, fmt, label, name, secs, rate, copied, metrics.bandwidth_gap(rate, copied)))
-    return spark.createDataFrame(rows, "medium string, format string, input string, sorter string, seconds double, mb_per_s double, copy_mb_per_s double, gap double")
+    for medium, root in where.items():
+        for fmt in formats if root else ("cache",):
+            for codec in codecs if fmt == "parquet" else ("none",):
+                for label, (df, key) in inputs.items():
+                    if root:
+                        source = f"{root}/in-{label}-{fmt}-{codec}"
+                        df.write.mode("overwrite").format(fmt).option("compression", codec).save(source)
+                        drop_at_exit(spark, root)
+                        stored = spark.read.schema(df.schema).format(fmt).load(source)
+                        size = estimated_bytes(stored)
+
+                        def put(out, to=f"{root}/out", fmt=fmt, codec=codec):
+                            out.write.mode("overwrite").format(fmt).option("compression", codec).save(to)
+                    else:
+                        stored, size, put = df.persist(), 0, write_noop
+                        stored.count()
+                        size = estimated_bytes(stored)
+                    copied = metrics.sort_rate(size, _timed(lambda s=stored: put(s)))
+                    for name in names:
+                        secs = _timed(lambda s=stored, n=name, k=key: put(all_sorters[n](s, [k])))
+                        rate = metrics.sort_rate(size, secs)
+                        rows.append((medium, fmt, codec, label, name, secs, rate, copied, metrics.bandwidth_gap(rate, copied)))
+                    if not root:
+                        stored.unpersist()
+    return spark.createDataFrame(rows, "medium string, format string, codec string, input string, sorter string, seconds double, mb_per_s double, copy_mb_per_s double, gap double")
 
 
 def run_skew(storage: DataFrame, uniform: str, skewed: str) -> DataFrame:
     """(medium, sorter, uniform, skewed, drop_percent) of run_storage's result."""
-    a = storage.filter(F.col("input") == uniform).select("medium", "format", "sorter", F.col("mb_per_s").alias("uniform"))
-    b = storage.filter(F.col("input") == skewed).select("medium", "format", "sorter", F.col("mb_per_s").alias("skewed"))
-    return a.join(b, ["medium", "format", "sorter"]).withColumn("drop_percent", (1 - F.col("skewed") / F.col("uniform")) * 100)
+    a = storage.filter(F.col("input") == uniform).select("medium", "format", "codec", "sorter", F.col("mb_per_s").alias("uniform"))
+    b = storage.filter(F.col("input") == skewed).select("medium", "format", "codec", "sorter", F.col("mb_per_s").alias("skewed"))
+    return a.join(b, ["medium", "format", "codec", "sorter"]).withColumn("drop_percent", (1 - F.col("skewed") / F.col("uniform")) * 100)
 
 
 def run_histogram(df: DataFrame, col: str, bins: int = 1000) -> DataFrame:
@@ -85,7 +114,10 @@ def run_energy(spark: SparkSession, seconds: dict[str, float], watts: float) ->
 
 
 def run_phases(df: DataFrame, by: list[str], path: str, f: int = 16, sample: SampleSpec = SampleSpec()) -> DataFrame:
-    """(phase, seconds, share, io_bytes) of training, partitioning, sorting and writing, each made to happen on its own."""
+    """(phase, seconds, share, io_bytes) of training, partitioning, sorting pointers, coalescing rows in that order and flushing them.
+
+    Each run goes one phase further than the one before; a phase is the difference.
+    """
     spark = df.sparkSession
     timer = metrics.PhaseTimer(spark)
     with timer.phase("train"):
@@ -93,23 +125,32 @@ def run_phases(df: DataFrame, by: list[str], path: str, f: int = 16, sample: Sam
         rows = df.count()
         model = train_cdf(draw_sample(df, spec.code(), sample, rows), 64, "linear")
     sf = model_sort(df, by, f=f, model=model)
-    with timer.phase("partition"):
-        write_noop(sf.exchanged)
-    with timer.phase("partition+sort"):
-        write_noop(sf.df)
-    with timer.phase("partition+sort+write"):
-        sf.plain().write.mode("overwrite").parquet(path)
-    s = timer.seconds
-    parts = {"train": s["train"], "partition": s["partition"], "sort": max(0.0, s["partition+sort"] - s["partition"]), "write": max(0.0, s["partition+sort+write"] - s["partition+sort"])}
+    steps = {
+        "partition": lambda: write_noop(sf.exchanged), "sort": lambda: write_noop(pointer_sorted(sf, stage="sort")),
+        "coalesce": lambda: write_noop(pointer_sorted(sf)), "flush": lambda: pointer_sorted(sf).drop(PID).write.mode("overwrite").parquet(path),
+    }
+    for name, run in steps.items():
+        run()  # once unmeasured: workers are up then
+        with timer.phase(name):
+            run()
+    s, names = timer.seconds, list(steps)
+    parts = {"train": s["train"], "partition": s["partition"]} | {b: max(0.0, s[b] - s[a]) for a, b in zip(names, names[1:], strict=False)}
     total = sum(parts.values()) or 1.0
-    moved = {k: metrics.io_bytes(timer.counters.get(n, {})) for k, n in (("train", "train"), ("partition", "partition"), ("sort", "partition+sort"), ("write", "partition+sort+write"))}
-    return spark.createDataFrame([(k, v, v / total, moved[k]) for k, v in parts.items()], "phase string, seconds double, share double, io_bytes long")
+    return spark.createDataFrame([(k, v, v / total, metrics.io_bytes(timer.counters.get(k, {}))) for k, v in parts.items()], "phase string, seconds double, share double, io_bytes long")
+
 
+def run_coalesce(df: DataFrame, by: list[str], locator: str, path: str, f: int = 16, batches=(1 << 10, 100 << 10, 64 << 20)) -> DataFrame:
+    """(payload, batch_bytes, seconds): rows written in order, moved by the built-in in-slice sort, fetched by locator after a sort of keys alone,
+    or fetched by pointer in batches of each size."""
+    sf = model_sort(df, by, f=f)
 
-def run_coalesce(df: DataFrame, by: list[str], locator: str, f: int = 16) -> DataFrame:
-    """(payload, seconds): payload moved with its key, or fetched by locator after the sort."""
-    rows = [("with_key", _timed(lambda: write_noop(model_sort(df, by, f=f).with_rn()))), ("fetched", _timed(lambda: write_noop(sort_late_payload(df, by, locator, f=f))))]
-    return df.sparkSession.createDataFrame(rows, "payload string, seconds double")
+    def put(out: DataFrame) -> None:
+        out.write.mode("overwrite").parquet(path)
+
+    put(sf.plain())
+    rows = [("with_key", 0, _timed(lambda: put(sf.plain()))), ("by_locator", 0, _timed(lambda: put(sort_late_payload(df, by, locator, f=f))))]
+    rows += [("by_pointer", b, _timed(lambda b=b: put(pointer_sorted(sf, b).drop(PID)))) for b in batches]
+    return df.sparkSession.createDataFrame(rows, "payload string, batch_bytes long, seconds double")
 
 
 def run_io(df: DataFrame, by: list[str], names: list[str], path: str, f: int = 16) -> DataFrame:
@@ -173,18 +214,53 @@ def run_balance(df: DataFrame, col: str, fs: list[int], sample: SampleSpec = Sam
     return df.sparkSession.createDataFrame(out, "f int, partitioner string, mean double, var double, cv double, max_over_mean double, empty long, reduction_percent double")
 
 
-def run_memory_sorts(df: DataFrame, col: str, routines=memsort.ROUTINES, f: int = 16, most: int = 5_000) -> DataFrame:
-    """(routine, seconds, equal) over one slice of the column's codes, insertion sort on a part of it."""
-    sf = model_sort(df.select(col), [col], f=f)
-    codes = sf.sliced.filter(F.col(PID) == f // 2).select(KeySpec(Order(col), sf.spec.kind, sf.spec.skip).code().alias("c")).toArrow().column("c").to_numpy()
-    rows = []
+def run_memory_sorts(df: DataFrame, col: str, routines=memsort.ROUTINES, f: int = 16, run_rows: int = 20_000, insertion_rows: int = 1_000) -> DataFrame:
+    """(inside, routine, slices, rows, seconds, equal): each routine over all rows of the column's codes, in the slices' own tasks, and as the
+    routine that makes a merge sort's runs (seconds of the whole step there).
+
+    seconds in slices: those of the routine alone, summed over slices. Insertion sort is quadratic: it gets so many slices that one has about
+    insertion_rows rows, and makes no runs.
+    """
+    spark, out = df.sparkSession, None
     for r in routines:
-        part = codes[: min(len(codes), 1_000 if r == "insertion" else most)]
+        slim = df.select(col)
+        sf = model_sort(slim, [col], f=max(f, -(-slim.count() // insertion_rows)) if r == "insertion" else f)
+        codes = sf.exchanged.select(KeySpec(Order(col), sf.spec.kind, sf.spec.skip).code().alias("c")).filter("c IS NOT NULL")
+        timed = codes.mapInArrow(lambda it, r=r: _timed_slice(it, r), "rows long, seconds double, equal boolean")
+        one = timed.agg(F.count("*").alias("slices"), F.sum("rows").alias("rows"), F.sum("seconds").alias("seconds"), F.bool_and("equal").alias("equal"))
+        one = one.select(F.lit("slices").alias("inside"), F.lit(r).alias("routine"), "slices", "rows", "seconds", "equal")
+        out = one if out is None else out.unionByName(one)
+    runs = []
+    for r in (r for r in routines if r != "insertion"):
+        made = make_runs(df.select(col), [col], run_rows, routine=r)
+        secs = _timed(lambda m=made: write_noop(m))
+        rises = made.withColumn("_before", F.lag(col).over(Window.partitionBy("run_id").orderBy("pos")))
+        seen = rises.agg(F.countDistinct("run_id"), F.count("*"), F.bool_and(F.coalesce(F.col("_before") <= F.col(col), F.lit(True)))).first()
+        runs.append(("runs", r, seen[0], seen[1], secs, bool(seen[2])))
+    return out.unionByName(spark.createDataFrame(runs, "inside string, routine string, slices long, rows long, seconds double, equal boolean"))
+
+
+def _timed_slice(batches: Iterator[pa.RecordBatch], routine: str) -> Iterator[pa.RecordBatch]:
+    held = [b.column(0).to_numpy(zero_copy_only=False) for b in batches]
+    codes = np.concatenate(held) if held else np.zeros(0)
+    if len(codes):
         began = time.perf_counter()
-        order = memsort.memory_order(part, r)
+        order = memsort.memory_order(codes, routine)
         secs = time.perf_counter() - began
-        rows.append((r, len(part), secs, bool((part[order] == np.sort(part)).all())))
-    return df.sparkSession.createDataFrame(rows, "routine string, rows long, seconds double, equal boolean")
+        yield pa.RecordBatch.from_arrays([pa.array([len(codes)], pa.int64()), pa.array([secs]), pa.array([bool((codes[order] == np.sort(codes)).all())])], names=["rows", "seconds", "equal"])
+
+
+def run_rounds(df: DataFrame, by: list[str], f: int = 256) -> DataFrame:
+    """(rounds, shards, slices, tasks, blocks, slices_a_task, rows, ordered): the last exchange of a sort in one round and in two, carried out."""
+    out = []
+    for rounds in (1, 2):
+        sf = model_sort(df, by, f=f, rounds=rounds)
+        before = sf.shards if rounds == 2 else sf.sliced
+        blocks = fragment_matrix(before.repartition(64) if rounds == 1 else before, F.col(PID))
+        each = blocks.groupBy("reader").agg(F.count("*").alias("n")).agg(F.count("*"), F.sum("n"), F.max("n")).first()
+        seen = check_sorted(sf.with_rn(), by).first()
+        out.append((rounds, min(f, -(-f // -(-f // first_shards(f)))) if rounds == 2 else 1, f, each[0], each[1], each[2], seen["rows"], seen["unordered"] == 0 and seen["gaps"] == 0))
+    return df.sparkSession.createDataFrame(out, "rounds int, shards int, slices int, tasks long, blocks long, slices_a_task long, rows long, ordered boolean")
 
 
 def run_plan(spark: SparkSession, sizes: list[tuple[float, float]]) -> DataFrame:

@@ -11,9 +11,13 @@ from ..plans.extsort import PID, SortedFrame, model_sort
 def model_group_by(df: DataFrame, keys: list[str], aggs: list[Column], *, f: int = 16, **options) -> DataFrame:
     """Groups made inside slices of the first key: the groups of slice i come before those of i + 1.
 
-    For keys with few rows each, where partial sums would not shrink what is exchanged.
+    For keys with few rows each, where partial sums would not shrink what is exchanged. Where the sample shows a key heavier than a
+    slice, partial sums come first and the groups are dealt to their slices.
     """
     sf = model_sort(df, keys, f=f, **options)
+    if sf.model.heaviest * f > 1:
+        groups = sf.sliced.groupBy(PID, *keys).agg(*aggs)
+        return groups.repartitionById(f, F.col(PID)).drop(PID)
     return sf.exchanged.groupBy(PID, *keys).agg(*aggs).drop(PID)
 
 
@@ -45,6 +49,13 @@ def approx_percentile(df: DataFrame, col: str, qs: list[float], accuracy: int =
     return found.select(F.posexplode("v").alias("i", "value")).select(F.element_at(F.array(*[F.lit(q) for q in qs]), F.col("i") + 1).alias("q"), "value")
 
 
+def kll_percentile(df: DataFrame, col: str, qs: list[float], k: int = 200) -> DataFrame:
+    """(q, value) from a mergeable quantile sketch of fixed size, made in part before the exchange."""
+    sketch = df.agg(F.kll_sketch_agg_double(F.col(col).cast("double"), k).alias("s"))
+    pairs = F.array(*[F.struct(F.lit(float(q)).alias("q"), F.kll_sketch_get_quantile_double("s", F.lit(float(q))).alias("value")) for q in qs])
+    return sketch.select(F.explode(pairs).alias("p")).select("p.q", "p.value")
+
+
 def approx_distinct(df: DataFrame, col: str, rsd: float = 0.02) -> DataFrame:
     return df.agg(F.approx_count_distinct(col, rsd).alias("n"))
 

@@ -2,14 +2,18 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.cdf_model import CdfModel
 from ..plans.extsort import PID, SortedFrame, model_sort, with_slices
 from ..plans.keys import KeySpec, Order
+from ..session import written
 
 
 def build_index(sf: SortedFrame, key: str, every: int = 100) -> DataFrame:
@@ -104,17 +108,38 @@ def tokens(text: Column) -> Column:
     return F.filter(F.split(F.lower(text), r"\s+"), lambda x: x != "")
 
 
+def _postings(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(term, doc, positions) of each document's words, by sorting (document, term, position) of a batch at once."""
+    for batch in batches:
+        words = batch.column(1)
+        sizes = np.diff(words.offsets.to_numpy())
+        if not sizes.sum():
+            continue
+        coded = words.flatten().dictionary_encode()
+        row = np.repeat(np.arange(len(sizes)), sizes)
+        place = np.arange(len(row)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
+        cell = row.astype(np.int64) * len(coded.dictionary) + coded.indices.to_numpy()
+        order = np.argsort(cell, kind="stable")  # positions rise inside a cell
+        first = np.flatnonzero(np.concatenate([[True], np.diff(cell[order]) != 0]))
+        offsets = pa.array(np.append(first, len(order)), pa.int32())
+        yield pa.RecordBatch.from_arrays(
+            [coded.dictionary.take(coded.indices.take(pa.array(order[first]))), batch.column(0).take(pa.array(row[order[first]])), pa.ListArray.from_arrays(offsets, pa.array(place[order], pa.int32()))],
+            names=["term", "doc", "positions"],
+        )
+
+
 def inverted_index(docs: DataFrame, *, key: str = "doc_id", text: str = "text", posting_cap: int = 4096, max_frequent: int = 1_000_000) -> DataFrame:
     """(term, part, postings): postings (doc, positions) by doc; terms of more than posting_cap documents are cut into parts.
 
-    Positions are gathered for each (term, doc) first. A document is in a frequent term's part by its hash, so no
-    task gathers more than about posting_cap documents of one term. Frequent terms are few (all postings /
-    posting_cap at most); they are counted before they are broadcast.
+    A document's positions are gathered by term where it is read (_postings), so texts are split once and one exchange by (term, part)
+    is left. A document is in a frequent term's part by its hash, so no task gathers more than about posting_cap documents of
+    one term. Frequent terms are few (all postings / posting_cap at most); they are counted before they are broadcast.
     """
-    words = docs.select(F.col(key).alias("doc"), F.posexplode(tokens(F.col(text))).alias("pos", "term"))
-    held = docs.select(F.explode(F.array_distinct(tokens(F.col(text)))).alias("term")).groupBy("term").agg(F.count("*").alias("df"))
+    slim = docs.select(F.col(key).alias("doc"), tokens(F.col(text)).alias("words")).filter(F.size("words") > 0)
+    kind = dict(slim.dtypes)["doc"]
+    each = written(slim.mapInArrow(_postings, f"term string, doc {kind}, positions array<int>"), "postings")
+    held = each.groupBy("term").agg(F.count("*").alias("df"))
     frequent = held.filter(F.col("df") > posting_cap).select("term", F.ceil(F.col("df") / posting_cap).cast("int").alias("parts"))
-    each = words.groupBy("term", "doc").agg(F.sort_array(F.collect_list("pos")).alias("positions"))
     few = frequent.limit(max_frequent + 1).count() <= max_frequent
     cut = each.join(F.broadcast(frequent) if few else frequent, "term", "left")
     cut = cut.withColumn("part", F.when(F.col("parts").isNotNull(), F.pmod(F.xxhash64("doc"), F.col("parts")).cast("int")).otherwise(0))

@@ -25,8 +25,26 @@ def global_row_number(sf: SortedFrame, name: str = "rn") -> DataFrame:
     return sf.with_rn(name)
 
 
+def _by_counts(sf: SortedFrame, keys: int, most: int = 100_000) -> DataFrame | None:
+    """Rows with _upto, the rows up to their key's last, and _same, those of their key; None where there are more than `most` keys.
+
+    Counts by key suffice for them: no row is exchanged or sorted, however many a key has.
+    """
+    names = [o.name for o in _leading(sf, keys)]
+    counts = sf.sliced.groupBy(PID, *names).agg(F.count("*").alias("_same"))
+    if counts.limit(most + 1).count() > most:
+        return None
+    upto = F.sum("_same").over(sf.window(_leading(sf, keys)).rowsBetween(Window.unboundedPreceding, Window.currentRow))
+    table = _spread(sf, counts.withColumn("_in", upto)).select(*[F.col(n).alias(f"_k{i}") for i, n in enumerate(names)], "_same", (F.col("row_offset") + F.col("_in")).alias("_upto"))
+    on = [F.col(n).eqNullSafe(F.col(f"_k{i}")) for i, n in enumerate(names)]
+    return sf.sliced.join(F.broadcast(table), on)  # at most `most` rows
+
+
 def global_rank(sf: SortedFrame, keys: int = 1, name: str = "rnk") -> DataFrame:
     """rank() over the first `keys` sort columns."""
+    few = _by_counts(sf, keys)
+    if few is not None:
+        return few.select(*sf.columns, (F.col("_upto") - F.col("_same") + 1).cast("long").alias(name))
     numbered = sf.exchanged.withColumn("_k", F.rank().over(sf.window(_leading(sf, keys))))
     return _spread(sf, numbered).select(*sf.columns, (F.col("row_offset") + F.col("_k")).cast("long").alias(name))
 
@@ -52,6 +70,9 @@ def global_percent_rank(sf: SortedFrame, keys: int = 1, name: str = "prnk") -> D
 
 def global_cume_dist(sf: SortedFrame, keys: int = 1, name: str = "cdist") -> DataFrame:
     """Share of rows at or before the key."""
+    few = _by_counts(sf, keys)
+    if few is not None:
+        return few.select(*sf.columns, (F.col("_upto") / F.lit(float(max(sum(sf.sizes), 1)))).alias(name))
     w = sf.window(_leading(sf, keys)).rangeBetween(Window.unboundedPreceding, Window.currentRow)
     numbered = sf.exchanged.withColumn("_k", F.count(F.lit(1)).over(w))
     n = float(max(sum(sf.sizes), 1))
@@ -131,9 +152,10 @@ def exact_percentile(sf: SortedFrame, qs: list[float]) -> DataFrame:
         target, before = max(1, -(-int(q * n * 1_000_000) // 1_000_000)), 0
         for i, size in enumerate(sizes):
             if before + size >= target and size:
-                slim = sf.slice_range(i, i).sliced.filter(F.col(key).isNotNull()).select(key)
-                w = Window.orderBy(sf.by[0].column())  # one slice
-                parts.append(slim.withColumn("_k", F.row_number().over(w)).filter(F.col("_k") == target - before).select(F.lit(q).alias("q"), F.col(key).alias("value")))
+                counts = sf.slice_range(i, i).sliced.filter(F.col(key).isNotNull()).groupBy(key).agg(F.count("*").alias("_n"))
+                w = Window.orderBy(sf.by[0].column()).rowsBetween(Window.unboundedPreceding, Window.currentRow)  # the distinct values of one slice
+                reached = counts.withColumn("_k", F.sum("_n").over(w)).filter((F.col("_k") >= target - before) & (F.col("_k") - F.col("_n") < target - before))
+                parts.append(reached.select(F.lit(q).alias("q"), F.col(key).alias("value")))
                 break
             before += size
     out = parts[0]

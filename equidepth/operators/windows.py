@@ -29,3 +29,16 @@ def sessionize(df: DataFrame, by: str, ts: str, gap_seconds: int) -> DataFrame:
     pause = F.unix_micros(F.col(ts).cast("timestamp")) - F.unix_micros(F.lag(ts).over(w).cast("timestamp"))
     fresh = df.withColumn("_new", F.when(pause.isNull() | (pause > gap_seconds * 1_000_000), 1).otherwise(0))
     return fresh.withColumn("session", F.sum("_new").over(w.rangeBetween(Window.unboundedPreceding, Window.currentRow)).cast("long")).drop("_new")
+
+
+def partitioned_ranks(df: DataFrame, by: list[str], order, ranked, tiles: int) -> DataFrame:
+    """df with rn and tile by `order`, and rnk, drnk, prnk, cdist by `ranked`, in each group."""
+    w, r = (Window.partitionBy(*by).orderBy(*[o.column() for o in orders(x)]) for x in (order, ranked))
+    return df.withColumns({"rn": F.row_number().over(w), "tile": F.ntile(tiles).over(w), "rnk": F.rank().over(r), "drnk": F.dense_rank().over(r), "prnk": F.percent_rank().over(r), "cdist": F.cume_dist().over(r)})
+
+
+def partitioned_values(df: DataFrame, by: list[str], order, value: str, nth: int, k: int) -> DataFrame:
+    """df with the first, last and nth value of its group by `order`, and those k rows before and after."""
+    w = Window.partitionBy(*by).orderBy(*[o.column() for o in orders(order)])
+    whole = w.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    return df.withColumns({"first": F.first(value).over(whole), "last": F.last(value).over(whole), "nth": F.nth_value(value, nth).over(whole), "lag": F.lag(value, k).over(w), "lead": F.lead(value, k).over(w)})

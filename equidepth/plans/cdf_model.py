@@ -16,6 +16,8 @@ from pyspark.sql import functions as F
 
 #: Codes beyond this in size tie; squares of differences stay finite.
 FAR = 1e150
+#: Most leaves below a tree of comparisons; more are found by halving an array, so generated code stays small.
+TREE = 256
 
 
 def _literal(values: np.ndarray) -> Column:
@@ -53,6 +55,7 @@ class CdfModel:
     borders: np.ndarray | None = None
     middle: np.ndarray | None = None  # of the recursive root: slope, centre, intercept, first and last leaf by row
     clamp: bool = True
+    heaviest: float = 0.0  # share of the sample's most frequent code
 
     @property
     def leaves(self) -> int:
@@ -96,7 +99,7 @@ class CdfModel:
             return F.least(F.greatest(v, low), high)
 
         if self.root == "quantile":
-            return _tree(x, self.borders)
+            return _tree(x, self.borders) if self.leaves <= TREE else _search(x, self.borders)
         a, c, b = self.top
         guess = F.lit(a) * (x - F.lit(c)) + F.lit(b)
         n = F.lit(float(self.leaves))
@@ -110,7 +113,7 @@ class CdfModel:
     def cdf(self, x: Column) -> Column:
         """Estimated quantile of a code column; null stays null."""
         x = x.cast("double")
-        if self.root == "quantile":  # each end of the tree is its leaf's line: x is the only shared part
+        if self.root == "quantile" and self.leaves <= TREE:  # each end of the tree is its leaf's line: x is the only shared part
             return F.when(x.isNotNull(), _tree(x, self.borders, self._leaf_line))
         at = self.leaf(x) + 1
         y = F.element_at(_literal(self.slope), at) * (x - F.element_at(_literal(self.centre), at)) + F.element_at(_literal(self.intercept), at)
@@ -175,6 +178,13 @@ def _tree(x: Column, borders: np.ndarray, end=None) -> Column:
     return below(0, len(borders))
 
 
+def _search(x: Column, borders: np.ndarray) -> Column:
+    """The number of borders at or below x, by halving a constant array."""
+    array = _literal(borders)
+    steps = F.array(*[F.lit(1 << s) for s in reversed(range(len(borders).bit_length()))])
+    return F.aggregate(steps, F.lit(0), lambda at, h: at + F.when(F.coalesce(F.get(array, at + h - 1) <= x, F.lit(False)), h).otherwise(0))
+
+
 def train_cdf(sample: np.ndarray, leaves: int = 64, root: str = "linear", *, middle: int = 8, clamp: bool = True) -> CdfModel:
     """Fit the hierarchy on a sample of codes.
 
@@ -211,7 +221,7 @@ def train_cdf(sample: np.ndarray, leaves: int = 64, root: str = "linear", *, mid
             floor = last
     elif root != "linear":
         raise ValueError(f"no root {root}")
-    model = CdfModel(root, *(np.zeros(leaves) for _ in range(5)), np.zeros(leaves, np.int64), top, borders, mids, clamp)
+    model = CdfModel(root, *(np.zeros(leaves) for _ in range(5)), np.zeros(leaves, np.int64), top, borders, mids, clamp, float(n.max() / n.sum()))
     of = model.leaf_np(x)
     bounds = np.searchsorted(of, np.arange(leaves + 1))
     reached = 0.0
@@ -231,14 +241,23 @@ def train_cdf(sample: np.ndarray, leaves: int = 64, root: str = "linear", *, mid
 def train_cdf_sql(sample: DataFrame, leaves: int = 64) -> DataFrame:
     """The linear-root fit in SQL: (leaf, n, slope, intercept, lo, hi) of the leaves that the sample reaches.
 
-    sample: one column `code`. cume_dist comes from counts by value, so the window runs over distinct codes.
+    sample: one column `code`. cume_dist comes from counts by value, summed inside slices and over the slices before them, so no window
+    runs over all codes.
     """
+    from .extsort import PID, model_sort
+
     counts = sample.groupBy("code").agg(F.count("*").alias("n"))
-    total = Window.partitionBy()
-    targets = counts.withColumn("y", F.sum("n").over(Window.orderBy("code")) / F.sum("n").over(total))
+    sliced = model_sort(counts, ["code"])
+    sums = sorted((r[0], r[1]) for r in sliced.sliced.groupBy(PID).agg(F.sum("n")).collect())  # a row for each slice
+    least, total, starts = counts.agg(F.min("code")).first()[0], 0, []
+    for p, n in sums:
+        starts.append((p, total))
+        total += n
+    starts = F.broadcast(counts.sparkSession.createDataFrame(starts, f"{PID} int, _before long"))  # a row for each slice
+    inside = F.sum("n").over(sliced.window().rowsBetween(Window.unboundedPreceding, Window.currentRow))
+    targets = sliced.exchanged.withColumn("_in", inside).join(starts, PID).select("code", "n", ((F.col("_before") + F.col("_in")) / F.lit(float(max(total, 1)))).alias("y"))
     w = F.col("n").cast("double")
-    shift = F.min("code").over(total)
-    moved = targets.withColumn("x", F.col("code") - shift)
+    moved = targets.withColumn("x", F.col("code") - F.lit(least))
     sums = moved.agg(F.sum(w).alias("w"), F.sum(w * F.col("x")).alias("wx"), F.sum(w * F.col("y")).alias("wy"), F.sum(w * F.col("x") * F.col("x")).alias("wxx"), F.sum(w * F.col("x") * F.col("y")).alias("wxy"))
     a = (F.col("w") * F.col("wxy") - F.col("wx") * F.col("wy")) / (F.col("w") * F.col("wxx") - F.col("wx") * F.col("wx"))
     root = sums.select(a.alias("a"), ((F.col("wy") - a * F.col("wx")) / F.col("w")).alias("b"))
@@ -269,6 +288,15 @@ class RefinedModel:
     def bytes(self) -> int:
         return self.base.bytes + sum(m.bytes for _, _, m in self.finer.values())
 
+    @property
+    def depth(self) -> int:
+        """Levels of codes that it looks at."""
+        return 1 + max(m.depth if isinstance(m, RefinedModel) else 1 for _, _, m in self.finer.values())
+
+    @property
+    def heaviest(self) -> float:
+        return self.base.heaviest
+
     def cdf(self, *codes: Column) -> Column:
         """codes: of the first bytes, of the next, and so on."""
         out = self.base.cdf(codes[0])
@@ -289,7 +317,7 @@ def refine_heavy(samples: np.ndarray, f: int, leaves: int = 64, most: int = 64)
         return model
     values, counts = np.unique(codes, return_counts=True)
     ends = np.cumsum(counts) / len(codes)
-    heavy = [i for i in np.argsort(-counts)[:most] if counts[i] > len(codes) / f]
+    heavy = [i for i in np.argsort(-counts)[:most] if counts[i] > len(codes) / f and np.isfinite(values[i])]
     finer = {}
     for i in heavy:
         rest = samples[codes == values[i]][:, 1:]
@@ -297,5 +325,5 @@ def refine_heavy(samples: np.ndarray, f: int, leaves: int = 64, most: int = 64)
             # never below what smaller codes reach, never above what larger ones start from
             low = float(model.cdf_np(values[i - 1 : i])[0]) if i else 0.0
             high = float(model.cdf_np(values[i + 1 : i + 2])[0]) if i + 1 < len(values) else 1.0
-            finer[float(values[i])] = (max(low, float(ends[i] - counts[i] / len(codes))) if i else 0.0, max(low, min(high, float(ends[i]))), refine_heavy(rest, max(2, int(f * counts[i] / len(codes))), leaves, most))
+            finer[float(values[i])] = (max(low, float(ends[i] - counts[i] / len(codes))) if i else 0.0, max(low, min(high, float(ends[i]))), refine_heavy(rest, own := max(2, int(f * counts[i] / len(codes))), max(8, min(leaves, 4 * own)), most))
     return RefinedModel(model, finer) if finer else model

@@ -7,20 +7,28 @@ Sizes come from a scan of the key column alone, so the sorted rows are made once
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass, field, replace
 from functools import cached_property
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession, Window, WindowSpec
 from pyspark.sql import functions as F
 
-from .cdf_model import CdfModel, RefinedModel, refine_heavy, train_cdf
+from ..session import drop_at_exit, scratch
+from .cdf_model import FAR, CdfModel, RefinedModel, refine_heavy, train_cdf
 from .keys import KeySpec, Order, orders, profile, resolve
 from .sampling import SampleSpec, draw_sample
 
 PID = "_pid"
-#: Codes of seven bytes each that a refined model looks at.
+#: Codes of seven bytes each that a refined model looks at, and codes of all columns together that split_ties looks at.
 LEVELS = 8
+MOST_LEVELS = 16
+#: Rows by the plan's size, and bytes of a value, below which a sample is drawn without counting first.
+FEW = 50_000_000
+WIDTH = 8
 
 
 def choose_slices(total_bytes: int, slice_bytes: int = 256 << 20, headroom: float = 2.0, least: int = 1) -> int:
@@ -41,22 +49,32 @@ def concurrent_slices(sizes: list[int], memory: int, mode: str = "prefix") -> in
     return best
 
 
-def plan_slices(rows: float, row_bytes: float, *, slice_bytes: int = 512 << 20, map_bytes: int = 512 << 20, points: int = 400, block_bytes: int = 64 << 10) -> dict:
-    """Arithmetic for a sort of any size: slices, rounds, blocks of an exchange, sample, expected imbalance.
+def first_shards(f: int) -> int:
+    """Shards of the first of two rounds: four times the square root of the slices."""
+    return max(1, min(f, int(np.ceil(np.sqrt(f))) * 4))
 
-    Two rounds where one would make blocks below block_bytes: first about sqrt(slices) shards, then slices
-    inside each.
+
+def leaves_for(f: int) -> int:
+    """Leaves of a model for f slices."""
+    return int(min(4096, max(64, f // 8)))
+
+
+def plan_slices(rows: float, row_bytes: float, *, slice_bytes: int = 512 << 20, map_bytes: int = 512 << 20, sample: SampleSpec = SampleSpec(), block_bytes: int = 64 << 10) -> dict:
+    """Arithmetic for a sort of any size: slices, rounds, blocks of an exchange, sample, leaves, expected imbalance.
+
+    Two rounds where one would make blocks below block_bytes: first shards of consecutive slices, then slices
+    inside each. model_sort takes slices, rounds and leaves from here where it is not told them.
     """
     total = rows * row_bytes
     f = max(1, int(np.ceil(total / slice_bytes)))
     maps = max(1, int(np.ceil(total / map_bytes)))
     one = total / (maps * f)
-    rounds = 1 if one >= block_bytes else 2
-    coarse = f if rounds == 1 else max(1, int(np.ceil(np.sqrt(f))) * 4)
-    sample = min(rows, float(points) * f)
+    rounds = 1 if one >= block_bytes or f < 64 else 2
+    coarse = f if rounds == 1 else first_shards(f)
+    drawn = float(rows) * sample.rate(int(rows))
     return {
         "rows": float(rows), "bytes": total, "slices": f, "maps": maps, "rounds": rounds, "first_round": coarse, "blocks": float(maps) * coarse,
-        "block_bytes": total / (maps * coarse), "sample": sample, "imbalance": float(np.sqrt(f / sample)) if sample else 0.0,
+        "block_bytes": total / (maps * coarse), "sample": drawn, "leaves": leaves_for(f), "imbalance": float(np.sqrt(f / drawn)) if drawn else 0.0,
     }
 
 
@@ -71,7 +89,7 @@ class SortedFrame:
     model: CdfModel | None
     columns: list[str] = field(default_factory=list)
     rows: int | None = None
-    two_rounds: bool = False
+    rounds: int = 1
 
     @property
     def spark(self) -> SparkSession:
@@ -79,12 +97,20 @@ class SortedFrame:
 
     @cached_property
     def exchanged(self) -> DataFrame:
-        """The one exchange: a row goes to the shuffle partition of its slice."""
-        if self.two_rounds:
-            shard = max(1, int(np.ceil(np.sqrt(self.f))))
-            coarse = self.sliced.repartitionById(-(-self.f // shard), F.floor(F.col(PID) / shard).cast("int"))
-            return coarse.repartitionById(self.f, F.col(PID))
-        return self.sliced.repartitionById(self.f, F.col(PID))
+        """The exchange: a row goes to the shuffle partition of its slice; in two rounds, from the shards of the first."""
+        return (self.shards if self.rounds == 2 else self.sliced).repartitionById(self.f, F.col(PID))
+
+    @cached_property
+    def shards(self) -> DataFrame:
+        """The first of two rounds, carried out: rows are exchanged to shards of consecutive slices and written, a file for each shard.
+
+        A task of the second round reads a part of one shard, so it makes blocks for that shard's slices alone.
+        """
+        each = -(-self.f // first_shards(self.f))
+        path = scratch(self.spark, "shards")
+        self.sliced.repartitionById(-(-self.f // each), F.floor(F.col(PID) / each).cast("int")).write.parquet(path)
+        drop_at_exit(self.spark, path)
+        return self.spark.read.schema(self.sliced.schema).parquet(path)
 
     @cached_property
     def df(self) -> DataFrame:
@@ -138,51 +164,107 @@ class SortedFrame:
         return (inside | key.isNull()) if low <= null_slice <= high else (inside & key.isNotNull())
 
 
-def with_slices(df: DataFrame, spec: KeySpec, model: CdfModel, f: int) -> DataFrame:
+def tie_levels(df: DataFrame, by: list[Order], spec: KeySpec) -> list[Column]:
+    """Codes that tell rows apart by column after column: of each column's value, then of the next column's.
+
+    A code speaks for the next column only where it says all of its own column: text of at most LEVELS codes' bytes, whole
+    numbers below 2^53. Elsewhere the next code is null, which stands behind all others. A null value is a code of its own.
+    """
+    levels, whole = [], None
+    for k, o in enumerate(by):
+        own = spec if k == 0 else resolve(df, o, strip_prefix=False)
+        longest = df.agg(F.max(F.octet_length(o.name))).first()[0] or 0 if own.kind == "bytes" else 0
+        parts = [own.level(i).code() for i in range(max(1, min(LEVELS, -(-(longest - own.skip) // own.width))) if own.kind == "bytes" and not o.descending else 1)]
+        none = F.lit(-FAR if o.nulls_lead else FAR)
+        for i, code in enumerate(parts):
+            if k:  # a null of the leading column has a slice of its own
+                code = F.when(F.col(o.name).isNull(), none if i == 0 else F.lit(0.0)).otherwise(code)
+            levels.append(code if whole is None else F.when(whole, code))
+        if own.kind == "bytes" and o.descending or len(levels) >= MOST_LEVELS:
+            break
+        if own.kind == "bytes":
+            fits = F.coalesce(F.octet_length(o.name) <= own.skip + LEVELS * own.width, F.lit(True))
+        elif own.kind == "number":
+            fits = F.coalesce(F.abs(F.col(o.name)) < F.lit(1 << 53), F.lit(True))
+        else:
+            fits = F.lit(True)
+        whole = fits if whole is None else whole & fits
+    return levels[:MOST_LEVELS]
+
+
+def with_slices(df: DataFrame, spec: KeySpec, model: CdfModel, f: int, levels: list[Column] | None = None) -> DataFrame:
     """df with _pid. The code is a column of its own first, so the model's expression does not repeat it."""
     null_slice = 0 if spec.order.nulls_lead else f - 1
     if isinstance(model, RefinedModel):
-        levels = [f"_code{k}" for k in range(LEVELS)]
-        coded = df.withColumns({c: spec.level(k).code() for k, c in enumerate(levels)})
+        made = levels or [spec.level(k).code() for k in range(LEVELS)]
+        levels = [f"_code{k}" for k in range(min(model.depth, len(made)))]
+        coded = df.withColumns(dict(zip(levels, made, strict=False)))
         return coded.withColumn(PID, F.coalesce(model.pid(f, *[F.col(c) for c in levels]), F.lit(null_slice))).drop(*levels)
     coded = df.withColumn("_code", spec.code())
     return coded.withColumn(PID, F.coalesce(model.pid(F.col("_code"), f), F.lit(null_slice))).drop("_code")
 
 
-def train_for(df: DataFrame, spec: KeySpec, *, sample: SampleSpec = SampleSpec(), leaves: int | None = None, root: str | None = None, rows: int | None = None) -> tuple[CdfModel, int]:
-    """(model, rows) of a frame's leading key. Strings get a quantile root, numbers a linear one."""
-    rows = df.count() if rows is None else rows
-    codes = draw_sample(df, spec.code(), sample, rows)
+def train_for(df: DataFrame, spec: KeySpec, *, sample: SampleSpec = SampleSpec(), leaves: int | None = None, root: str | None = None, rows: int | None = None) -> tuple[CdfModel, int | None]:
+    """(model, rows) of a frame's leading key. Strings get a quantile root, numbers a linear one.
+
+    Where the plan's size says that there are fewer than FEW rows, the sample's rate comes from that size and rows are not counted
+    (None), unless the sample turns out smaller than its floor.
+    """
     root = root or ("quantile" if spec.kind == "bytes" else "linear")
-    return train_cdf(codes, leaves or 64, root), rows
+    if rows is None and sample.method == "bernoulli":
+        guess = estimated_bytes(df) // (WIDTH * max(1, len(df.columns)))
+        if 0 < guess < FEW:
+            codes = draw_sample(df, spec.code(), sample, guess)
+            if len(codes) >= sample.floor or sample.rate(guess) >= 1:
+                return train_cdf(codes, leaves or 64, root), None
+    rows = df.count() if rows is None else rows
+    return train_cdf(draw_sample(df, spec.code(), sample, rows), leaves or 64, root), rows
+
+
+def _level_sample(df: DataFrame, levels: list[Column], sample: SampleSpec, rows: int) -> np.ndarray:
+    """Sampled codes, a column for each level; nulls of later levels are infinite, rows without a first code are left out."""
+    codes = df.select(*[c.alias(f"c{k}") for k, c in enumerate(levels)])
+    part = codes if sample.rate(rows) >= 1 else codes.sample(False, sample.rate(rows), sample.seed)
+    table = part.filter(F.col("c0").isNotNull()).toArrow()
+    if not table.num_rows:
+        return np.zeros((0, len(levels)))
+    points = np.stack([table.column(k).to_numpy() for k in range(len(levels))], axis=1)
+    return np.where(np.isnan(points), np.inf, points)
 
 
 def model_sort(
     df: DataFrame, by, *, f: int | None = None, sample: SampleSpec = SampleSpec(), leaves: int | None = None, root: str | None = None,
-    model: CdfModel | None = None, ties=None, strip_prefix: bool = True, slice_bytes: int = 256 << 20, rounds: int = 1, refine: bool = False,
+    model: CdfModel | None = None, ties=None, strip_prefix: bool = True, slice_bytes: int = 256 << 20, rounds: int | None = None, refine: bool = False, split_ties: bool = False,
 ) -> SortedFrame:
     """Sort by columns ("-name" falls). ties: further columns that settle equal keys.
 
-    f: slices; without it, from the plan's size estimate and at least the shuffle partitions.
-    model: a model trained before, for frames that must be sliced alike.
+    f, rounds: slices and rounds of exchange; without them, from the plan for the optimizer's size estimate (plan_slices), at least
+    the shuffle partitions. model: a model trained before, for frames that must be sliced alike.
     refine: for rising text keys, give codes heavier than a slice models of their keys' next bytes.
+    split_ties: also cut a key heavier than a slice by the further columns. Equal keys then lie in several slices: for sorting and
+    numbering, not for joins, groups or ranks by the leading key.
     """
     by = orders(by) + (orders(ties) if ties else [])
     spec = resolve(df, by[0], strip_prefix=strip_prefix)
-    rows = None
-    if model is None and refine and spec.kind == "bytes" and not spec.order.descending:
-        rows = df.count()
-        codes = df.select(*[spec.level(k).code().alias(f"c{k}") for k in range(LEVELS)])
-        part = codes if sample.rate(rows) >= 1 else codes.sample(False, sample.rate(rows), sample.seed)
-        table = part.filter(F.col("c0").isNotNull()).toArrow()
-        points = np.stack([table.column(k).to_numpy() for k in range(LEVELS)], axis=1) if table.num_rows else np.zeros((0, LEVELS))
-        model = refine_heavy(points, f or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), leaves or 64)
+    rows = df.count() if model is None and (f is None or split_ties or refine) else None
+    if f is None or rounds is None:
+        size = estimated_bytes(df)
+        least = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+        plan = plan_slices(max(1, rows or size // 100), size / max(1, rows or size // 100), slice_bytes=slice_bytes)
+        if f is None:
+            f = choose_slices(size, slice_bytes, least=least)
+            f = min(f, max(1, rows)) if rows is not None else f
+        rounds = rounds or plan["rounds"]
+    leaves = leaves or leaves_for(f)
+    levels = None
+    if model is None and split_ties and len(by) > 1:
+        levels = tie_levels(df, by, spec)
+        model = refine_heavy(_level_sample(df, levels, sample, rows), f, leaves)
+    elif model is None and refine and spec.kind == "bytes" and not spec.order.descending:
+        model = refine_heavy(_level_sample(df, [spec.level(k).code() for k in range(LEVELS)], sample, rows), f, leaves)
     if model is None:
-        model, rows = train_for(df, spec, sample=sample, leaves=leaves, root=root)
-    if f is None:
-        f = choose_slices(estimated_bytes(df), slice_bytes, least=int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")))
-        f = min(f, max(1, rows)) if rows is not None else f
-    return SortedFrame(with_slices(df, spec, model, f), by, f, spec, model, df.columns, rows, rounds == 2)
+        model, rows = train_for(df, spec, sample=sample, leaves=leaves, root=root, rows=rows)
+    return SortedFrame(with_slices(df, spec, model, f, levels), by, f, spec, model, df.columns, rows, rounds)
 
 
 def estimated_bytes(df: DataFrame) -> int:
@@ -222,6 +304,48 @@ def sort_late_payload(df: DataFrame, by, locator: str, **options) -> DataFrame:
     return placed.select(locator, "rn").join(df, locator)
 
 
+def _pointer_keys(table: pa.Table, by: list[Order]) -> tuple[pa.Table, list[tuple[str, str]]]:
+    """Columns whose plain order is the one asked for: of each key whether it is null, whether it is NaN, and its value."""
+    columns, sorts = {}, []
+    for i, o in enumerate(by):
+        c, way = table.column(o.name), "descending" if o.descending else "ascending"
+        columns[f"n{i}"] = pc.cast(pc.is_null(c), pa.int8())
+        sorts.append((f"n{i}", "descending" if o.nulls_lead else "ascending"))
+        if pa.types.is_floating(c.type):
+            nan = pc.fill_null(pc.is_nan(c), False)
+            columns[f"a{i}"] = pc.cast(nan, pa.int8())
+            sorts.append((f"a{i}", way))
+            c = pc.if_else(nan, 0.0, c)
+        columns[f"v{i}"] = c
+        sorts.append((f"v{i}", way))
+    return pa.table(columns), sorts
+
+
+def _flushed(batches: Iterator[pa.RecordBatch], by: list[Order], batch_bytes: int, stage: str) -> Iterator[pa.RecordBatch]:
+    """A slice's rows in order, `batch_bytes` at a time; stage "sort" stops once the pointers are in order."""
+    held = list(batches)
+    if not held:
+        return
+    table = pa.Table.from_batches(held).combine_chunks()
+    keys, sorts = _pointer_keys(table, by)
+    order = pc.sort_indices(keys, sort_keys=sorts)
+    if stage == "sort":
+        yield from table.slice(0, 1).to_batches()
+        return
+    step = max(1, int(batch_bytes * len(table) // max(1, table.nbytes)))
+    for at in range(0, len(table), step):
+        yield from table.take(order.slice(at, step)).combine_chunks().to_batches()
+
+
+def pointer_sorted(sf: SortedFrame, batch_bytes: int = 100 << 10, *, stage: str = "flush") -> DataFrame:
+    """Slices in order by sorting pointers and fetching rows in that order, batch_bytes at a time, so that what is written leaves in
+    one sequence. A slice is held by its task; columns that are no keys are touched once, when they leave.
+    """
+    by = sf.by
+    kinds = ", ".join(f"`{n}` {t}" for n, t in sf.exchanged.dtypes)
+    return sf.exchanged.mapInArrow(lambda it: _flushed(it, by, batch_bytes, stage), kinds)
+
+
 def fragment_matrix(df: DataFrame, pid: Column) -> DataFrame:
     """(reader, pid, rows): how each input split's rows fall into slices."""
     return df.groupBy(F.spark_partition_id().alias("reader"), pid.alias("pid")).agg(F.count("*").alias("rows"))

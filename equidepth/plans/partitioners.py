@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .cdf_model import _tree
@@ -42,8 +42,14 @@ def sketch_pid(df: DataFrame, code: Column, f: int, accuracy: int = 10_000) -> C
 
 
 def exact_pid(df: DataFrame, code: Column, f: int) -> DataFrame:
-    """df with `pid` by exact ranks (rows of equal code may part). A control: one global window."""
-    return df.withColumn("_c", code).withColumn("pid", F.ntile(f).over(Window.orderBy("_c")) - 1).drop("_c")
+    """df with `pid` by exact ranks (rows of equal code may part): a row's place among all, from slices and the sizes before them."""
+    from .extsort import model_sort
+
+    placed = model_sort(df.withColumn("_c", code), ["_c"])
+    base, more = divmod(sum(placed.sizes), f)
+    r, edge = F.col("_rn") - 1, more * (base + 1)
+    pid = F.when(r < edge, F.floor(r / (base + 1))).otherwise(F.lit(more) + F.floor((r - edge) / F.lit(max(base, 1))))
+    return placed.with_rn("_rn").withColumn("pid", pid.cast("int")).drop("_c", "_rn")
 
 
 def hash_pid(key: Column, f: int) -> Column:

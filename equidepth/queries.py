@@ -5,8 +5,6 @@ Comparison of results ignores order, so sorted results carry their place as `rn`
 
 from __future__ import annotations
 
-import tempfile
-import uuid
 from collections.abc import Callable
 
 import numpy as np
@@ -24,9 +22,10 @@ from .plans import keys as K
 from .plans import mergesort as M
 from .plans import memsort
 from .plans.cdf_model import train_cdf, train_cdf_sql
-from .plans.extsort import PID, builtin_sort, concurrent_slices, fragment_matrix, makespan, model_sort, radix_sort, sort_late_payload
-from .plans.partitioners import exact_pid, radix_pid
+from .plans.extsort import PID, builtin_sort, concurrent_slices, fragment_matrix, makespan, model_sort, pointer_sorted, radix_sort, sort_late_payload
+from .plans.partitioners import exact_pid, hash_pid, quantile_pid, radix_bits_pid, radix_pid, sketch_pid
 from .plans.sampling import SampleSpec, draw_sample, sample_frame
+from .session import scratch
 from .sources import io
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -51,12 +50,6 @@ def table(spark: SparkSession, d: str, name: str) -> DataFrame:
     return io.read_table(spark, d, name)
 
 
-def scratch(spark: SparkSession, tag: str) -> str:
-    """A folder that all executors see where the session names one, else a local one."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or tempfile.gettempdir()
-    return f"{base.rstrip('/')}/equidepth-{tag}-{uuid.uuid4().hex}"
-
-
 def rest(cols: list[str], *first: str) -> list[str]:
     return [*first, *[c for c in cols if c not in {f.lstrip("-") for f in first}]]
 
@@ -69,6 +62,19 @@ def sort_sql(tab: str, cols: list[str], by: list[str]) -> str:
     return f"SELECT {', '.join(cols)}, row_number() OVER (ORDER BY {sql_order(by)}) AS rn FROM {tab}"
 
 
+def model_sql(tab: str, col: str, picked: str, f: int, leaves: int = 64, columns: str = "") -> str:
+    """WITH ... predicted(code, y, pid, ...): a linear root and its leaves fitted on the rows `picked`, applied to all rows of a table."""
+    return f"""WITH s AS (SELECT {col}::DOUBLE AS code FROM {tab} WHERE {picked}),
+t AS (SELECT code, cume_dist() OVER (ORDER BY code) AS y FROM s), m AS (SELECT min(code) AS x0 FROM s),
+r AS (SELECT regr_slope(y, code - x0) AS a, regr_intercept(y, code - x0) AS b FROM t, m),
+p AS (SELECT greatest(0, least({leaves - 1}, floor((a * (code - x0) + b) * {leaves})))::INTEGER AS leaf, code, y FROM t, m, r),
+c AS (SELECT leaf, min(code) AS c0, max(y) AS hi FROM p GROUP BY leaf),
+g AS (SELECT leaf, any_value(c0) AS c0, any_value(hi) AS hi, greatest(0, coalesce(regr_slope(y, code - c0), 0)) AS a, avg(y) AS my, avg(code - c0) AS mx FROM p JOIN c USING (leaf) GROUP BY leaf),
+leaf AS (SELECT k::INTEGER AS leaf, a, c0, my - a * mx AS b, coalesce(max(hi) OVER (ORDER BY k ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS lo, coalesce(max(hi) OVER (ORDER BY k), 0) AS hi FROM range({leaves}) u(k) LEFT JOIN g ON k = leaf),
+placed AS (SELECT {columns}{col}::DOUBLE AS code, greatest(0, least({leaves - 1}, floor((a * ({col} - x0) + b) * {leaves})))::INTEGER AS leaf FROM {tab}, m, r),
+predicted AS (SELECT *, least({f - 1}, floor(y * {f}))::INTEGER AS pid FROM (SELECT q.*, greatest(0, least(1, greatest(lo, least(hi, coalesce(a * (code - c0) + b, lo))))) AS y FROM placed q JOIN leaf USING (leaf)))"""
+
+
 # ---- sorts: the model's, then every baseline against the same SQL ------------------------------------
 
 EVENTS = "event_id ts user_id event_type value props".split()
@@ -85,7 +91,6 @@ SORTS = {
     "sort_part_name_dups": ("part", ["p_partkey", "p_name", "p_retailprice"], ["p_name", "p_partkey"]),
     "sort_events_ts": ("events", EVENTS, ["ts", "event_id"]),
     "sort_acctbal_negative": ("customer", CUSTOMER, ["c_acctbal", "c_custkey"]),
-    "sort_event_type_five_keys": ("events", EVENTS, ["event_type", "event_id"]),
     "sort_shipdate": ("lineitem", LINEITEM, rest(LINEITEM, "-l_shipdate")),
 }
 for _name, (_tab, _cols, _by) in SORTS.items():
@@ -106,13 +111,23 @@ for _lead in (True, False):
 
 _EV = ["value", "event_id"]
 query("sort_two_rounds", sort_sql("lineitem", LINEITEM, rest(LINEITEM, "l_extendedprice")))(lambda s, d: model_sort(table(s, d, "lineitem"), rest(LINEITEM, "l_extendedprice"), f=16, rounds=2).with_rn())
+query("sort_event_type_five_keys", sort_sql("events", EVENTS, ["event_type", "event_id"]))(lambda s, d: model_sort(table(s, d, "events"), ["event_type", "event_id"], f=16, split_ties=True).with_rn())
 query("sort_recursive_root", sort_sql("events", EVENTS, _EV))(lambda s, d: model_sort(table(s, d, "events"), _EV, f=16, root="recursive").with_rn())
 query("sort_first_batch_sample", sort_sql("events", EVENTS, ["ts", "event_id"]))(lambda s, d: model_sort(table(s, d, "events"), ["ts", "event_id"], f=16, sample=SampleSpec(method="first_batch", batch_rows=1000)).with_rn())
 query("sort_late_payload", sort_sql("orders", ORDERS, ["o_totalprice", "o_orderkey"]))(lambda s, d: sort_late_payload(table(s, d, "orders"), ["o_totalprice", "o_orderkey"], "o_orderkey", f=16))
 query("sort_url_refined", sort_sql("pages", ["page_id", "url"], ["url", "page_id"]))(lambda s, d: model_sort(table(s, d, "pages").select("page_id", "url"), ["url", "page_id"], f=8, refine=True).with_rn())
+query("sort_split_ties", sort_sql("events", EVENTS, ["event_type", "-value", "event_id"]))(lambda s, d: model_sort(table(s, d, "events"), ["event_type", "-value", "event_id"], f=16, split_ties=True).with_rn())
+query("sort_pointers", sort_sql("events", EVENTS, ["-value", "event_id"]))(lambda s, d: _pointers(s, d))
 query("radix_sort", sort_sql("events", EVENTS, _EV))(lambda s, d: radix_sort(table(s, d, "events"), _EV, 16).with_rn())
 
 
+def _pointers(spark, d):
+    """Places of rows that leave a slice by sorted pointers, a few at a time."""
+    sf = model_sort(table(spark, d, "events"), ["-value", "event_id"], f=16)
+    out = pointer_sorted(sf, 2_000).withColumn("_i", F.monotonically_increasing_id().bitwiseAND((1 << 33) - 1))
+    return out.join(F.broadcast(sf.offsets_frame().select(PID, "row_offset")), PID).select(*EVENTS, (F.col("row_offset") + F.col("_i") + 1).cast("long").alias("rn"))
+
+
 @query("builtin_sort", sort_sql("events", EVENTS, _EV))
 def _builtin(spark, d):
     """Places of a built-in sort: partition sizes, then a number inside each partition."""
@@ -287,13 +302,18 @@ def _model(spark, d, leaves=64, root="linear"):
     return df, spec, train_cdf(draw_sample(df, spec.code(), SAMPLE, 0), leaves, root)
 
 
-@query("cdf_error_price")
+_PRICE_MODEL = model_sql("lineitem", "l_extendedprice", "l_orderkey % 10 = 0", 16)
+_EVENT_MODEL = model_sql("events", "value", "event_id % 10 = 0", 16)
+_TENTH = SampleSpec(method="systematic", pk="event_id", every=10)
+
+
+@query("cdf_error_price", f"{_PRICE_MODEL} SELECT round(max(e), 7) AS max, round(avg(e), 7) AS mean, round(sqrt(avg(e * e)), 7) AS rms FROM (SELECT abs(y - cume_dist() OVER (ORDER BY code)) AS e FROM predicted)")
 def _cdf_error(spark, d):
     df, spec, m = _model(spark, d)
-    return metrics.cdf_error(m, df, spec.code())
+    return metrics.cdf_error(m, df, spec.code()).select(*[F.round(c, 7).alias(c) for c in ("max", "mean", "rms")])
 
 
-@query("predict_pid_counts")
+@query("predict_pid_counts", f"{_PRICE_MODEL} SELECT pid, count(*) AS n FROM predicted GROUP BY pid")
 def _pid_counts(spark, d):
     df, spec, m = _model(spark, d)
     return df.groupBy(m.pid(spec.code(), 16).alias("pid")).agg(F.count("*").alias("n"))
@@ -340,13 +360,47 @@ query("slice_stats_exact", f"SELECT {_STATS} FROM (SELECT count(*)::DOUBLE AS n
 )
 
 
-@query("slice_stats_model")
+@query("slice_stats_model", f"{_EVENT_MODEL} SELECT {_STATS} FROM (SELECT count(pid)::DOUBLE AS n FROM range(16) t(p) LEFT JOIN predicted ON p = pid GROUP BY p)")
 def _stats_model(spark, d):
+    sf = model_sort(table(spark, d, "events").select("value", "event_id"), ["value"], f=16, sample=_TENTH)
+    return _stats(metrics.slice_stats(sf.sliced, PID, 16))
+
+
+def _event_sample(spark, d):
+    df = table(spark, d, "events").select("event_id", "value")
+    return df, draw_sample(df, F.col("value"), _TENTH, 0)
+
+
+_SPLIT = "WITH s AS (SELECT value, row_number() OVER (ORDER BY value) - 1 AS k, count(*) OVER () AS n FROM events WHERE event_id % 10 = 0), c AS (SELECT DISTINCT value AS cut FROM s WHERE k IN (SELECT least(n - 1, i * n // 16) FROM range(1, 16) t(i)))"
+
+
+@query("quantile_pid_counts", f"{_SPLIT} SELECT pid, count(*) AS n FROM (SELECT (SELECT count(*) FROM c WHERE cut <= e.value)::INTEGER AS pid FROM events e) GROUP BY pid")
+def _quantile_counts(spark, d):
+    """Splitters at a sample's quantiles."""
+    df, sample = _event_sample(spark, d)
+    return df.groupBy(quantile_pid(F.col("value"), sample, 16).alias("pid")).agg(F.count("*").alias("n"))
+
+
+@query("sketch_pid_counts", "SELECT 16 AS slices, true AS even FROM events LIMIT 1")
+def _sketch_counts(spark, d):
+    """Splitters from an approximate percentile of all rows: every slice within a tenth of its share."""
     df = table(spark, d, "events").select("value")
-    sf = model_sort(df, ["value"], f=16, sample=SampleSpec(floor=5000))
-    return metrics.slice_stats(sf.sliced, PID, 16)
+    n = df.groupBy(sketch_pid(df, F.col("value"), 16).alias("pid")).agg(F.count("*").alias("n"))
+    return n.agg(F.count("*").cast("int").alias("slices"), (F.max("n") <= 1.1 * F.avg("n")).alias("even"))
 
 
+@query("hash_pid_counts", "SELECT 16 AS slices, count(*) AS rows, true AS whole FROM events")
+def _hash_counts(spark, d):
+    """Slices by hash: no row is lost and no slice holds twice its share, whatever the key's skew."""
+    df = table(spark, d, "events").select("event_id")
+    n = df.groupBy(hash_pid(F.col("event_id"), 16).alias("pid")).agg(F.count("*").alias("n"))
+    return n.agg(F.count("*").cast("int").alias("slices"), F.sum("n").alias("rows"), (F.max("n") <= 2 * F.avg("n")).alias("whole"))
+
+
+query("radix_bits_pid_counts", "SELECT ascii(url) >> 4 AS pid, count(*) AS n FROM pages GROUP BY 1")(
+    lambda s, d: table(s, d, "pages").groupBy(radix_bits_pid(K.byte_code(F.col("url")), 56, 4).alias("pid")).agg(F.count("*").alias("n"))
+)
+
 _BIN = "greatest(0, least(999, floor((l_extendedprice - lo) / (hi - lo) * 1000)))::INTEGER"
 _HIST = f"SELECT {_BIN} AS bin, count(*) AS n FROM lineitem, (SELECT min(l_extendedprice) AS lo, max(l_extendedprice) AS hi FROM lineitem) GROUP BY 1"
 query("bin_histogram_1000", f"SELECT bin, n, n / sum(n) OVER () AS frequency FROM ({_HIST})")(lambda s, d: metrics.equi_width_histogram(table(s, d, "lineitem"), "l_extendedprice"))
@@ -362,20 +416,18 @@ def _invariant(spark, d):
     return invariant_violations(sf.sliced, F.col("text"))
 
 
-@query("write_offsets", "SELECT pid, count(*) AS rows, coalesce(sum(count(*)) OVER (ORDER BY pid ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS row_offset FROM (SELECT (ntile(16) OVER (ORDER BY event_id) - 1)::INTEGER AS pid FROM events) GROUP BY pid")
+@query("write_offsets", f"{_EVENT_MODEL}, n AS (SELECT p::INTEGER AS pid, count(pid) AS rows FROM range(16) t(p) LEFT JOIN predicted ON p = pid GROUP BY p) SELECT pid, rows, coalesce(sum(rows) OVER (ORDER BY pid ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS row_offset FROM n")
 def _offsets(spark, d):
-    from .plans.extsort import SortedFrame
-
-    df = table(spark, d, "events").select("event_id")
-    cut = exact_pid(df, F.col("event_id"), 16).withColumnRenamed("pid", PID)
-    return SortedFrame(cut, K.orders("event_id"), 16, None, None, ["event_id"]).offsets_frame().withColumnRenamed(PID, "pid")
+    """Where each slice of the model begins in the whole."""
+    sf = model_sort(table(spark, d, "events").select("event_id", "value"), ["value"], f=16, sample=_TENTH)
+    return sf.offsets_frame().withColumnRenamed(PID, "pid")
 
 
-@query("fragment_matrix", "SELECT count(*) AS rows FROM events")
+@query("fragment_matrix", f"{_EVENT_MODEL} SELECT pid, count(*) AS rows FROM predicted GROUP BY pid")
 def _fragments(spark, d):
-    df = table(spark, d, "events").select("value")
-    sf = model_sort(df, ["value"], f=8)
-    return fragment_matrix(sf.sliced, F.col(PID)).agg(F.sum("rows").alias("rows"))
+    """Rows of every reader by slice, summed over readers."""
+    sf = model_sort(table(spark, d, "events").select("event_id", "value"), ["value"], f=16, sample=_TENTH)
+    return fragment_matrix(sf.sliced, F.col(PID)).groupBy("pid").agg(F.sum("rows").alias("rows"))
 
 
 query("concurrent_slices", "SELECT * FROM (VALUES ('prefix', 3), ('any_window', 1)) t(mode, s)")(lambda s, d: s.createDataFrame([(m, concurrent_slices([4, 3, 2, 9, 8, 1], 10, m)) for m in ("prefix", "any_window")], "mode string, s int"))
@@ -404,25 +456,17 @@ def _validate(spark, d):
 
 # ---- joins -------------------------------------------------------------------------------------------
 
-def _cust_orders(spark, d, whole=False):
-    orders = table(spark, d, "orders").select("o_orderkey", "o_custkey", "o_totalprice")
-    return table(spark, d, "customer").select("c_custkey", "c_name"), orders if whole else orders.filter("o_custkey % 3 <> 0")
+def _cust_orders(spark, d):
+    return table(spark, d, "customer").select("c_custkey", "c_name"), table(spark, d, "orders").select("o_orderkey", "o_custkey", "o_totalprice")
 
 
-_OS = "(SELECT o_orderkey, o_custkey, o_totalprice FROM orders WHERE o_custkey % 3 <> 0)"
-_JC = "c_custkey, c_name, o_orderkey, o_custkey, o_totalprice"
 for _how, _sql in (("inner", "JOIN"), ("left", "LEFT JOIN"), ("right", "RIGHT JOIN"), ("full", "FULL JOIN")):
-    query(f"merge_join_{_how}", f"SELECT {_JC} FROM (SELECT * FROM customer WHERE c_custkey % 5 <> 0) {_sql} {_OS} ON c_custkey = o_custkey")(
-        lambda s, d, h=_how: J.model_merge_join(_cust_orders(s, d)[0].filter("c_custkey % 5 <> 0"), _cust_orders(s, d)[1], "c_custkey", "o_custkey", h)
+    query(f"merge_join_{_how}", f"SELECT c_custkey, c_name, o_orderkey, o_custkey, o_totalprice FROM customer {_sql} orders ON c_custkey = o_custkey")(
+        lambda s, d, h=_how: J.model_merge_join(*_cust_orders(s, d), "c_custkey", "o_custkey", h)
     )
-query("merge_join_semi", f"SELECT c_custkey, c_name FROM customer WHERE c_custkey IN (SELECT o_custkey FROM {_OS})")(lambda s, d: J.model_merge_join(*_cust_orders(s, d), "c_custkey", "o_custkey", "left_semi"))
-query("merge_join_anti", f"SELECT c_custkey, c_name FROM customer WHERE c_custkey NOT IN (SELECT o_custkey FROM {_OS})")(lambda s, d: J.model_merge_join(*_cust_orders(s, d), "c_custkey", "o_custkey", "left_anti"))
-_WHOLE = "customer {} orders ON c_custkey = o_custkey"
-for _how, _sql in (("inner", "JOIN"), ("left", "LEFT JOIN"), ("right", "RIGHT JOIN"), ("full", "FULL JOIN")):
-    query(f"merge_join_{_how}_whole", f"SELECT {_JC} FROM {_WHOLE.format(_sql)}")(lambda s, d, h=_how: J.model_merge_join(*_cust_orders(s, d, whole=True), "c_custkey", "o_custkey", h))
 for _how in ("semi", "anti"):
-    query(f"merge_join_{_how}_whole", f"SELECT c_custkey, c_name FROM customer {_how.upper()} JOIN orders ON c_custkey = o_custkey")(
-        lambda s, d, h=_how: J.model_merge_join(*_cust_orders(s, d, whole=True), "c_custkey", "o_custkey", f"left_{h}")
+    query(f"merge_join_{_how}", f"SELECT c_custkey, c_name FROM customer {_how.upper()} JOIN orders ON c_custkey = o_custkey")(
+        lambda s, d, h=_how: J.model_merge_join(*_cust_orders(s, d), "c_custkey", "o_custkey", f"left_{h}")
     )
 query("merge_join_lineitem", "SELECT l_orderkey, l_linenumber, l_partkey, l_extendedprice, o_orderdate FROM lineitem JOIN orders ON l_orderkey = o_orderkey")(
     lambda s, d: J.model_merge_join(table(s, d, "lineitem").select("l_orderkey", "l_linenumber", "l_partkey", "l_extendedprice"), table(s, d, "orders").select("o_orderkey", "o_orderdate"), "l_orderkey", "o_orderkey").drop("o_orderkey")
@@ -433,11 +477,7 @@ for _name, _fn in (("broadcast_join", J.broadcast_join), ("hash_join", J.hash_jo
 query("theta_join", "SELECT s_suppkey, n_name FROM supplier, nation WHERE s_acctbal > n_nationkey * 400")(
     lambda s, d: J.theta_join(table(s, d, "supplier"), table(s, d, "nation"), F.col("s_acctbal") > F.col("n_nationkey") * 400).select("s_suppkey", "n_name")
 )
-_IV = "(SELECT p_partkey, p_retailprice AS lo, p_retailprice + p_size AS hi FROM part WHERE p_partkey % 20 = 0)"
-query("range_join", f"SELECT o_orderkey, o_totalprice, p_partkey, lo, hi FROM orders JOIN {_IV} ON o_totalprice BETWEEN lo AND hi")(
-    lambda s, d: J.range_join(table(s, d, "orders").select("o_orderkey", "o_totalprice"), "o_totalprice", table(s, d, "part").filter("p_partkey % 20 = 0").select("p_partkey", F.col("p_retailprice").alias("lo"), (F.col("p_retailprice") + F.col("p_size")).alias("hi")), "lo", "hi")
-)
-query("range_join_whole", "SELECT o_orderkey, o_totalprice, p_partkey, p_retailprice AS lo, p_retailprice + p_size AS hi FROM orders JOIN part ON o_totalprice BETWEEN p_retailprice AND p_retailprice + p_size")(
+query("range_join", "SELECT o_orderkey, o_totalprice, p_partkey, p_retailprice AS lo, p_retailprice + p_size AS hi FROM orders JOIN part ON o_totalprice BETWEEN p_retailprice AND p_retailprice + p_size")(
     lambda s, d: J.range_join(table(s, d, "orders").select("o_orderkey", "o_totalprice"), "o_totalprice", table(s, d, "part").select("p_partkey", F.col("p_retailprice").alias("lo"), (F.col("p_retailprice") + F.col("p_size")).alias("hi")), "lo", "hi")
 )
 query("band_join", "SELECT c_custkey, c_acctbal, s_suppkey, s_acctbal FROM customer JOIN supplier ON c_acctbal BETWEEN s_acctbal - 5 AND s_acctbal + 5")(

@@ -9,11 +9,14 @@ from pyspark.sql import functions as F
 
 from .functions import scalar, udf
 from .measures import metrics, workloads
+from .operators import aggregates as A
 from .operators import index as I
 from .operators import windows as W
 from .plans import keys as K
 from .plans.extsort import model_sort
-from .queries import EVENTS, ORACLE_SQL, QUERIES, query, scratch, table  # noqa: F401  (one table of queries)
+from .plans.sampling import SampleSpec
+from .queries import EVENTS, ORACLE_SQL, QUERIES, model_sql, query, table  # noqa: F401  (one table of queries)
+from .session import scratch
 from .sources import io
 from .sources.datagen import SkewSpec, generate_records
 from .streaming import fragments as ST
@@ -32,15 +35,15 @@ query("lookup_keys", f"{_LOOK} WHERE o_orderkey IN (SELECT l_orderkey FROM linei
 query("range_scan", f"{_LOOK} WHERE o_orderkey BETWEEN 100 AND 900")(lambda s, d: I.range_scan(_by_orderkey(s, d), 100, 900))
 
 
-@query("build_index_sparse", "SELECT count(*) AS rows, true AS covers FROM orders")
-def _index(spark, d):
-    """Entries of a sparse index cover every slice from its first row."""
-    sf = _by_orderkey(spark, d)
-    ix = I.build_index(sf, "o_orderkey", 50)
-    zones = I.zone_map(sf.sliced, ["o_orderkey"]).join(ix.filter("pos = 0").withColumnRenamed("pid", "p"), F.col("pid") == F.col("p"), "left")
-    return zones.agg(F.sum("rows").alias("rows"), F.bool_and(F.col("key") == F.col("min_o_orderkey")).alias("covers"))
+def _priced(spark, d):
+    """orders in slices of a model of every tenth order's price."""
+    df = table(spark, d, "orders").select("o_orderkey", "o_totalprice", "o_orderdate")
+    return model_sort(df, ["o_totalprice"], f=16, sample=SampleSpec(method="systematic", pk="o_orderkey", every=10))
 
 
+query("build_index_sparse", f"{model_sql('orders', 'o_totalprice', 'o_orderkey % 10 = 0', 16)} SELECT key, pid, pos FROM (SELECT code AS key, pid, row_number() OVER (PARTITION BY pid ORDER BY code) - 1 AS pos FROM predicted) WHERE pos % 50 = 0")(
+    lambda s, d: I.build_index(_priced(s, d), "o_totalprice", 50)
+)
 query("zone_map", "SELECT event_type AS pid, count(*) AS rows, min(value) AS min_value, max(value) AS max_value FROM events GROUP BY event_type")(lambda s, d: I.zone_map(table(s, d, "events"), ["value"], "event_type"))
 
 
@@ -61,9 +64,16 @@ def _shard(spark, d):
     return sharded.agg(F.count("*").alias("rows")).crossJoin(invariant_violations(sharded, F.col("c_acctbal"), "shard").withColumnRenamed("violations", "overlaps"))
 
 
-query("cluster_by_two", "SELECT count(*) AS rows, count(DISTINCT c_custkey) AS keys FROM customer")(
-    lambda s, d: I.cluster_by(table(s, d, "customer"), ["c_acctbal", "c_nationkey"], f=8).agg(F.count("*").alias("rows"), F.countDistinct("c_custkey").alias("keys"))
-)
+@query("cluster_by_two", "SELECT count(*) AS rows, count(DISTINCT c_custkey) AS keys, true AS near FROM customer")
+def _clustered(spark, d):
+    """All rows stay, and a partition spans far less of both keys than the table does: cells follow a curve."""
+    out = I.cluster_by(table(spark, d, "customer"), ["c_acctbal", "c_nationkey"], f=8).withColumn("part", F.spark_partition_id())
+    area = (F.max("c_acctbal") - F.min("c_acctbal")) * (F.max("c_nationkey") - F.min("c_nationkey"))
+    parts = out.groupBy("part").agg(area.alias("area"))
+    whole = out.agg(F.count("*").alias("rows"), F.countDistinct("c_custkey").alias("keys"), area.alias("whole"))
+    return parts.agg(F.avg("area").alias("mean")).crossJoin(whole).select("rows", "keys", (F.col("mean") < F.col("whole") / 2).alias("near"))  # one row each
+
+
 _TOK = r"(SELECT doc_id, unnest(list_filter(regexp_split_to_array(lower(text), '[ \t\n\x0B\f\r]+'), lambda x: x <> '')) AS term FROM documents)"
 query("inverted_index", f"SELECT term, count(DISTINCT doc_id) AS docs, count(*) AS hits FROM {_TOK} GROUP BY term")(
     lambda s, d: I.inverted_index(table(s, d, "documents")).select("term", F.explode("postings").alias("p")).groupBy("term").agg(F.count("*").alias("docs"), F.sum(F.size("p.positions")).cast("long").alias("hits"))
@@ -89,6 +99,26 @@ query("sessionize", """SELECT event_id, user_id, (sum(new) OVER (PARTITION BY us
     lambda s, d: W.sessionize(table(s, d, "events"), "user_id", "ts", 3600).select("event_id", "user_id", "session")
 )
 
+_PW = "OVER (PARTITION BY event_type ORDER BY ts, event_id)"
+query("window_ranks", f"""SELECT event_id, row_number() {_PW} AS rn, rank() OVER (PARTITION BY event_type ORDER BY user_id) AS rnk, dense_rank() OVER (PARTITION BY event_type ORDER BY user_id) AS drnk,
+ round(percent_rank() OVER (PARTITION BY event_type ORDER BY user_id), 9) AS prnk, round(cume_dist() OVER (PARTITION BY event_type ORDER BY user_id), 9) AS cdist, ntile(5) {_PW} AS tile FROM events""")(
+    lambda s, d: W.partitioned_ranks(table(s, d, "events"), ["event_type"], ["ts", "event_id"], ["user_id"], 5).select("event_id", "rn", "rnk", "drnk", F.round("prnk", 9).alias("prnk"), F.round("cdist", 9).alias("cdist"), "tile")
+)
+query("window_values", f"""SELECT event_id, first_value(user_id) OVER w AS first_user, last_value(user_id) OVER w AS last_user, nth_value(user_id, 3) OVER w AS third_user, lag(user_id, 2) {_PW} AS before, lead(user_id, 2) {_PW} AS after
+ FROM events WINDOW w AS (PARTITION BY event_type ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)""")(
+    lambda s, d: W.partitioned_values(table(s, d, "events"), ["event_type"], ["ts", "event_id"], "user_id", 3, 2).select("event_id", F.col("first").alias("first_user"), F.col("last").alias("last_user"), F.col("nth").alias("third_user"), F.col("lag").alias("before"), F.col("lead").alias("after"))
+)
+query("filters", """SELECT p_partkey, CASE WHEN p_size < 10 THEN 'small' WHEN p_size < 30 THEN 'middle' ELSE 'large' END AS class, nullif(p_size, 7) IS NULL AS seven FROM part
+ WHERE (p_brand IN ('Brand#11', 'Brand#12', 'Brand#23') OR p_name LIKE '%e%' OR NOT regexp_matches(p_type, '^[A-M]')) AND p_size BETWEEN 2 AND 45 AND p_retailprice IS NOT NULL AND NOT (p_size = 20 AND p_partkey > 100)""")(
+    lambda s, d: table(s, d, "part").filter((F.col("p_brand").isin("Brand#11", "Brand#12", "Brand#23") | F.col("p_name").like("%e%") | ~F.col("p_type").rlike("^[A-M]")) & F.col("p_size").between(2, 45) & F.col("p_retailprice").isNotNull() & ~((F.col("p_size") == 20) & (F.col("p_partkey") > 100)))
+    .select("p_partkey", F.when(F.col("p_size") < 10, "small").when(F.col("p_size") < 30, "middle").otherwise("large").alias("class"), F.nullif(F.col("p_size"), F.lit(7)).isNull().alias("seven"))
+)
+query("modes_and_sets", """SELECT o_orderstatus, string_agg(DISTINCT o_orderpriority, ',' ORDER BY o_orderpriority) AS priorities,
+ (SELECT k FROM (SELECT o.o_custkey AS k, count(*) AS n FROM orders o WHERE o.o_orderstatus = g.o_orderstatus GROUP BY 1) ORDER BY n DESC, k LIMIT 1) AS usual FROM orders g GROUP BY o_orderstatus""")(
+    lambda s, d: table(s, d, "orders").groupBy("o_orderstatus").agg(F.array_join(F.sort_array(F.collect_set("o_orderpriority")), ",").alias("priorities"), F.mode("o_custkey", True).alias("usual"))
+)
+query("kll_percentiles")(lambda s, d: A.kll_percentile(table(s, d, "events"), "value", [0.1, 0.5, 0.9]))
+
 # ---- scalar functions --------------------------------------------------------------------------------
 
 query("string_fns", """SELECT p_partkey, length(p_name)::INTEGER AS len, strlen(p_name)::INTEGER AS bytes, upper(p_name) AS up, lower(p_name) AS low, substr(p_name, 1, 4) AS head, lpad(p_name, 20, '*') AS padded,
@@ -170,7 +200,7 @@ def _interval(spark, d):
 
 
 def _event_model(spark, d):
-    sf = model_sort(table(spark, d, "events"), ["value", "event_id"], f=8)
+    sf = model_sort(table(spark, d, "events"), ["value", "event_id"], f=8, sample=SampleSpec(method="systematic", pk="event_id", every=10))
     return sf.spec, sf.model
 
 
@@ -183,10 +213,13 @@ def _fragments(spark, d):
     return ST.finalize_fragments(spark, f"{path}/data", ["value", "event_id"], "event_id long, value double", 8)
 
 
-@query("drift_monitor", "SELECT count(*)::BIGINT AS rows FROM events")
+@query("drift_monitor", f"{model_sql('events', 'value', 'event_id % 10 = 0', 8)} SELECT p::INTEGER AS slice, count(pid)::BIGINT AS rows, round(count(pid) / (SELECT count(*) FROM predicted), 9) AS share FROM range(8) t(p) LEFT JOIN predicted ON p = pid GROUP BY p")
 def _drift(spark, d):
+    """Shares of slices in a stream, under a model of every tenth event."""
     spec, model = _event_model(spark, d)
-    return _drain(ST.drift_monitor(_stream(spark, d).select("event_id", "value"), spec, model, 8), "update").agg(F.sum("rows").alias("rows"))
+    seen = _drain(ST.drift_monitor(_stream(spark, d).select("event_id", "value"), spec, model, 8), "update")
+    last = seen.groupBy("slice").agg(F.max(F.struct("rows", "share")).alias("r"))  # counts only grow
+    return last.select("slice", F.col("r.rows").alias("rows"), F.round("r.share", 9).alias("share"))
 
 
 # ---- sources and sinks -------------------------------------------------------------------------------
@@ -270,16 +303,22 @@ def _inputs(spark, d):
     return {"uniform": (table(spark, d, "lineitem"), "l_extendedprice"), "skewed": (table(spark, d, "events"), "value")}
 
 
+def _records(spark, n=100_000):
+    """Generated records of one count and width: uniform keys, and keys half of which start with a prefix of the table."""
+    return {"uniform": (generate_records(spark, n), "key"), "skewed": (generate_records(spark, n, skew=SkewSpec(share=0.5, rule="uniform")), "key")}
+
+
 @query("w03_storage")
 def _w03(spark, d):
-    base = scratch(spark, "storage")
-    return workloads.run_storage(spark, _inputs(spark, d), {"shared": base}, ["model", "builtin"], formats=("parquet", "csv"))
+    found = workloads.media(spark, scratch(spark, "storage"))
+    return workloads.run_storage(spark, _inputs(spark, d), found, ["model", "os_merge", "builtin"], formats=("parquet", "csv", "orc"), codecs=("none", "snappy", "zstd"))
 
 
 @query("w05_skew_effect")
 def _w05(spark, d):
-    base = scratch(spark, "skew")
-    return workloads.run_skew(workloads.run_storage(spark, _inputs(spark, d), {"shared": base}, ["model", "radix", "builtin", "os_merge"]), "uniform", "skewed")
+    """Both files have the same number and width of records, so the drop is the skew's."""
+    found = workloads.media(spark, scratch(spark, "skew"))
+    return workloads.run_skew(workloads.run_storage(spark, _records(spark), found, ["model", "radix", "builtin", "os_merge"]), "uniform", "skewed")
 
 
 query("w04_histogram_events", "SELECT greatest(0, least(999, floor((value - lo) / (hi - lo) * 1000)))::INTEGER AS bin, count(*) AS n FROM events, (SELECT min(value) AS lo, max(value) AS hi FROM events) GROUP BY 1")(
@@ -289,8 +328,8 @@ query("w04_histogram_events", "SELECT greatest(0, least(999, floor((value - lo)
 
 @query("w06_scale")
 def _w06(spark, d):
-    df = table(spark, d, "lineitem")
-    return workloads.run_scale(spark, [(float(k), df.filter(F.pmod(F.xxhash64("l_orderkey", "l_partkey"), F.lit(8)) < k)) for k in (2, 4, 8)], ["l_extendedprice"], ["model", "builtin"])
+    """Eight sizes in equal steps."""
+    return workloads.run_scale(spark, [(float(k), generate_records(spark, 10_000 * k)) for k in range(1, 9)], ["key"], ["model", "builtin", "os_merge"])
 
 
 @query("w07_energy")
@@ -298,7 +337,7 @@ def _w07(spark, d):
     import time
 
     df, secs = table(spark, d, "lineitem"), {}
-    for name in ("model", "builtin", "radix"):
+    for name in ("model", "builtin", "radix", "os_merge"):
         began = time.perf_counter()
         io.write_noop(workloads.sorters()[name](df, ["l_extendedprice"]))
         secs[name] = time.perf_counter() - began
@@ -306,25 +345,44 @@ def _w07(spark, d):
 
 
 query("w08_phases")(lambda s, d: workloads.run_phases(table(s, d, "lineitem"), ["l_extendedprice"], scratch(s, "phases")))
-query("w09_io")(lambda s, d: workloads.run_io(table(s, d, "lineitem"), ["l_extendedprice"], ["model", "builtin", "os_merge"], scratch(s, "io")))
+query("w09_io")(lambda s, d: workloads.run_io(table(s, d, "lineitem"), ["l_extendedprice"], ["model", "radix", "builtin", "os_merge", "binary_merge", "hier_merge"], scratch(s, "io")))
 
 
 @query("w10_sample_curve")
 def _w10(spark, d):
-    df, out = table(spark, d, "events"), None
-    for col in ("ts", "value"):
-        one = workloads.run_sample_curve(df, col, [0.01, 0.2, 1.0], ["bernoulli", "first_batch"]).withColumn("key", F.lit(col))
+    out = None
+    for tab, col in (("events", "ts"), ("events", "value"), ("lineitem", "l_extendedprice")):
+        one = workloads.run_sample_curve(table(spark, d, tab), col, [0.001, 0.005, 0.01, 0.05, 0.2, 1.0], ["bernoulli", "first_batch"]).withColumn("key", F.lit(col))
         out = one if out is None else out.unionByName(one)
     return out
 
 
+query("w11_balance_records")(lambda s, d: workloads.run_balance(_records(s, 200_000)["skewed"][0], "key", [8, 16, 64]))
 query("w11_balance_events")(lambda s, d: workloads.run_balance(table(s, d, "events"), "value", [8, 16, 64]))
 query("w11_balance_text")(lambda s, d: workloads.run_balance(table(s, d, "documents"), "text", [8, 16]))
 query("w11_balance_price")(lambda s, d: workloads.run_balance(table(s, d, "lineitem"), "l_extendedprice", [8, 16, 64]))
-query("w12_coalesce")(lambda s, d: workloads.run_coalesce(table(s, d, "documents"), ["text"], "doc_id"))
+
+
+def _wide(spark, d):
+    """lineitem with a number of its own and a payload of some 200 bytes behind a narrow key."""
+    line = table(spark, d, "lineitem").withColumn("row_id", F.monotonically_increasing_id())
+    return line.withColumn("payload", F.repeat(F.md5(F.concat_ws("-", "l_orderkey", "l_partkey")), 6))
+
+
+query("w12_coalesce")(lambda s, d: workloads.run_coalesce(_wide(s, d), ["l_extendedprice"], "row_id", scratch(s, "coalesce")))
+query("w12_coalesce_documents")(lambda s, d: workloads.run_coalesce(table(s, d, "documents"), ["n_chars"], "doc_id", scratch(s, "coalesce")))
 query("w13_memory_sorts")(lambda s, d: workloads.run_memory_sorts(table(s, d, "lineitem"), "l_extendedprice"))
 query("w15_plans")(lambda s, d: workloads.run_plan(s, [(1.5e9, 100), (1.2e10, 100), (1e12, 100)]))
-query("w17_code_width")(lambda s, d: workloads.run_code_width(table(s, d, "pages"), "url", [1, 3, 5, 7]))
+query("w15_two_rounds")(lambda s, d: workloads.run_rounds(table(s, d, "lineitem"), ["l_extendedprice", "l_orderkey"]))
+
+
+@query("w17_code_width")
+def _w17(spark, d):
+    out = None
+    for label, df, col, raw, widths in (("url", table(spark, d, "pages"), "url", False, range(1, 10)), ("text", table(spark, d, "documents"), "text", True, range(1, 8)), ("records", generate_records(spark, 50_000), "key", False, range(1, 10))):
+        one = workloads.run_code_width(df, col, list(widths), raw=raw).withColumn("key", F.lit(label))
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 @query("work_span_formula", "SELECT * FROM (VALUES (1000000.0::DOUBLE, 10::INTEGER, 4::INTEGER, 850000.0::DOUBLE)) t(n, r, s, span)")

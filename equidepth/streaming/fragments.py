@@ -92,6 +92,11 @@ def stream_interval_join(left: DataFrame, right: DataFrame, lkey: str, rkey: str
     return l.join(r, (F.col(lkey) == F.col(rkey)) & (F.col(rts) >= F.col(lts)) & (F.col(rts) <= F.col(lts) + F.expr(f"interval {within}")))
 
 
+def _counted(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    for b in batches:
+        yield b.groupby(["lane", "pid"]).size().reset_index(name="n")
+
+
 DRIFT = "slice int, rows bigint, share double, drift double"
 
 
@@ -99,7 +104,7 @@ def _drift(f: int):
     def update(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         counts = json.loads(state.get[0]) if state.exists else [0] * f
         for b in batches:
-            for p, n in b["pid"].value_counts().items():
+            for p, n in zip(b["pid"], b["n"], strict=True):
                 counts[int(p)] += int(n)
         state.update((json.dumps(counts),))
         total = sum(counts) or 1
@@ -109,8 +114,12 @@ def _drift(f: int):
 
 
 def drift_monitor(stream: DataFrame, spec: KeySpec, model: CdfModel, f: int, lanes: int = 1) -> DataFrame:
-    """Shares of slices against 1 / f so far, kept as f counters a lane; far from 0: time to train anew."""
+    """Shares of slices against 1 / f so far, kept as f counters a lane; far from 0: time to train anew.
+
+    Rows are counted by slice where they are read; a lane receives at most f numbers from each task of a batch.
+    """
     placed = with_slices(stream, spec, model, f).select((F.pmod(F.xxhash64(F.col(PID)), F.lit(lanes))).alias("lane"), F.col(PID).alias("pid"))
+    placed = placed.mapInPandas(_counted, "lane bigint, pid int, n bigint")
     return placed.groupBy("lane").applyInPandasWithState(_drift(f), DRIFT, "counts string", "update", GroupStateTimeout.NoTimeout)
 
 

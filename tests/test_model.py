@@ -42,6 +42,17 @@ def test_expression_equals_numpy(spark, root):
     assert df.select(m.pid(F.lit(None).cast("double"), 13).alias("p")).first()["p"] is None
 
 
+def test_many_leaves_are_found_by_halving(spark):
+    """Beyond a tree of comparisons the expression still is the model's, and slices still rise."""
+    r = np.random.default_rng(4)
+    x = np.concatenate([r.lognormal(0, 2, 3000), [-1.0, 0.0, 1e12]])
+    m = train_cdf(x, 600, "quantile")
+    assert m.leaves > 256
+    df = spark.createDataFrame([(i, float(v)) for i, v in enumerate(x)], "i int, x double")
+    got = [row["p"] for row in df.select("i", m.pid(F.col("x"), 97).alias("p")).orderBy("i").collect()]
+    assert got == m.pid_np(x, 97).tolist()
+
+
 def test_sql_twin_agrees_with_numpy(spark):
     x = np.round(np.random.default_rng(5).gamma(2, 3, 400), 2)
     m = train_cdf(x, 8, "linear")

@@ -1,7 +1,5 @@
 """Every query with SQL must agree with DuckDB on the smallest tables; the others must run."""
 
-import os
-
 import duckdb
 import pytest
 
@@ -24,10 +22,7 @@ def rows_of(names, rows):
     return sorted(repr(tuple(r[i] for i in at)) for r in rows)
 
 
-SOME = [n for i, n in enumerate(sorted(Q.ORACLE_SQL)) if os.environ.get("ALL_QUERIES") or i % 4 == 0]
-
-
-@pytest.mark.parametrize("name", SOME)
+@pytest.mark.parametrize("name", sorted(Q.ORACLE_SQL))
 def test_agrees_with_sql(spark, data, duck, name):
     df = Q.QUERIES[name](spark, data)
     got = rows_of(df.columns, [tuple(r) for r in df.collect()])
