@@ -80,18 +80,31 @@ def op7_query(spark, sf_dir: str) -> DataFrame:
     return drop_boilerplate(docs, "source").select("doc_id", "source", "text", "n_lines", "n_dropped")
 
 
-OP7_SQL = r"""
-WITH lines AS (
-  SELECT rid, doc_id, source, pos, line, trim(line, ' ') AS bare FROM (
-    SELECT rid, doc_id, source, unnest(string_split(text, chr(10))) AS line, unnest(range(len(string_split(text, chr(10))))) AS pos
-    FROM (SELECT row_number() OVER () AS rid, * FROM documents))),
-pages AS (SELECT source, count(*) AS pages FROM documents GROUP BY source),
+def pages_query(spark, sf_dir: str) -> DataFrame:
+    """Every page's source text without the lines that its host repeats, the host taken from the URL."""
+    pages = spark.read.parquet(f"{sf_dir}/pages.parquet").select("page_id", host_of(F.col("url")).alias("host"), F.col("html").alias("text"))
+    return drop_boilerplate(pages, "host").select("page_id", "host", "text", "n_lines", "n_dropped")
+
+
+def _sql(rows: str, key: str, host: str) -> str:
+    """The same over rows (a table or subquery with key, host and text)."""
+    return rf"""
+WITH held AS (SELECT row_number() OVER () AS rid, * FROM {rows}),
+lines AS (
+  SELECT rid, {key}, {host}, pos, line, trim(line, ' ') AS bare FROM (
+    SELECT rid, {key}, {host}, unnest(string_split(text, chr(10))) AS line, unnest(range(len(string_split(text, chr(10))))) AS pos FROM held)),
+pages AS (SELECT {host}, count(*) AS pages FROM held GROUP BY {host}),
 common AS (
-  SELECT l.source, l.bare FROM (SELECT source, bare, count(DISTINCT rid) AS n FROM lines WHERE bare <> '' GROUP BY ALL) l
-  JOIN pages p ON l.source IS NOT DISTINCT FROM p.source WHERE l.n >= 5 AND l.n > 0.07::DOUBLE * p.pages),
-marked AS (SELECT l.*, c.bare IS NOT NULL AS bad FROM lines l LEFT JOIN common c ON l.source IS NOT DISTINCT FROM c.source AND l.bare = c.bare)
-SELECT doc_id, source, coalesce(string_agg(line, chr(10) ORDER BY pos) FILTER (NOT bad), '') AS text,
+  SELECT l.{host}, l.bare FROM (SELECT {host}, bare, count(DISTINCT rid) AS n FROM lines WHERE bare <> '' GROUP BY ALL) l
+  JOIN pages p ON l.{host} IS NOT DISTINCT FROM p.{host} WHERE l.n >= 5 AND l.n > 0.07::DOUBLE * p.pages),
+marked AS (SELECT l.*, c.bare IS NOT NULL AS bad FROM lines l LEFT JOIN common c ON l.{host} IS NOT DISTINCT FROM c.{host} AND l.bare = c.bare)
+SELECT {key}, {host}, coalesce(string_agg(line, chr(10) ORDER BY pos) FILTER (NOT bad), '') AS text,
        count(*)::INTEGER AS n_lines, count(*) FILTER (bad)::INTEGER AS n_dropped
-FROM marked GROUP BY rid, doc_id, source
-UNION ALL SELECT doc_id, source, NULL, 0, 0 FROM documents WHERE text IS NULL
+FROM marked GROUP BY rid, {key}, {host}
+UNION ALL SELECT {key}, {host}, NULL, 0, 0 FROM held WHERE text IS NULL
 """
+
+
+OP7_SQL = _sql("documents", "doc_id", "source")
+_HOST = "nullif(regexp_extract(lower(url), '^[a-z][a-z0-9+.-]*://(?:[^/@]*@)?([^/:?#]+)', 1), '')"
+PAGES_SQL = _sql(f"(SELECT page_id, {_HOST} AS host, html AS text FROM pages) q", "page_id", "host")

@@ -15,8 +15,8 @@ shared again by weight. That fixed point is min(most * size, level * weight), an
 from one pass over the sources in order of size / weight.
 
 Scale: a source is cut into lanes by a digest of id and text before any window, the more lanes the more rows there are, so a
-source or an id with a third of all rows is spread; the only window over everything runs over one row for each
-source. Slots of a source are made in runs of 65,536 dealt over the cluster.
+source or an id with a third of all rows is spread; windows over everything run over one row for each source and,
+beyond 200,000 sources, give way to slices. Slots of a source are made in runs of 65,536 dealt over the cluster.
 
 Nulls: a null text has size 0; null sources form one source, the last; null ids are packed by their texts' digests. Documents of size
 0 keep their row and take nothing. Very long texts span many blocks. Ties in the packing go by digest, id and size; rows alike in all
@@ -30,6 +30,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..plans.extsort import PID, model_sort
 from .shared import materialize, shield, text_or_empty
 
 WORD_RUN = r"[^\x20\x09-\x0D]+"
@@ -58,21 +59,38 @@ def _source_key(col: str) -> Column:
     return F.coalesce(F.concat(F.lit("1"), F.col(col)), F.lit("2"))
 
 
-def source_targets(sized: DataFrame, weights=(5, 2, 1), multiple: float = 1.5, most: float = 2.0) -> DataFrame:
-    """(src, source_size, target) of each source of a frame with columns src and size."""
-    totals = sized.groupBy("src").agg(F.sum("size").alias("source_size"))
-    order = Window.orderBy("src")  # one row for each source
-    turn = F.pmod(F.row_number().over(order) - 1, F.lit(len(weights)))
-    weighed = totals.withColumn("w", F.element_at(F.array(*[F.lit(float(w)) for w in weights]), turn + 1))
+def source_targets(sized: DataFrame, weights=(5, 2, 1), multiple: float = 1.5, most: float = 2.0, one_task: int = 200_000) -> DataFrame:
+    """(src, source_size, target) of each source of a frame with columns src and size.
+
+    Up to `one_task` sources (counted) their order and running sums are windows over one row for each; more are sliced and summed
+    slice by slice.
+    """
+    totals = materialize(sized.groupBy("src").agg(F.sum("size").alias("source_size")), "mix-sources")
+    few = totals.count() <= one_task
+    placed = totals.withColumn("rn", F.row_number().over(Window.orderBy("src"))) if few else model_sort(totals, ["src"]).with_rn()
+    turn = F.pmod(F.col("rn").cast("int") - 1, F.lit(len(weights)))
+    weighed = placed.withColumn("w", F.element_at(F.array(*[F.lit(float(w)) for w in weights]), turn + 1)).drop("rn")
     weighed = weighed.withColumns({"bound": F.lit(most) * F.col("source_size"), "ratio": F.lit(most) * F.col("source_size") / F.col("w")})
-    rising = Window.orderBy("ratio", "src")
-    before = rising.rowsBetween(Window.unboundedPreceding, -1)
-    level = (
-        F.lit(multiple) * F.sum("source_size").over(Window.partitionBy()) - F.coalesce(F.sum("bound").over(before), F.lit(0.0))
-    ) / (F.sum("w").over(Window.partitionBy()) - F.coalesce(F.sum("w").over(before), F.lit(0.0)))
-    tried = weighed.withColumn("level", level)
-    first = F.min(F.when(F.col("level") <= F.col("ratio"), F.struct("ratio", "src", "level"))).over(Window.partitionBy())["level"]
-    return tried.withColumn("target", F.least("bound", F.col("w") * F.coalesce(first, F.lit(0.0)))).select("src", "source_size", "target")
+    weighed = weighed if few else materialize(weighed, "mix-weighed")
+    all_size, all_w = weighed.agg(F.coalesce(F.sum("source_size"), F.lit(0)), F.sum("w")).first()
+    if few:
+        before = Window.orderBy("ratio", "src").rowsBetween(Window.unboundedPreceding, -1)
+        start = rows = None
+    else:
+        slices = model_sort(weighed, ["ratio", "src"])
+        before = slices.window().rowsBetween(Window.unboundedPreceding, -1)
+        sums = {r[0]: (r[1], r[2]) for r in slices.sliced.groupBy(PID).agg(F.sum("bound"), F.sum("w")).collect()}  # a row for each slice
+        held, starts = (0.0, 0.0), []
+        for p in range(slices.f):
+            starts.append((p, *held))
+            held = tuple(x + y for x, y in zip(held, sums.get(p, (0.0, 0.0)), strict=True))
+        start = F.broadcast(totals.sparkSession.createDataFrame(starts, f"{PID} int, _b double, _w double"))
+        rows = slices.exchanged
+    b, w = (F.coalesce(F.sum(c).over(before), F.lit(0.0)) for c in ("bound", "w"))
+    tried = weighed.withColumns({"_sb": b, "_sw": w}) if few else rows.withColumns({"_sb": b, "_sw": w}).join(start, PID).withColumns({"_sb": F.col("_sb") + F.col("_b"), "_sw": F.col("_sw") + F.col("_w")})
+    tried = tried.withColumn("level", (F.lit(multiple) * F.lit(all_size) - F.col("_sb")) / (F.lit(all_w) - F.col("_sw")))
+    first = tried.filter(F.col("level") <= F.col("ratio")).agg(F.min(F.struct("ratio", "src", "level"))["level"]).first()[0]
+    return weighed.withColumn("target", F.least("bound", F.col("w") * F.lit(first or 0.0))).select("src", "source_size", "target")
 
 
 def pack(sized: DataFrame, lanes: int) -> DataFrame:

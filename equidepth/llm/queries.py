@@ -15,9 +15,11 @@ QUERIES = {
     "op8_token_cache": token_counts.op8_query,
     "op9_bottom_k": bottomk.op9_query,
     "op10_toxicity": toxicity.op10_query,
+    "line_dedup_pages": line_dedup.pages_query,
 }
 
 ORACLE_SQL = {
     "op5_source_mix": mixing.OP5_SQL,
     "op7_line_dedup": line_dedup.OP7_SQL,
+    "line_dedup_pages": line_dedup.PAGES_SQL,
 }
