@@ -358,7 +358,7 @@ def test_joins_by_postings_equal_pairs_one_by_one():
     for g in range(6):
         base = np.sort(r.choice(5000, 80, replace=False)).astype(np.uint64)
         for _ in range(5):
-            own = np.unique(np.concatenate([r.choice(base, 74, replace=False), r.choice(5000, 4).astype(np.uint64)]))
+            own = np.unique(np.concatenate([r.choice(base, 77, replace=False), r.choice(5000, 2).astype(np.uint64)]))
             bags.append((own, r.integers(1, 3, len(own)).astype(float) if g % 2 else np.ones(len(own))))
     names = [bytes([i]) for i in range(len(bags))]
 
@@ -394,6 +394,17 @@ def test_mix_reaches_targets_and_reruns_agree(spark, data):
     assert sum(t for _, t in groups) == pytest.approx(1.5 * total)
 
 
+def test_targets_of_many_sources_by_slices(spark):
+    """What slices give for more sources than one task should hold is what windows give."""
+    from pyspark.sql import functions as F
+
+    df = spark.range(5000).select(F.concat(F.lit("1s"), (F.col("id") % 700).cast("string")).alias("src"), (F.col("id") * 37 % 1013).alias("size"))
+    one, many = ({r["src"]: (r["source_size"], r["target"]) for r in mixing.source_targets(df, one_task=n).collect()} for n in (1000, 10))
+    assert one.keys() == many.keys() and all(one[k][0] == many[k][0] and one[k][1] == pytest.approx(many[k][1]) for k in one)
+    total = sum(s for s, _ in one.values())
+    assert sum(t for _, t in one.values()) == pytest.approx(1.5 * total) and all(t <= 2 * s for s, t in one.values())
+
+
 def test_block_permutation_is_one(spark):
     from pyspark.sql import functions as F
 
