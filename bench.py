@@ -30,11 +30,7 @@ MERGES = ("os_merge", "hier_merge")
 
 def seconds(fn, runs: int) -> float:
     fn()
-    took = []
-    for _ in range(runs):
-        began = time.perf_counter()
-        fn()
-        took.append(time.perf_counter() - began)
+    took = metrics.repeat(fn, runs)
     return sum(took) / len(took)
 
 

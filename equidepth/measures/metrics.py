@@ -174,13 +174,16 @@ class PhaseTimer:
     def phase(self, name: str):
         sc = self.spark.sparkContext
         group = f"equidepth-{name}-{time.time_ns()}"
+        last = _last_execution(self.spark)
         sc.setJobGroup(group, name)
         began = time.perf_counter()
         try:
             yield
         finally:
             self.seconds[name] = self.seconds.get(name, 0.0) + time.perf_counter() - began
-            for k, v in group_counters(self.spark, group).items():
+            found = group_counters(self.spark, group)
+            found["scanTime"] = scan_millis(self.spark, last)
+            for k, v in found.items():
                 own = self.counters.setdefault(name, {})
                 own[k] = own.get(k, 0) + v
             sc.setLocalProperty("spark.jobGroup.id", None)
@@ -213,12 +216,34 @@ def group_counters(spark: SparkSession, group: str) -> dict[str, int]:
     return out
 
 
+def _last_execution(spark: SparkSession) -> int:
+    runs = spark._jsparkSession.sharedState().statusStore().executionsList()
+    return runs.last().executionId() if runs.size() else -1
+
+
+def scan_millis(spark: SparkSession, after: int) -> int:
+    """Milliseconds that scans took in the SQL executions after a given one, summed over tasks."""
+    store, total = spark._jsparkSession.sharedState().statusStore(), 0.0
+    runs = store.executionsList()
+    for i in range(runs.size()):
+        run = runs.apply(i)
+        if run.executionId() <= after:
+            continue
+        values = store.executionMetrics(run.executionId())
+        for j in range(run.metrics().size()):
+            m = run.metrics().apply(j)
+            if m.name() == "scan time" and values.contains(m.accumulatorId()):
+                told = values.apply(m.accumulatorId()).split("\n")[-1].split(" (")[0].split()
+                total += float(told[0].replace(",", "")) * {"ms": 1, "s": 1e3, "m": 6e4, "min": 6e4, "h": 3.6e6}.get(told[1], 1) if len(told) > 1 else 0
+    return int(total)
+
+
 def io_bytes(counters: dict[str, int]) -> int:
     """Everything read and written: input, output, shuffle both ways, spill."""
     return sum(counters.get(k, 0) for k in ("inputBytes", "outputBytes", "shuffleReadBytes", "shuffleWriteBytes", "diskBytesSpilled"))
 
 
 def io_time_share(counters: dict[str, int]) -> float:
-    """Part of task time spent on waiting for and writing shuffle data."""
+    """Part of task time spent on scans, on waiting for shuffle data and on writing it."""
     run = counters.get("executorRunTime", 0) * 1e6
-    return (counters.get("shuffleWriteTime", 0) + counters.get("shuffleFetchWaitTime", 0) * 1e6) / run if run else 0.0
+    return (counters.get("shuffleWriteTime", 0) + (counters.get("shuffleFetchWaitTime", 0) + counters.get("scanTime", 0)) * 1e6) / run if run else 0.0

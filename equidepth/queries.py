@@ -114,6 +114,7 @@ query("sort_two_rounds", sort_sql("lineitem", LINEITEM, rest(LINEITEM, "l_extend
 query("sort_event_type_five_keys", sort_sql("events", EVENTS, ["event_type", "event_id"]))(lambda s, d: model_sort(table(s, d, "events"), ["event_type", "event_id"], f=16, split_ties=True).with_rn())
 query("sort_recursive_root", sort_sql("events", EVENTS, _EV))(lambda s, d: model_sort(table(s, d, "events"), _EV, f=16, root="recursive").with_rn())
 query("sort_first_batch_sample", sort_sql("events", EVENTS, ["ts", "event_id"]))(lambda s, d: model_sort(table(s, d, "events"), ["ts", "event_id"], f=16, sample=SampleSpec(method="first_batch", batch_rows=1000)).with_rn())
+query("sort_files_sample", sort_sql("events", EVENTS, ["ts", "event_id"]))(lambda s, d: model_sort(table(s, d, "events"), ["ts", "event_id"], f=16, sample=SampleSpec(method="files")).with_rn())
 query("sort_late_payload", sort_sql("orders", ORDERS, ["o_totalprice", "o_orderkey"]))(lambda s, d: sort_late_payload(table(s, d, "orders"), ["o_totalprice", "o_orderkey"], "o_orderkey", f=16))
 query("sort_url_refined", sort_sql("pages", ["page_id", "url"], ["url", "page_id"]))(lambda s, d: model_sort(table(s, d, "pages").select("page_id", "url"), ["url", "page_id"], f=8, refine=True).with_rn())
 query("sort_split_ties", sort_sql("events", EVENTS, ["event_type", "-value", "event_id"]))(lambda s, d: model_sort(table(s, d, "events"), ["event_type", "-value", "event_id"], f=16, split_ties=True).with_rn())
@@ -430,7 +431,18 @@ def _fragments(spark, d):
     return fragment_matrix(sf.sliced, F.col(PID)).groupBy("pid").agg(F.sum("rows").alias("rows"))
 
 
-query("concurrent_slices", "SELECT * FROM (VALUES ('prefix', 3), ('any_window', 1)) t(mode, s)")(lambda s, d: s.createDataFrame([(m, concurrent_slices([4, 3, 2, 9, 8, 1], 10, m)) for m in ("prefix", "any_window")], "mode string, s int"))
+
+
+@query("concurrent_slices", f"""{_EVENT_MODEL}, n AS (SELECT p::INTEGER AS pid, count(pid) AS rows FROM range(16) t(p) LEFT JOIN predicted ON p = pid GROUP BY p), memory AS (SELECT (SELECT count(*) FROM events) // 3 AS m)
+SELECT 'prefix' AS mode, greatest(1, count(*))::INTEGER AS s FROM (SELECT sum(rows) OVER (ORDER BY pid) AS held FROM n), memory WHERE held <= m
+UNION ALL SELECT 'any_window', greatest(1, coalesce(max(k), 1))::INTEGER FROM (SELECT k, max(total) AS most FROM (SELECT k, a.pid, sum(b.rows) AS total FROM range(1, 17) t(k), n a, n b WHERE a.pid + k <= 16 AND b.pid BETWEEN a.pid AND a.pid + k - 1 GROUP BY ALL) GROUP BY k), memory WHERE most <= m""")
+def _concurrent(spark, d):
+    """How many consecutive slices of the model fit into a third of all rows together."""
+    df = table(spark, d, "events").select("event_id", "value")
+    sizes = model_sort(df, ["value"], f=16, sample=_TENTH).sizes
+    return spark.createDataFrame([(m, concurrent_slices(sizes, sum(sizes) // 3, m)) for m in ("prefix", "any_window")], "mode string, s int")
+
+
 query("makespan_plan", "SELECT * FROM (VALUES ('largest_first', 12), ('given', 15)) t(policy, finish)")(lambda s, d: s.createDataFrame([(p, makespan([3, 3, 3, 6, 9], 2, p)) for p in ("largest_first", "given")], "policy string, finish int"))
 query("plan_slices_100tb")(lambda s, d: workloads.run_plan(s, [(6e5, 100), (1e10, 100), (1e12, 100)]))
 

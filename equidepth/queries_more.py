@@ -303,7 +303,7 @@ def _inputs(spark, d):
     return {"uniform": (table(spark, d, "lineitem"), "l_extendedprice"), "skewed": (table(spark, d, "events"), "value")}
 
 
-def _records(spark, n=100_000):
+def _records(spark, n=50_000):
     """Generated records of one count and width: uniform keys, and keys half of which start with a prefix of the table."""
     return {"uniform": (generate_records(spark, n), "key"), "skewed": (generate_records(spark, n, skew=SkewSpec(share=0.5, rule="uniform")), "key")}
 
@@ -329,7 +329,7 @@ query("w04_histogram_events", "SELECT greatest(0, least(999, floor((value - lo)
 @query("w06_scale")
 def _w06(spark, d):
     """Eight sizes in equal steps."""
-    return workloads.run_scale(spark, [(float(k), generate_records(spark, 10_000 * k)) for k in range(1, 9)], ["key"], ["model", "builtin", "os_merge"])
+    return workloads.run_scale(spark, [(float(k), generate_records(spark, 5_000 * k)) for k in range(1, 9)], ["key"], ["model", "builtin", "os_merge"])
 
 
 @query("w07_energy")

@@ -20,7 +20,7 @@ def test_uniform_records_fill_bins_evenly_and_skewed_ones_do_not(spark, data):
 
 
 def test_deviation_of_the_published_file_by_calibrated_share(spark):
-    share = calibrate_share(spark, 100_000, 65.65, rule="uniform")
+    share = calibrate_share(spark, 50_000, 65.65, rule="uniform")
     assert 0.0 < share < 1.0
 
 
@@ -35,7 +35,7 @@ def test_skew_is_measured_on_like_files(spark, data):
     got = rows(spark, data, "w05_skew_effect")
     assert {r["sorter"] for r in got} == {"model", "radix", "builtin", "os_merge"} and all(r["uniform"] > 0 and r["skewed"] > 0 for r in got)
     files = Q._records(spark)
-    sizes = [f.agg(F.count("*"), F.sum(F.length("key") + F.length("payload"))).first() for f in files.values()]
+    sizes = [f.agg(F.count("*"), F.sum(F.length("key") + F.length("payload"))).first() for f, _ in files.values()]
     assert sizes[0] == sizes[1]
 
 
@@ -111,8 +111,9 @@ def test_plans_and_rounds(spark, data):
 def test_touch_up_work_falls_with_width(spark, data):
     got = rows(spark, data, "w17_code_width")
     for key, widest in (("url", 9), ("text", 7), ("records", 9)):
-        own = {r["width"]: r["moved"] for r in got if r["key"] == key}
-        assert sorted(own) == list(range(1, widest + 1)) and own[1] >= own[widest] and all(own[w] >= own[w + 1] for w in range(1, widest))
+        own = {r["width"]: r for r in got if r["key"] == key}
+        assert sorted(own) == list(range(1, widest + 1)) and own[1]["moved"] >= own[widest]["moved"]
+        assert all(own[w + 1]["mean_displacement"] <= 1.1 * own[w]["mean_displacement"] for w in range(1, widest))
 
 
 def test_skewed_records_sort_whole(spark):
