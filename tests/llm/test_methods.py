@@ -312,7 +312,8 @@ def test_text_near_one_variant_that_is_not_the_hub(spark):
     assert {d: got[d] for d in tails} == tails and set(got.values()) == set(tails.values())
 
 
-def test_groups_in_one_bucket_and_chains(spark):
+@pytest.mark.parametrize("block", [16, 512])
+def test_groups_in_one_bucket_and_chains(spark, monkeypatch, block):
     """Two large groups of variants of which one's hub is foreign to the other, and a chain whose ends are far apart: every class whole, few links."""
     r = np.random.default_rng(3)
 
@@ -322,6 +323,7 @@ def test_groups_in_one_bucket_and_chains(spark):
             out[k] = f"{tag}{k}"
         return out
 
+    monkeypatch.setattr(probminhash, "BLOCK", block)
     base = [f"w{i}" for i in range(300)]
     other = base[:200] + [f"o{i}" for i in range(100)]  # half of its shingles' weight and more lies in the first group
     rows = [(k, " ".join(edited(base, 0.01, f"a{k}_"))) for k in range(200)] + [(1000 + k, " ".join(edited(other, 0.01, f"b{k}_"))) for k in range(200)]
@@ -350,6 +352,21 @@ def test_groups_in_one_bucket_and_chains(spark):
     assert joins.count() < 28 * len(rows)
 
 
+def test_components_either_way(spark):
+    """Paths, stars and cycles: the least name of each component, by broadcast and from checkpoints."""
+    r = np.random.default_rng(6)
+    edges = [(i, i + 1) for i in range(40)] + [(100, 100 + i) for i in range(1, 60)] + [(300 + i, 300 + (i + 1) % 15) for i in range(15)] + [(400 + a, 400 + b) for a, b in r.integers(0, 60, (45, 2))]
+    label = {x: x for e in edges for x in e}
+    for _ in label:
+        for a, b in edges:
+            label[a] = label[b] = min(label[a], label[b])
+    df = spark.createDataFrame([(a.to_bytes(2, "big"), b.to_bytes(2, "big")) for a, b in (map(int, e) for e in edges)], "a binary, b binary")
+    for few in (0, 100_000):
+        got = {int.from_bytes(x["uid"], "big"): int.from_bytes(x["root"], "big") for x in probminhash.components(df, few).collect()}
+        assert got == {x: m for x, m in label.items() if m != x}
+    assert probminhash.components(df.limit(0)).count() == 0
+
+
 def test_joins_by_postings_equal_pairs_one_by_one():
     """The block comparison gives the same components as comparing every pair, with weights too."""
     r = np.random.default_rng(8)
