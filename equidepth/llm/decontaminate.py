@@ -16,7 +16,7 @@ blocks. without_leaks tells each row by itself while it is scanned: no join, no
 
 Nulls: null and empty texts and items match nothing; items without an id are left out. Items of fewer words than a shingle match
 only a document of the same few words. Very long texts are searched whole, a span of windows at a time. Ties: of equally similar
-windows the one nearest in bits counts, then the first. Repeated rows each report; repeated items count once. Columns cannot clash:
+windows the first span's counts, in a span the one nearest in bits, then the first. Repeated rows each report; repeated items count once. Columns cannot clash:
 find_leaks reads key and text alone, without_leaks renames the input's columns while it works. Empty tables give empty results.
 """
 
