@@ -321,21 +321,30 @@ def _in_blocks(spokes: DataFrame, roots: DataFrame, bags: DataFrame, spec: NearS
     return sorted_cells.mapInArrow(lambda it: _block_links(it, spec), "a binary, b binary, a_root binary, b_root binary")
 
 
-def components(links: DataFrame) -> DataFrame:
-    """(uid, root): the least uid of each linked uid's component, by large-star and small-star steps."""
+def components(links: DataFrame, few: int = 100_000) -> DataFrame:
+    """(uid, root): the least uid of each linked uid's component, by large-star and small-star steps.
+
+    Each node's least neighbour meets its edges by broadcast where there are at most `few` edges (counted), else from a checkpoint,
+    so that both sides of the join can be split where a node has many edges.
+    """
     edges = links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).filter("u <> v").distinct().checkpoint()
-    before = None
-    while True:
+    n, before = edges.count(), None
+
+    def meet(rows: DataFrame, lows: DataFrame) -> DataFrame:
+        return rows.join(F.broadcast(lows) if n <= few else lows.checkpoint(), "u")  # at most two rows for each of n edges
+
+    while n:
         both = edges.select("u", "v").union(edges.select(F.col("v"), F.col("u")))
         lows = both.groupBy("u").agg(F.min("v").alias("m")).withColumn("m", F.least("m", "u"))
-        large = both.join(lows, "u").filter(F.col("v") > F.col("u")).select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v").distinct()
+        large = meet(both, lows).filter(F.col("v") > F.col("u")).select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v").distinct()
         low = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = large.join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v").union(low.select("u", F.col("m").alias("v"))).distinct()
+        small = meet(large, low).select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v").union(low.select("u", F.col("m").alias("v"))).distinct()
         edges = small.checkpoint()
         now = edges.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")), F.bit_xor(F.xxhash64("v", "u"))).first()
         if now == before:  # the same edges twice: stars
-            return edges.select(F.col("u").alias("uid"), F.col("v").alias("root"))
-        before = now
+            break
+        before, n = now, now[0]
+    return edges.select(F.col("u").alias("uid"), F.col("v").alias("root"))
 
 
 def near_roots(docs: DataFrame, spec: NearSpec = NearSpec(), text: str = "text") -> DataFrame:
