@@ -25,7 +25,6 @@ HEADLINE = [
     "sort_lineitem_price", "sort_events_value", "sort_documents_text", "sort_orders_multi", "global_cume_dist", "global_ntile", "top_k_price", "exact_percentiles",
     "merge_join_lineitem", "builtin_merge_join", "range_join", "asof_join", "group_by_orderkey", "pricing_summary", "distinct_pairs", "dedup_keep_first", "model_intersect", "inverted_index", "lookup_keys",
 ]
-MERGES = ("os_merge", "hier_merge")
 
 
 def seconds(fn, runs: int) -> float:
@@ -34,7 +33,7 @@ def seconds(fn, runs: int) -> float:
     return sum(took) / len(took)
 
 
-def written(spark, base: str, label: str, df, by: list[str], runs: int) -> dict:
+def written(spark, base: str, label: str, df, by: list[str], runs: int, merges: tuple[str, ...]) -> dict:
     """MB a second of each sorter that reads Parquet, sorts and writes Parquet, and of the copy; ratios of the model sort."""
     source = f"{base}/in-{label}"
     df.write.mode("overwrite").parquet(source)
@@ -45,11 +44,11 @@ def written(spark, base: str, label: str, df, by: list[str], runs: int) -> dict:
         rate[name] = metrics.sort_rate(size, seconds(lambda n=name: every[n](stored, by).write.mode("overwrite").parquet(f"{base}/out"), runs))
     model = model_sort(stored, by, f=16).model
     rate["model_trained"] = metrics.sort_rate(size, seconds(lambda: model_sort(stored, by, f=16, model=model).plain().write.mode("overwrite").parquet(f"{base}/out"), runs))
-    for name in MERGES:
+    for name in merges:
         began = time.perf_counter()
         every[name](stored, by).write.mode("overwrite").parquet(f"{base}/out")
         rate[name] = metrics.sort_rate(size, time.perf_counter() - began)
-    ratios = {f"model_over_{k}": round(rate["model"] / rate[k], 3) for k in ("builtin", "radix", *MERGES)}
+    ratios = {f"model_over_{k}": round(rate["model"] / rate[k], 3) for k in ("builtin", "radix", *merges)}
     return {"mb": round(size / 1e6, 1), "mb_per_s": {k: round(v, 2) for k, v in rate.items()}, **ratios, "gap_to_copy": round(metrics.bandwidth_gap(rate["model"], rate["copy"]), 3)}
 
 
@@ -67,15 +66,16 @@ def main() -> None:
     found["sorter_model_trained"] = round(seconds(lambda: write_noop(model_sort(line, by, f=16, model=model).plain()), runs), 4)
     rates = {k: round(metrics.sort_rate(size, v), 2) for k, v in found.items() if k.startswith("sorter_")}
     base = scratch(spark, "bench")
-    n = max(20_000, line.count() // 2)
+    n = max(20_000, line.count() // 3)
+    skewed = generate_records(spark, n, skew=SkewSpec(share=0.5, rule="uniform"))
     frame = {
-        "lineitem": written(spark, base, "lineitem", line, by, runs),
-        "records_uniform": written(spark, base, "uniform", generate_records(spark, n), ["key"], runs),
-        "records_skewed": written(spark, base, "skewed", generate_records(spark, n, skew=SkewSpec(share=0.5, rule="uniform")), ["key"], runs),
+        "lineitem": written(spark, base, "lineitem", line, by, runs, ("os_merge",)),
+        "records_uniform": written(spark, base, "uniform", generate_records(spark, n), ["key"], runs, ("os_merge", "hier_merge")),
+        "records_skewed": written(spark, base, "skewed", skewed, ["key"], runs, ("os_merge", "hier_merge")),
     }
     frame["skew_drop_percent"] = {k: round(metrics.skew_drop(v, frame["records_skewed"]["mb_per_s"][k]), 1) for k, v in frame["records_uniform"]["mb_per_s"].items()}
     frame["phases"] = {r["phase"]: round(r["share"], 3) for r in run_phases(line, by, f"{base}/phases").collect()}
-    frame["io"] = {r["sorter"]: {"bytes_to_model": round(r["ratio"], 3), "io_share": round(r["io_share"], 3)} for r in run_io(line, by, ["model", "radix", "builtin", "os_merge"], f"{base}/io").collect()}
+    frame["io"] = {r["sorter"]: {"bytes_to_model": round(r["ratio"], 3), "io_share": round(r["io_share"], 3)} for r in run_io(skewed, ["key"], ["model", "radix", "builtin", "os_merge"], f"{base}/io").collect()}
     drop_at_exit(spark, base)
     print(json.dumps({
         "metric": "sum of mean seconds of the headline queries", "value": round(sum(found.values()), 4), "unit": "sec", "queries": found, "sf": os.path.basename(folder),

@@ -54,12 +54,13 @@ def _timed(fn) -> float:
 def run_storage(spark: SparkSession, inputs: dict[str, tuple[DataFrame, str]], where: dict[str, str | None], names: list[str], formats=("parquet",), codecs=("snappy",), f: int = 16) -> DataFrame:
     """(medium, format, codec, input, sorter, seconds, mb_per_s, copy_mb_per_s, gap): read from, sort, write to each medium.
 
-    A medium without a folder is memory: the input is cached and the output goes nowhere. Rates count the stored input's bytes.
+    The first medium gets every format and codec, the others the first of each. A medium without a folder is memory: the input is cached and the
+    output goes nowhere. Rates count the stored input's bytes.
     """
     rows, all_sorters = [], sorters(f=f)
-    for medium, root in where.items():
-        for fmt in formats if root else ("cache",):
-            for codec in codecs if fmt == "parquet" else ("none",):
+    for k, (medium, root) in enumerate(where.items()):
+        for fmt in (formats if k == 0 else formats[:1]) if root else ("cache",):
+            for codec in (codecs if k == 0 else codecs[:1]) if fmt == "parquet" else ("none",):
                 for label, (df, key) in inputs.items():
                     if root:
                         source = f"{root}/in-{label}-{fmt}-{codec}"

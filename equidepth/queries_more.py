@@ -311,7 +311,7 @@ def _records(spark, n=50_000):
 @query("w03_storage")
 def _w03(spark, d):
     found = workloads.media(spark, scratch(spark, "storage"))
-    return workloads.run_storage(spark, _inputs(spark, d), found, ["model", "os_merge", "builtin"], formats=("parquet", "csv", "orc"), codecs=("none", "snappy", "zstd"))
+    return workloads.run_storage(spark, _inputs(spark, d), found, ["model", "os_merge", "builtin"], formats=("parquet", "csv", "orc"), codecs=("snappy", "none", "zstd"))
 
 
 @query("w05_skew_effect")
