@@ -128,6 +128,35 @@ def _postings(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         )
 
 
+def _gathered(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """A row for each run of equal (term, part), its postings as they come; a run that a batch cuts is held until its end."""
+
+    def runs(table: pa.Table, last: bool) -> tuple[pa.RecordBatch | None, pa.Table]:
+        table = table.combine_chunks()
+        term, part = table.column("term"), table.column("part").to_numpy()
+        ids = term.combine_chunks().dictionary_encode().indices.to_numpy() if len(table) else np.zeros(0, np.int32)
+        first = np.flatnonzero(np.concatenate([[True], (ids[1:] != ids[:-1]) | (part[1:] != part[:-1])]))
+        bounds = np.append(first, len(table)) if last else first
+        if len(bounds) < 2:
+            return None, table
+        done = table.slice(0, int(bounds[-1])).combine_chunks()
+        postings = pa.StructArray.from_arrays([done.column("doc").combine_chunks(), done.column("positions").combine_chunks()], names=["doc", "positions"])
+        at = pa.array(bounds[:-1])
+        out = pa.RecordBatch.from_arrays([done.column("term").take(at).combine_chunks(), done.column("part").take(at).combine_chunks(), pa.ListArray.from_arrays(pa.array(bounds, pa.int32()), postings)], names=["term", "part", "postings"])
+        return out, table.slice(int(bounds[-1]))
+
+    held: pa.Table | None = None
+    for batch in batches:
+        table = pa.Table.from_batches([batch])
+        done, held = runs(table if held is None or not len(held) else pa.concat_tables([held, table]), False)
+        if done is not None:
+            yield done
+    if held is not None and len(held):
+        done, _ = runs(held, True)
+        if done is not None:
+            yield done
+
+
 def inverted_index(docs: DataFrame, *, key: str = "doc_id", text: str = "text", posting_cap: int = 4096, max_frequent: int = 1_000_000) -> DataFrame:
     """(term, part, postings): postings (doc, positions) by doc; terms of more than posting_cap documents are cut into parts.
 
@@ -143,7 +172,8 @@ def inverted_index(docs: DataFrame, *, key: str = "doc_id", text: str = "text",
     few = frequent.limit(max_frequent + 1).count() <= max_frequent
     cut = each.join(F.broadcast(frequent) if few else frequent, "term", "left")
     cut = cut.withColumn("part", F.when(F.col("parts").isNotNull(), F.pmod(F.xxhash64("doc"), F.col("parts")).cast("int")).otherwise(0))
-    return cut.groupBy("term", "part").agg(F.sort_array(F.collect_list(F.struct("doc", "positions"))).alias("postings"))
+    rows = cut.select("term", "part", "doc", "positions").repartition("term", "part").sortWithinPartitions("term", "part", "doc")
+    return rows.mapInArrow(_gathered, f"term string, part int, postings array<struct<doc:{kind},positions:array<int>>>")
 
 
 def search(index: DataFrame, terms: list[str], mode: str = "and") -> DataFrame:

@@ -16,8 +16,8 @@ from pyspark.sql import functions as F
 
 #: Codes beyond this in size tie; squares of differences stay finite.
 FAR = 1e150
-#: Most leaves below a tree of comparisons; more are found by halving an array, so generated code stays small.
-TREE = 256
+#: Most leaves below a tree of comparisons; more are found by halving an array, so generated code stays small and is not compiled anew for each model.
+TREE = 8
 
 
 def _literal(values: np.ndarray) -> Column:
