@@ -15,6 +15,7 @@ from pyspark.sql.types import StructType
 from ..plans.cdf_model import CdfModel
 from ..plans.extsort import PID, with_slices
 from ..plans.keys import KeySpec, orders
+from ..session import drop_at_exit, scratch
 
 
 def stream_table(spark: SparkSession, folder: str, name: str, *, files_per_batch: int | None = None, schema: StructType | None = None) -> DataFrame:
@@ -124,10 +125,24 @@ def drift_monitor(stream: DataFrame, spec: KeySpec, model: CdfModel, f: int, lan
 
 
 def run_to_table(stream: DataFrame, name: str, mode: str = "append", checkpoint: str | None = None) -> DataFrame:
-    """Runs a stream over what is there now into an in-memory table, for small results."""
-    writer = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True)
+    """Runs a stream over what is there now into files of the shared folder: the last batch's rows in mode complete, else those of all batches.
+
+    A batch that is run again replaces what it wrote before. Nothing passes through the driver.
+    """
+    spark, path = stream.sparkSession, scratch(stream.sparkSession, "streamed")
+    done: list[int] = []
+
+    def put(batch: DataFrame, batch_id: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/{batch_id}")
+        done.append(batch_id)
+
+    writer = stream.writeStream.foreachBatch(put).queryName(name).outputMode(mode).trigger(availableNow=True)
     if checkpoint:
         writer = writer.option("checkpointLocation", checkpoint)
     q: Any = writer.start()
     q.awaitTermination()
-    return stream.sparkSession.table(name)
+    if not done:
+        return spark.createDataFrame([], stream.schema)
+    drop_at_exit(spark, path)
+    kept = done[-1:] if mode == "complete" else dict.fromkeys(done)
+    return spark.read.schema(stream.schema).parquet(*[f"{path}/{k}" for k in kept])
