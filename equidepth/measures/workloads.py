@@ -19,7 +19,7 @@ from ..plans.keys import KeySpec, Order, ascii_code, byte_code, profile, resolve
 from ..plans.mergesort import external_merge_sort, make_runs, merge_runs
 from ..plans.partitioners import hash_pid, quantile_pid, radix_pid, sketch_pid
 from ..plans.sampling import SampleSpec, draw_sample
-from ..session import drop_at_exit
+from ..session import drop, drop_at_exit, made_here, shuffles_freed
 from ..sources.io import write_noop
 from . import metrics
 from .validate import check_sorted
@@ -155,13 +155,20 @@ def run_coalesce(df: DataFrame, by: list[str], locator: str, path: str, f: int =
 
 
 def run_io(df: DataFrame, by: list[str], names: list[str], path: str, f: int = 16) -> DataFrame:
-    """(sorter, seconds, read, written, shuffled, spilled, total, ratio, io_share): Spark's own counters; ratio to the model sort."""
+    """(sorter, seconds, read, written, shuffled, spilled, total, ratio, io_share): Spark's own counters; ratio to the model sort.
+
+    Every sorter writes all rows at path; its files go once it is measured, before the next one starts.
+    """
     spark, rows, all_sorters = df.sparkSession, [], sorters(f=f)
     for name in names:
         timer = metrics.PhaseTimer(spark)
-        with timer.phase("run"):
-            all_sorters[name](df, by).write.mode("overwrite").parquet(f"{path}/{name}")
+        drop_at_exit(spark, path)
+        with made_here() as made:
+            with timer.phase("run"), shuffles_freed(spark):
+                all_sorters[name](df, by).write.mode("overwrite").parquet(f"{path}/{name}")
         c = timer.counters["run"]
+        for used in (*made, path):
+            drop(spark, used)
         rows.append([name, timer.seconds["run"], c["inputBytes"], c["outputBytes"], c["shuffleReadBytes"] + c["shuffleWriteBytes"], c["diskBytesSpilled"], metrics.io_bytes(c), 0.0, metrics.io_time_share(c)])
     base = next((r[6] for r in rows if r[0] == "model"), rows[0][6]) or 1
     for r in rows:
